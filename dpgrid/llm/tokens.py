@@ -7,6 +7,7 @@ texts are then gathered with numpy. Texts for which the cut is not provably harm
 
 from __future__ import annotations
 
+import json
 import re
 from collections.abc import Callable
 from functools import lru_cache
@@ -15,7 +16,7 @@ from itertools import repeat
 import numpy as np
 
 #: A worker forgets its cache when it holds more units than this.
-CACHE_UNITS = 800_000
+CACHE_UNITS = 1_000_000
 
 Encode = Callable[[list[str]], tuple[np.ndarray, np.ndarray]]
 
@@ -102,22 +103,41 @@ class TextEncoder:
 
 _ODD_FOR_WORDS = re.compile("[\x1c-\x1f]")
 _ODD_FOR_BYTES = re.compile(r"[^\S \n]|[ \n]{2}|\A[ \n]|[ \n]\Z")
+#: ASCII without separators that libraries disagree about, and the letters of Latin-1: stable under NFC.
+_NOT_PLAIN = re.compile("[^\x00-\x1b\x20-\x7e\xc0-\xd6\xd8-\xf6\xf8-\xff]")
+#: Kinds of Latin-1 characters: a letter or digit, blank space, stop or comma, other.
+_KIND = bytes(ord("a" if c >= 0xC0 or chr(c).isalnum() else " " if chr(c).isspace() else "." if c in b".," else "!") for c in range(256))
+
+
+def _stops(text: str, before: tuple[bytes, ...]) -> bool:
+    """Whether every stop and comma of a plain text follows a letter or digit, so that a word can be cut off before it."""
+    kinds = text.encode("latin-1").translate(_KIND)
+    return kinds[:1] != b"." and not any(x in kinds for x in before)
 
 
 def split_words(text: str) -> list[str] | None:
-    """Units for vocabularies that drop white space: the words between it."""
-    return None if _ODD_FOR_WORDS.search(text) else text.split()
+    """Units for lower-casing vocabularies that drop white space: words, and stops with what follows them."""
+    if _ODD_FOR_WORDS.search(text):
+        return None
+    if "<|" not in text and not _NOT_PLAIN.search(text):
+        stops = _stops(text, (b"..", b"!."))
+        text = text.lower()
+        if stops:
+            text = text.replace(".", " .").replace(",", " ,")
+    return text.split()
 
 
 def split_spaced(text: str) -> list[str] | None:
-    """Units for byte-level vocabularies: words that own the blank or line feed before them.
+    """Units for byte-level vocabularies: words that own the blank or line feed before them, and stops.
 
-    A lone blank or line feed between two other characters always begins a piece of its own, so the cut
-    is harmless; texts with other white space go whole. The first unit is marked by a return, which
-    such texts cannot hold.
+    A lone blank or line feed between two other characters always begins a piece of its own, as does a
+    stop after a letter or digit, so the cuts are harmless; texts with other white space go whole. A return marks units
+    without a blank before them, as such texts cannot hold one.
     """
     if _ODD_FOR_BYTES.search(text):
         return None
+    if "<|" not in text and not _NOT_PLAIN.search(text) and _stops(text, (b"..", b"!.", b" .")):
+        text = text.replace(".", " \r.").replace(",", " \r,")
     units = text.replace("\n", " \n").split(" ")
     units[0] = "\r" + units[0]
     return units
@@ -142,15 +162,33 @@ def library_encoder(path: str) -> TextEncoder:
     tok.no_padding()
     tok.no_truncation()
     spaced = not getattr(tok.model, "end_of_word_suffix", None)
+    # The same vocabulary without the steps that leave small ASCII letters as they are.
+    with open(path, encoding="utf-8") as f:
+        bare = Tokenizer.from_str(json.dumps(json.load(f) | {"normalizer": None, "pre_tokenizer": None, "post_processor": None, "truncation": None, "padding": None}))
+
+    def together(library: Tokenizer, texts: list[str]) -> tuple[np.ndarray, np.ndarray] | None:
+        enc = library.encode(texts, is_pretokenized=True, add_special_tokens=False)
+        words = enc.word_ids
+        if None in words:  # a special token's text carries no word index
+            return None
+        return np.array(enc.ids, np.uint32), np.bincount(np.array(words, np.int64), minlength=len(texts))
 
     def encode(units: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        enc = tok.encode([_own_text(u) for u in units] if spaced else units, is_pretokenized=True, add_special_tokens=False)
-        words = np.array([-1 if w is None else w for w in enc.word_ids], np.int64)
-        ids = np.array(enc.ids, np.uint32)
-        if (words < 0).any():  # a special token's text within a unit carries no word index
-            each = [np.array(tok.encode(_own_text(u) if spaced else u, add_special_tokens=False).ids, np.uint32) for u in units]
-            return np.concatenate(each), np.array([len(x) for x in each], np.int64)
-        return ids, np.bincount(words, minlength=len(units))
+        plain = [u.isascii() and u.isalpha() and (spaced or u.islower()) for u in units]
+        easy = [("\u0120" + u if spaced else u) for u, p in zip(units, plain, strict=True) if p]  # that letter stands for a blank
+        hard = [(_own_text(u) if spaced else u) for u, p in zip(units, plain, strict=True) if not p]
+        a = together(bare, easy)
+        b = together(tok, hard)
+        if b is None:
+            each = [np.array(tok.encode(u, add_special_tokens=False).ids, np.uint32) for u in hard]
+            b = np.concatenate(each), np.array([len(x) for x in each], np.int64)
+        sizes = np.empty(len(units), np.int64)
+        mask = np.array(plain, bool)
+        sizes[mask], sizes[~mask] = a[1], b[1]
+        ids = np.empty(int(sizes.sum()), np.uint32)
+        owner = np.repeat(mask, sizes)
+        ids[owner], ids[~owner] = a[0], b[0]
+        return ids, sizes
 
     def whole(text: str) -> np.ndarray:
         return np.array(tok.encode(text, add_special_tokens=False).ids, np.uint32)
