@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dpgrid.llm import bpe, line_dedup, packing, quality_knn, quality_rules, token_files
+from dpgrid.llm import bpe, line_dedup, packing, quality_knn, quality_rules, token_files, url_filters, warc
 
 WORD_BPE = "word_bpe_49k.json"
 BYTE_BPE = "byte_bpe_50k.json"
@@ -18,6 +18,21 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: The rules that the url query is given.
+URL_RULES = [
+    url_filters.Rule("org", "/", "allow"),
+    url_filters.Rule("example.org", "/es/", "block"),
+    url_filters.Rule("example.org", "/en/1", "block"),
+    url_filters.Rule("com", "/fr/", "allow"),
+    url_filters.Rule("com", "/de/", "block"),
+]
+
+
+def op1_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = _table(spark, sf_dir, "pages").select("page_id", "url")
+    return url_filters.judge(pages, URL_RULES).select("page_id", "host", "path", "rule", "verdict", "blocked")
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     model = quality_rules.train(docs, _table(spark, sf_dir, "labels"))
@@ -33,6 +48,10 @@ def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.token_files(_table(spark, sf_dir, "documents"), public_tokenizers.path(WORD_BPE), end_id=2)
 
 
+def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.archive(_table(spark, sf_dir, "pages"))
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(_table(spark, sf_dir, "documents"), public_tokenizers.path(BYTE_BPE), end_id=0)
 
@@ -48,10 +67,20 @@ def op10_quality_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    made = (op3_quality_rules, op4_line_dedup, op5_token_files, op8_packing, op9_bpe, op10_quality_knn)
+    made = (op1_url_filters, op3_quality_rules, op4_line_dedup, op5_token_files, op6_warc, op8_packing, op9_bpe, op10_quality_knn)
     return {f.__name__: f for f in made}
 
 
+OP6_SQL = r"""
+WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
+s AS (SELECT page_id, html, strlen(html) AS payload_bytes, sha1(html) AS payload_digest FROM p),
+w AS (SELECT html, max(page_id) AS owner FROM s WHERE payload_bytes >= 1000 GROUP BY html)
+SELECT s.page_id, s.payload_bytes, s.payload_digest,
+       CASE WHEN w.owner <> s.page_id THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN w.owner <> s.page_id THEN w.owner END AS refers_to
+FROM s LEFT JOIN w ON w.html = s.html
+"""
+
 #: The lines of every document with their keys; blank characters and cases as the operator takes them.
 OP4_SQL = r"""
 WITH d AS (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents),
@@ -67,4 +96,4 @@ FROM m GROUP BY doc_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_line_dedup": OP4_SQL}
+    return {"op4_line_dedup": OP4_SQL, "op6_warc": OP6_SQL}
