@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dpgrid.llm import bpe, line_dedup, packing, quality_knn, quality_rules, token_files, url_filters, warc
+from dpgrid.llm import bpe, embedding_dedup, line_dedup, packing, quality_knn, quality_rules, token_files, url_filters, warc
 
 WORD_BPE = "word_bpe_49k.json"
 BYTE_BPE = "byte_bpe_50k.json"
@@ -33,6 +33,10 @@ def op1_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.judge(pages, URL_RULES).select("page_id", "host", "path", "rule", "verdict", "blocked")
 
 
+def op2_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_dedup.embedding_components(_table(spark, sf_dir, "embeddings"))
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     model = quality_rules.train(docs, _table(spark, sf_dir, "labels"))
@@ -67,10 +71,23 @@ def op10_quality_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    made = (op1_url_filters, op3_quality_rules, op4_line_dedup, op5_token_files, op6_warc, op8_packing, op9_bpe, op10_quality_knn)
+    made = (op1_url_filters, op2_embedding_dedup, op3_quality_rules, op4_line_dedup, op5_token_files, op6_warc, op8_packing, op9_bpe, op10_quality_knn)
     return {f.__name__: f for f in made}
 
 
+#: Brute force within labels; quadratic, so for the smaller tables only, which is where it is run.
+OP2_SQL = r"""
+WITH RECURSIVE e AS (
+  SELECT vec_id, label, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings
+  WHERE label IS NOT NULL AND embedding IS NOT NULL AND len(embedding) > 0
+    AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
+p AS (SELECT a.vec_id AS a, b.vec_id AS b FROM e a JOIN e b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.v) = len(b.v)
+      WHERE list_cosine_similarity(a.v, b.v) >= 0.98),
+r AS (SELECT vec_id AS v, vec_id AS c FROM embeddings UNION SELECT p.b, r.c FROM r JOIN p ON p.a = r.v)
+SELECT m.vec_id, (SELECT count(*) FROM p WHERE p.a = m.vec_id) AS n_links, min(r.c) AS component_id, m.vec_id = min(r.c) AS kept
+FROM embeddings m JOIN r ON r.v = m.vec_id GROUP BY m.vec_id
+"""
+
 OP6_SQL = r"""
 WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
 s AS (SELECT page_id, html, strlen(html) AS payload_bytes, sha1(html) AS payload_digest FROM p),
@@ -96,4 +113,4 @@ FROM m GROUP BY doc_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_line_dedup": OP4_SQL, "op6_warc": OP6_SQL}
+    return {"op2_embedding_dedup": OP2_SQL, "op4_line_dedup": OP4_SQL, "op6_warc": OP6_SQL}
