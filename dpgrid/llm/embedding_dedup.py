@@ -76,6 +76,7 @@ def _flat(values: pa.Array) -> np.ndarray:
 
 def compare(ids: np.ndarray, weight: np.ndarray, x: np.ndarray, code: np.ndarray, block: np.ndarray, first: int, second: int, table: int, threshold: float) -> tuple[dict[int, int], list[tuple[int, int]]]:
     """Partners per class and joining edges between two blocks of a bucket (or within one)."""
+    x = x / np.abs(x).max(1, keepdims=True)
     x = x / np.linalg.norm(x, axis=1, keepdims=True)
     left, right = np.flatnonzero(block == first), np.flatnonzero(block == second)
     linked: list[tuple[np.ndarray, np.ndarray]] = []

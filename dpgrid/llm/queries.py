@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dpgrid.llm import bpe, embedding_dedup, line_dedup, packing, quality_knn, quality_rules, token_files, url_filters, warc
+from dpgrid.llm import bpe, dart_minhash, embedding_dedup, line_dedup, packing, quality_knn, quality_rules, token_files, url_filters, warc
 
 WORD_BPE = "word_bpe_49k.json"
 BYTE_BPE = "byte_bpe_50k.json"
@@ -56,6 +56,10 @@ def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.archive(_table(spark, sf_dir, "pages"))
 
 
+def op7_dart_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dart_minhash.near_duplicates(_table(spark, sf_dir, "documents"))
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(_table(spark, sf_dir, "documents"), public_tokenizers.path(BYTE_BPE), end_id=0)
 
@@ -71,7 +75,7 @@ def op10_quality_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    made = (op1_url_filters, op2_embedding_dedup, op3_quality_rules, op4_line_dedup, op5_token_files, op6_warc, op8_packing, op9_bpe, op10_quality_knn)
+    made = (op1_url_filters, op2_embedding_dedup, op3_quality_rules, op4_line_dedup, op5_token_files, op6_warc, op7_dart_minhash, op8_packing, op9_bpe, op10_quality_knn)
     return {f.__name__: f for f in made}
 
 
@@ -112,5 +116,22 @@ FROM m GROUP BY doc_id
 """
 
 
+#: All pairs that share a shingle, compared in full.
+OP7_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(lower(text), '[^\x20\x09-\x0D]+') AS ws FROM documents WHERE text IS NOT NULL),
+s AS (SELECT DISTINCT doc_id, array_to_string(ws[i : i + least(5, len(ws)) - 1], ' ') AS g
+      FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 3, 2))) AS i FROM w WHERE len(ws) > 0)),
+c AS (SELECT array_to_string(ws, ' ') AS t, min(doc_id) AS rep, list(doc_id) AS members FROM w WHERE len(ws) > 0 GROUP BY t),
+r AS (SELECT s.doc_id, g, count(*) OVER (PARTITION BY s.doc_id) AS n FROM s JOIN c ON c.rep = s.doc_id),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b FROM r a JOIN r b ON a.g = b.g AND a.doc_id <> b.doc_id
+      GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 9 * count(*) >= 4 * (a.n + b.n)),
+k AS (SELECT rep AS v, rep AS comp FROM c UNION SELECT p.b, k.comp FROM k JOIN p ON p.a = k.v),
+m AS (SELECT v, min(comp) AS comp FROM k GROUP BY v),
+f AS (SELECT unnest(c.members) AS doc_id, c.rep, m.comp FROM c JOIN m ON m.v = c.rep)
+SELECT d.doc_id, coalesce(f.rep, d.doc_id) AS copy_of, coalesce(f.comp, d.doc_id) AS component_id, coalesce(f.comp = d.doc_id, true) AS kept
+FROM documents d LEFT JOIN f ON f.doc_id = d.doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_embedding_dedup": OP2_SQL, "op4_line_dedup": OP4_SQL, "op6_warc": OP6_SQL}
+    return {"op2_embedding_dedup": OP2_SQL, "op4_line_dedup": OP4_SQL, "op6_warc": OP6_SQL, "op7_dart_minhash": OP7_SQL}
