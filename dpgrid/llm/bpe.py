@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from dpgrid.llm.arrow import chunks, column, out, strings
-from dpgrid.llm.tokens import TextEncoder, split_words
+from dpgrid.llm.tokens import TextEncoder, byte_alphabet, split_words
 
 #: Words of more symbols than this use the heap.
 SHORT = 40
@@ -38,13 +38,6 @@ _NONE = np.int32(2**31 - 1)
 _ASCII_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9 \t\n\x0b\x0c\r]+")
 
 
-def byte_alphabet() -> list[str]:
-    """The printable stand-in of each byte: itself if visible in Latin-1, else the next free code point from 256."""
-    visible = {*range(33, 127), *range(161, 173), *range(174, 256)}
-    free = iter(range(256, 512))
-    return [chr(b) if b in visible else chr(next(free)) for b in range(256)]
-
-
 class RankBpe:
     """Merges and vocabulary of one file, as sorted pair keys for vectorised lookup."""
 

@@ -105,46 +105,58 @@ _ODD_FOR_WORDS = re.compile("[\x1c-\x1f]")
 _ODD_FOR_BYTES = re.compile(r"[^\S \n]|[ \n]{2}|\A[ \n]|[ \n]\Z")
 #: ASCII without separators that libraries disagree about, and the letters of Latin-1: stable under NFC.
 _NOT_PLAIN = re.compile("[^\x00-\x1b\x20-\x7e\xc0-\xd6\xd8-\xf6\xf8-\xff]")
-#: Kinds of Latin-1 characters: a letter or digit, blank space, stop or comma, other.
-_KIND = bytes(ord("a" if c >= 0xC0 or chr(c).isalnum() else " " if chr(c).isspace() else "." if c in b".," else "!") for c in range(256))
+#: Kinds of Latin-1 characters: a letter or digit, a blank or line feed, other white space, stop or comma, other.
+_KIND = bytes(ord("a" if c >= 0xC0 or chr(c).isalnum() else " " if c in b" \n" else "_" if chr(c).isspace() else "." if c in b".," else "!") for c in range(256))
 
 
-def _stops(text: str, before: tuple[bytes, ...]) -> bool:
-    """Whether every stop and comma of a plain text follows a letter or digit, so that a word can be cut off before it."""
-    kinds = text.encode("latin-1").translate(_KIND)
-    return kinds[:1] != b"." and not any(x in kinds for x in before)
+def _kinds(text: str) -> bytes | None:
+    """Kinds of a plain text's characters; None for other texts and those that may hold special tokens."""
+    return None if "<|" in text or _NOT_PLAIN.search(text) else text.encode("latin-1").translate(_KIND)
 
 
 def split_words(text: str) -> list[str] | None:
-    """Units for lower-casing vocabularies that drop white space: words, and stops with what follows them."""
-    if _ODD_FOR_WORDS.search(text):
-        return None
-    if "<|" not in text and not _NOT_PLAIN.search(text):
-        stops = _stops(text, (b"..", b"!."))
-        text = text.lower()
-        if stops:
-            text = text.replace(".", " .").replace(",", " ,")
+    """Units for lower-casing vocabularies that drop white space: words, and stops with what follows them.
+
+    A stop or comma of a plain text is cut off where every one of them follows a letter, a digit or white space.
+    """
+    kinds = _kinds(text)
+    if kinds is None:
+        return None if _ODD_FOR_WORDS.search(text) else text.split()
+    text = text.lower()
+    if b".." not in kinds and b"!." not in kinds:
+        text = text.replace(".", " .").replace(",", " ,")
     return text.split()
 
 
 def split_spaced(text: str) -> list[str] | None:
-    """Units for byte-level vocabularies: words that own the blank or line feed before them, and stops.
+    """Units for byte-level vocabularies: words that own the blank before them, line feeds, and stops.
 
     A lone blank or line feed between two other characters always begins a piece of its own, as does a
     stop after a letter or digit, so the cuts are harmless; texts with other white space go whole. A return marks units
     without a blank before them, as such texts cannot hold one.
     """
-    if _ODD_FOR_BYTES.search(text):
+    kinds = _kinds(text)
+    if kinds is None:
+        if _ODD_FOR_BYTES.search(text):
+            return None
+    elif b"_" in kinds or b"  " in kinds or kinds[:1] == b" " or kinds[-1:] == b" ":
         return None
-    if "<|" not in text and not _NOT_PLAIN.search(text) and _stops(text, (b"..", b"!.", b" .")):
+    elif not (b".." in kinds or b"!." in kinds or b" ." in kinds or kinds[:1] == b"."):
         text = text.replace(".", " \r.").replace(",", " \r,")
-    units = text.replace("\n", " \n").split(" ")
+    units = text.replace("\n", " \r\n \r").split(" ")
     units[0] = "\r" + units[0]
     return units
 
 
 def _own_text(unit: str) -> str:
-    return unit[1:] if unit[0] == "\r" else unit if unit[0] == "\n" else " " + unit
+    return unit[1:] if unit[0] == "\r" else " " + unit
+
+
+def byte_alphabet() -> list[str]:
+    """The printable stand-in of each byte: itself if visible in Latin-1, else the next free code point from 256."""
+    visible = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    free = iter(range(256, 512))
+    return [chr(b) if b in visible else chr(next(free)) for b in range(256)]
 
 
 @lru_cache(maxsize=4)
@@ -166,6 +178,22 @@ def library_encoder(path: str) -> TextEncoder:
     with open(path, encoding="utf-8") as f:
         bare = Tokenizer.from_str(json.dumps(json.load(f) | {"normalizer": None, "pre_tokenizer": None, "post_processor": None, "truncation": None, "padding": None}))
 
+    alphabet = byte_alphabet()
+    blank = alphabet[32]
+    stand_in = {c: "".join(alphabet[b] for b in chr(c).encode()) for c in range(0xC0, 0x100)}
+    plain_word = re.compile("[A-Za-z\xc0-\xd6\xd8-\xf6\xf8-\xff]+" if spaced else "[a-z\xdf-\xf6\xf8-\xff]+").fullmatch
+    # Ids that open a word after a blank, or that close a word: they part the ids of many plain words.
+    edge = np.zeros(tok.get_vocab_size(with_added_tokens=True), bool)
+    edge[[i for s, i in tok.get_vocab(with_added_tokens=False).items() if (s[0] == blank if spaced else s.endswith(tok.model.end_of_word_suffix))]] = True
+
+    def words(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of plain words, given in the byte alphabet."""
+        if not texts:
+            return np.empty(0, np.uint32), np.empty(0, np.int64)
+        ids = np.array(bare.encode_batch_fast([texts], is_pretokenized=True, add_special_tokens=False)[0].ids, np.uint32)
+        at = np.flatnonzero(edge[ids])
+        return ids, np.diff(at, append=len(ids)) if spaced else np.diff(at, prepend=-1)
+
     def together(library: Tokenizer, texts: list[str]) -> tuple[np.ndarray, np.ndarray] | None:
         enc = library.encode(texts, is_pretokenized=True, add_special_tokens=False)
         words = enc.word_ids
@@ -174,10 +202,12 @@ def library_encoder(path: str) -> TextEncoder:
         return np.array(enc.ids, np.uint32), np.bincount(np.array(words, np.int64), minlength=len(texts))
 
     def encode(units: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        plain = [u.isascii() and u.isalpha() and (spaced or u.islower()) for u in units]
-        easy = [("\u0120" + u if spaced else u) for u, p in zip(units, plain, strict=True) if p]  # that letter stands for a blank
+        plain = [plain_word(u) is not None for u in units]
+        easy = [u if u.isascii() else u.translate(stand_in) for u, p in zip(units, plain, strict=True) if p]
+        if spaced:
+            easy = [blank + u for u in easy]
         hard = [(_own_text(u) if spaced else u) for u, p in zip(units, plain, strict=True) if not p]
-        a = together(bare, easy)
+        a = words(easy)
         b = together(tok, hard)
         if b is None:
             each = [np.array(tok.encode(u, add_special_tokens=False).ids, np.uint32) for u in hard]
