@@ -8,11 +8,11 @@ below a rank that some darts per coordinate are expected to reach are looked at:
 coordinates, not with their product.
 
 Texts are lower-cased, and their shingles of five words are hashed to 64 bits (a shorter text is one shingle). Texts of equal
-words form a class whose least document id stands for it. Representatives that agree in a band share a bucket. A
-bucket is compared with one member, the pivot, not pairwise: Jaccard distance is a metric, so after a
-round only members that the pivot does not link, and linked ones near enough to those to link with them, can hold
-links that are not yet known. They go on with another pivot, and what is left of small buckets is compared in full. No
-candidate of a bucket is lost, and near copies by the thousand cost one comparison each.
+words form a class whose least document id stands for it. Representatives that agree in a band
+share a bucket; of buckets with the same members one is kept. Buckets are compared exactly, as products of 0/1 blocks of
+shingles, and a block returns edges that join the linked documents, never all pairs. A very large bucket first meets
+some pivots: Jaccard distance is a metric, so members that a pivot links, and that lie further from every unlinked member than
+a link reaches, are settled by that one comparison each. No candidate of a bucket is lost.
 
 Edge cases: null, empty and wordless texts are their own class and link with nothing; ties do not matter, as all members of a
 component get its least id; rows that share an id are one document with several texts; rows without an id
@@ -26,18 +26,20 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from dpgrid.llm.arrow import chunks, column, out, strings
+from dpgrid.llm.embedding_dedup import forest
 from dpgrid.plans.graph import connected_components
 from dpgrid.plans.scratch import materialise
 
 #: Words in a shingle; similarity of a link; bands of rows each (a pair at 0.8 is missed once in 17,000).
 WORDS, THRESHOLD, BANDS, ROWS = 5, 0.8, 32, 6
-#: Largest rest of a bucket that is compared in full.
-SMALL = 32
+#: Members in a block, columns of a 0/1 block, and members beyond which a bucket meets pivots first.
+BLOCK, COLUMNS, LARGE = 256, 2048, 4096
 #: Rank below which the first cell lies: 2 ** -FINE.
 FINE = 7
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
@@ -220,45 +222,106 @@ def similarities(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", (both / (F.size("x") + F.size("y") - both)).alias("sim"))
 
 
-def _pivoted(seats: DataFrame) -> DataFrame:
-    """``bucket, member, pivot`` of seats ``bucket, member`` in buckets of two or more."""
-    heads = materialise(seats.groupBy("bucket").agg(F.min("member").alias("pivot"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n"), "bucket_pivots")
-    return materialise(seats.join(heads, "bucket").where("member <> pivot"), "bucket_seats")
+def intersections(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Sizes of the intersections of each set in ``left`` with each in ``right``, as products of 0/1 blocks."""
+    use = np.unique(np.concatenate([left, right]))
+    sizes = np.array([len(sets[i]) for i in use])
+    _, col, count = np.unique(np.concatenate([sets[i] for i in use]), return_inverse=True, return_counts=True)
+    row = np.repeat(np.arange(len(use)), sizes)
+    shared = count > 1  # what one set alone holds meets nothing
+    number = np.cumsum(shared) - 1
+    keep = shared[col]
+    row, col = row[keep], number[col[keep]]
+    a, b = np.searchsorted(use, left), np.searchsorted(use, right)
+    made = np.zeros((len(left), len(right)), np.float32)
+    order = np.argsort(col, kind="stable")
+    row, col = row[order], col[order]
+    for lo in range(0, int(number[-1]) + 1 if len(number) else 0, COLUMNS):
+        i, j = np.searchsorted(col, [lo, lo + COLUMNS])
+        block = np.zeros((len(use), COLUMNS), np.float32)
+        block[row[i:j], col[i:j] - lo] = 1
+        made += block[a] @ block[b].T
+    return made
+
+
+def joining(ids: np.ndarray, sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, threshold: float) -> list[tuple[int, int]]:
+    """Edges without cycles that join the same ids as all links between ``left`` and ``right`` (positions; equal for one block)."""
+    sizes = np.array([len(s) for s in sets], np.float64)
+    both = intersections(sets, left, right)
+    total = sizes[left][:, None] + sizes[right][None, :] - both
+    i, j = np.nonzero(both >= threshold * total - 1e-9)
+    i, j = left[i], right[j]
+    apart = i != j
+    return forest(ids[i[apart]], ids[j[apart]])
+
+
+def _compare(group: pa.Table, threshold: float) -> pa.Table:
+    """All buckets of a pack of small ones, or one pair of blocks of a large one."""
+    group = group.sort_by("bucket").combine_chunks()
+    bucket, member, block = (group[c].to_numpy() for c in ("bucket", "member", "block"))
+    first, second = group["first"][0].as_py(), group["second"][0].as_py()
+    held = group["shingles"].combine_chunks()
+    flat, ends = held.flatten().to_numpy(), np.concatenate([[0], np.cumsum(pc.list_value_length(held).to_numpy())])
+    sets = [flat[ends[i] : ends[i + 1]] for i in range(len(member))]
+    found: list[tuple[int, int]] = []
+    edges = np.flatnonzero(np.diff(bucket, prepend=bucket[0] - 1))
+    for lo, hi in zip(edges, [*edges[1:], len(bucket)], strict=True):
+        rows = np.arange(lo, hi)
+        left, right = rows[block[lo:hi] == first], rows[block[lo:hi] == second]
+        for i in range(0, len(left), BLOCK):
+            for k in range(0, len(right), BLOCK):
+                found += joining(member, sets, left[i : i + BLOCK], right[k : k + BLOCK], threshold)
+    a, b = zip(*dict.fromkeys(found), strict=True) if found else ((), ())
+    return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+
+def _thinned(seats: DataFrame, sets: DataFrame, threshold: float, large: int, turns: int = 3) -> tuple[DataFrame, list[DataFrame]]:
+    """Seats whose links are not yet settled after some pivots of the large buckets, and links found on the way."""
+    known: list[DataFrame] = []
+    for _ in range(turns):
+        wide = materialise(seats.where(F.col("n") > large), "wide_seats")
+        if wide.isEmpty():
+            break
+        heads = materialise(wide.groupBy("bucket").agg(F.min("member").alias("pivot")), "pivots")
+        held = materialise(wide.join(heads, "bucket").where("member <> pivot").select("bucket", "member", "pivot"), "pivot_seats")
+        sims = materialise(similarities(held.select(F.col("member").alias("a"), F.col("pivot").alias("b")).distinct(), sets), "pivot_sims")
+        known.append(sims.where(F.col("sim") >= threshold).select("a", "b"))
+        seen = materialise(held.join(sims.select(F.col("a").alias("member"), F.col("b").alias("pivot"), "sim"), ["member", "pivot"]).select("bucket", "member", "sim"), "seat_sims")
+        # The nearest unlinked member; linked ones further from it, by the metric, than one link reaches are settled.
+        near = materialise(seen.where(F.col("sim") < threshold).groupBy("bucket").agg(F.max("sim").alias("near")), "nearest")
+        rest = materialise(seen.join(near, "bucket").where((F.col("sim") < threshold) | (F.col("sim") <= F.col("near") + (1 - threshold) + 1e-9)).select("bucket", "member"), "rest_seats")
+        sizes = materialise(rest.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "rest_sizes")
+        seats = materialise(seats.where(F.col("n") <= large).unionByName(rest.join(sizes, "bucket").select("bucket", "member", "n")), "seats")
+    return seats, known
 
 
-def links(reps: DataFrame, docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS) -> DataFrame:
+def links(reps: DataFrame, docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, large: int = LARGE) -> DataFrame:
     """Links ``a, b`` that join the same documents as all pairs of a bucket with at least ``threshold``.
 
     ``reps(member, bands)``; ``docs(doc_id, text)`` holds the members' texts.
     """
-    seats = reps.select("member", F.explode("bands").alias("bucket"))
-    held = _pivoted(seats)
-    sets = materialise(
-        shingle_sets(docs.join(held.select(F.col("member").alias("doc_id")).union(held.select(F.col("pivot").alias("doc_id"))).distinct(), "doc_id", "left_semi"), words), "shingle_sets"
+    places = reps.select("member", F.explode("bands").alias("bucket"))
+    h = F.xxhash64("member")
+    sized = places.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(h).alias("x"), F.bit_xor(F.xxhash64("member", F.lit(1))).alias("y")).where("n > 1")
+    # Near copies meet in most bands: of buckets with the same members one is enough.
+    buckets = materialise(sized.groupBy("n", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", "n"), "buckets")
+    seats = materialise(places.join(buckets, "bucket"), "seats")
+    sets = materialise(shingle_sets(docs.join(seats.select(F.col("member").alias("doc_id")).distinct(), "doc_id", "left_semi"), words), "shingle_sets")
+    seats, known = _thinned(seats, sets, threshold, large)
+    # Small buckets travel in packs of about BLOCK seats; a large one as all pairs of its blocks.
+    packs = max(1, -(-seats.where(F.col("n") <= BLOCK // 2).count() // BLOCK))
+    many = F.ceil(F.col("n") / BLOCK).cast("int")
+    small = F.col("n") <= BLOCK // 2
+    dealt = (
+        seats.withColumn("pack", F.when(small, F.pmod(F.xxhash64("bucket"), F.lit(packs))).otherwise(F.col("bucket")))
+        .withColumn("small", small)
+        .withColumn("block", F.when(small, F.lit(0)).otherwise(F.pmod(F.xxhash64("member", "bucket"), many)).cast("int"))
+        .select("*", F.explode(F.sequence(F.lit(0), many - 1)).alias("other"))
+        .select("bucket", "member", "block", "pack", "small", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"))
     )
-    known: list[DataFrame] = []
-    slack = 1 - threshold
-    while True:
-        sims = materialise(similarities(held.select(F.col("member").alias("a"), F.col("pivot").alias("b")).distinct(), sets), "pivot_sims")
-        known.append(sims.where(F.col("sim") >= threshold).select("a", "b"))
-        seen = materialise(held.join(sims.select(F.col("a").alias("member"), F.col("b").alias("pivot"), "sim"), ["member", "pivot"]).select("bucket", "member", "sim"), "bucket_sims")
-        # Nearest unlinked member of each bucket; linked ones further from it than one link's length, by the metric, are done.
-        edge = seen.where(F.col("sim") < threshold).groupBy("bucket").agg(F.max("sim").alias("near"))
-        edge = materialise(edge, "bucket_edges")
-        rest = materialise(seen.join(edge, "bucket").where((F.col("sim") < threshold) | (F.col("sim") <= F.col("near") + slack + 1e-9)).select("bucket", "member"), "bucket_rest")
-        count = materialise(rest.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "bucket_sizes")
-        if count.isEmpty():
-            break
-        few = rest.join(count.where(F.col("n") <= SMALL).select("bucket"), "bucket", "left_semi")
-        pairs = few.select("bucket", F.col("member").alias("a")).join(few.select("bucket", F.col("member").alias("b")), "bucket").where("a < b").select("a", "b").distinct()
-        full = materialise(similarities(pairs, sets).where(F.col("sim") >= threshold).select("a", "b"), "rest_sims")
-        known.append(full)
-        many = rest.join(count.where(F.col("n") > SMALL).select("bucket"), "bucket", "left_semi")
-        held = _pivoted(many)
-        if held.isEmpty():
-            break
-    found = known[0]
-    for k in known[1:]:
+    full = dealt.join(sets.withColumnRenamed("doc_id", "member"), "member")
+    found = full.groupBy("pack", "small", "first", "second").applyInArrow(lambda group: _compare(group, threshold), "a long, b long")
+    for k in known:
         found = found.union(k)
     return found
 
