@@ -42,7 +42,7 @@ def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays: that of least id."""
-    gone = dart_minhash.near_duplicates(docs).where(~F.col("kept")).select("doc_id").distinct()
+    gone = dart_minhash.near_duplicates(docs).where(~F.col("kept")).select("doc_id").distinct().hint("merge")  # as many as there are copies
     return docs.join(gone, "doc_id", "left_anti").select(*COLUMNS)
 
 

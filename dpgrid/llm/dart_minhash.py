@@ -306,7 +306,9 @@ def links(reps: DataFrame, docs: DataFrame, threshold: float = THRESHOLD, words:
     # Near copies meet in most bands: of buckets with the same members one is enough.
     buckets = materialise(sized.groupBy("n", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", "n"), "buckets")
     seats = materialise(places.join(buckets, "bucket"), "seats")
-    sets = materialise(shingle_sets(docs.join(seats.select(F.col("member").alias("doc_id")).distinct(), "doc_id", "left_semi"), words), "shingle_sets")
+    # Sort-merge whatever the size: neither the ids nor the texts have a bound, and small inputs should show what large ones cost.
+    asked = seats.select(F.col("member").alias("doc_id")).distinct().hint("merge")
+    sets = materialise(shingle_sets(docs.join(asked, "doc_id", "left_semi"), words), "shingle_sets")
     seats, known = _thinned(seats, sets, threshold, large)
     # Small buckets travel in packs of about BLOCK seats; a large one as all pairs of its blocks.
     packs = max(1, -(-seats.where(F.col("n") <= BLOCK // 2).count() // BLOCK))
