@@ -1,4 +1,4 @@
-"""Registry of the library's queries; modules of queries are added as they are built."""
+"""Registry of the library's queries."""
 
 from __future__ import annotations
 
@@ -6,14 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from dpgrid import catalog
+
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """Cells and clusters of the trimmed release on the three-spiral view."""
+    return catalog.QUERIES["trim_w2"](spark, sf_dir)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return dict(catalog.QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(catalog.ORACLES)
