@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from dpgrid import catalog
+from dpgrid import experiments as _experiments  # registers its queries
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
