@@ -328,5 +328,75 @@ def _stream_labels(s: SparkSession, d: str) -> DataFrame:
     return win.run_available(labelled.select("event_id", "cluster"), "labels")
 
 
-for _part in (_measures, _experiments, _relational, _streams):
+def _surface() -> None:
+    """SQL functions, table functions, pandas functions, percentiles, pivots, audits and costs."""
+    from dpgrid.operators.components import edges
+    from dpgrid.plans import sqlapi
+
+    wl = WORKLOADS["w2"]
+    g = wl.spec.coarse(1)
+
+    def by_sql(s: SparkSession, d: str) -> DataFrame:
+        sqlapi.register_sql(s)
+        return s.sql("SELECT haar_block(cell_id(cell_index(x0, 0e0, 1e0, 40), cell_index(x1, 0e0, 1e0, 40), 40), 40) AS wcell, count(*) / 2e0 AS w FROM {p} GROUP BY 1", p=wl.points(s, d))
+
+    register("sql_functions_w2", by_sql, clean("w2").select("SELECT wcell, w FROM band"))
+
+    def around(s: SparkSession, d: str) -> DataFrame:
+        sqlapi.register_sql(s)
+        kept = significant_cells(band(s, d, "w2"), p=0.10)[0]
+        return s.sql(f"SELECT wcell, count(*) AS n FROM {{k}}, LATERAL grid_neighbors(wcell, {g[0]}, {g[1]}, true) GROUP BY wcell", k=kept.select("wcell"))
+
+    i, j = "wcell // 20", "wcell % 20"
+    register("udtf_neighbors_w2", around, clean("w2").cut(0.10).keep("band", "cut").select(f"SELECT wcell, (3 - CASE WHEN {i} IN (0, 19) THEN 1 ELSE 0 END) * (3 - CASE WHEN {j} IN (0, 19) THEN 1 ELSE 0 END) - 1 AS n FROM kept").replace("- 1 AS n", "- CAST(1 AS BIGINT) AS n"))
+    register("pandas_udf_cells_w7", lambda s, d: s.read.parquet(f"{d}/embeddings.parquet").select(sqlapi.cell_udf(WORKLOADS["w7_3d"].spec)("embedding").alias("cell")).groupBy("cell").agg(F.count(F.lit(1)).alias("cnt")), ORACLES["quantize_w7_3d"])
+    register("udaf_entropy_w1", lambda s, d: pts("w1")(s, d).groupBy("truth").agg(F.count(F.lit(1)).alias("n")).groupBy((F.col("truth") % 3).alias("status")).agg(sqlapi.weighted_entropy()(F.col("n").cast("double")).alias("bits"), sqlapi.log_sum_exp()(F.log("n")).alias("lse")).select("status", r6("bits"), r6("lse")), f"SELECT status, round(-sum(n / t * log2(n / t)), 6) AS bits, round(ln(max(t)), 6) AS lse FROM (SELECT truth % 3 AS status, n, sum(n) OVER (PARTITION BY truth % 3) AS t FROM (SELECT truth, count(*) AS n FROM ({WORKLOADS['w1'].sql('duckdb')}) q GROUP BY 1) a) b GROUP BY status")
+    register("percentiles_w2", lambda s, d: band(s, d, "w2").where("w > 0").agg(r6(F.expr("percentile(w, 0.25)"), "p25"), r6(F.expr("percentile_cont(0.5) WITHIN GROUP (ORDER BY w)"), "p50"), r6(F.expr("percentile_disc(0.9) WITHIN GROUP (ORDER BY w)"), "p90"), F.count_distinct("w").alias("different"), F.bool_and(F.col("w") > 0).alias("positive")), clean("w2").select("SELECT round(quantile_cont(w, 0.25), 6) AS p25, round(quantile_cont(w, 0.5), 6) AS p50, round(quantile_disc(w, 0.9), 6) AS p90, count(DISTINCT w) AS different, bool_and(w > 0) AS positive FROM band WHERE w > 0"))
+    register("adjacency_edges_w2", lambda s, d: edges(significant_cells(band(s, d, "w2"), p=0.10)[0], g).select("a", "b"), clean("w2").cut(0.10).keep("band", "cut").select("SELECT a.wcell AS a, b.wcell AS b FROM kept a JOIN kept b ON b.wcell = a.wcell + 20 OR (b.wcell = a.wcell + 1 AND a.wcell % 20 < 19)"))
+    register("components_periodic_w2", lambda s, d: connected_components(significant_cells(band(s, d, "w2"), p=0.10)[0], g, periodic=True).select("wcell", "cluster"))
+    register("syn_contingency_w2", lambda s, d: technique(s, d, "w2", "synthetic", publisher="contingency").cells)
+    register("report_rank_error", lambda s, d: QUERIES["rank_error_sweep_w2"](s, d).groupBy("eps").pivot("method", ["NQ", "TRIM", "CUT"]).agg(F.first("mean_error")), "SELECT eps, max(mean_error) FILTER (WHERE method = 'NQ') AS NQ, max(mean_error) FILTER (WHERE method = 'TRIM') AS TRIM, max(mean_error) FILTER (WHERE method = 'CUT') AS CUT FROM (" + ORACLES["rank_error_sweep_w2"] + ") q GROUP BY eps")
+    register("neighbours_w2", _neighbours, clean("w2").add("one", "SELECT cell FROM m ORDER BY cell LIMIT 1").select("SELECT CAST(1 AS BIGINT) AS count_change, CAST(1 AS BIGINT) AS changed, CASE WHEN (SELECT sum(cnt) FROM m JOIN (SELECT cell AS c FROM one) o ON cell // 40 // 2 = c // 40 // 2 AND cell % 40 // 2 = c % 40 // 2) = 1 THEN 1 ELSE 0 END AS nonpositive_change").replace("THEN 1 ELSE 0 END AS nonp", "THEN CAST(1 AS BIGINT) ELSE 0 END AS nonp"))
+    register("audit_ratio_w2", _audit)
+    register("run_cost_w2", _cost)
+
+
+def _neighbours(s: SparkSession, d: str) -> DataFrame:
+    """Counts with and without one record of the first occupied cell."""
+    wl = WORKLOADS["w2"]
+    counts = kept_counts(s, d, "w2")
+    first = counts.agg(F.min("cell").alias("c"))
+    other = counts.crossJoin(F.broadcast(first)).select("cell", (F.col("cnt") - (F.col("cell") == F.col("c")).cast("long")).alias("cnt")).where("cnt > 0")
+    return me.neighbour_audit(counts, other, wl.spec)
+
+
+def _audit(s: SparkSession, d: str) -> DataFrame:
+    """Released ranks of the drawn cut on neighbouring matrices, over many keyed runs."""
+    from dpgrid.operators import audit
+    from dpgrid.operators.privacy import exponential_cut
+    from dpgrid.operators.threshold import rank_intervals
+
+    wl, lines = WORKLOADS["w2"], runs_frame(s, [1.0], 2000)
+    counts = kept_counts(s, d, "w2")
+    first = counts.agg(F.min("cell").alias("c"))
+    other = counts.crossJoin(F.broadcast(first)).select("cell", (F.col("cnt") - (F.col("cell") == F.col("c")).cast("long")).alias("cnt")).where("cnt > 0")
+    made = []
+    for i, c in enumerate((counts, other)):  # each with draws of its own
+        b = materialise(wavelet_transform(c, wl.spec), "band")
+        made.append(audit.released_rank(exponential_cut(rank_intervals(b), percentile_cut(b, wl.p), lines, f"{KEY}{i}", 1.0)))
+    return audit.frequency_ratio(*made, 1.0).select("outcome", "n", "m", r6("log_ratio"), "within")
+
+
+def _cost(s: SparkSession, d: str) -> DataFrame:
+    from dpgrid.operators import audit
+
+    names = ("quantize_w2", "nq_w2", "trim_w2", "cut_release_w2")
+    made = None
+    for n in names:
+        part = audit.run_cost(s, n, lambda n=n: QUERIES[n](s, d))
+        made = part if made is None else made.unionByName(part)
+    return made
+
+
+for _part in (_measures, _experiments, _relational, _streams, _surface):
     _part()

@@ -289,7 +289,15 @@ def publish_marginals(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs:
     return cube.crossJoin(F.broadcast(runs)).select(*RUN, "marginal", *names, noisy.alias("cnt"))
 
 
-PUBLISHERS = {"uniform": publish_uniform, "adaptive_grid": publish_adaptive, "quadtree": publish_quadtree, "kd": publish_kd, "wavelet": publish_wavelet}
+def publish_contingency(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str) -> DataFrame:
+    """The full contingency table of the cells themselves, with noise on each."""
+    from dpgrid.operators.privacy import private_quantize
+
+    noisy = private_quantize(quantize(df, cols, spec), spec, runs, key)
+    return noisy.select(*RUN, F.col("cell").alias("leaf"), *_box(spec, coordinates(F.col("cell"), spec.g), list(map(F.lit, spec.g))), F.col("cnt_noisy").alias("cnt"))
+
+
+PUBLISHERS = {"contingency": publish_contingency, "uniform": publish_uniform, "adaptive_grid": publish_adaptive, "quadtree": publish_quadtree, "kd": publish_kd, "wavelet": publish_wavelet}
 
 
 def sample_boxes(leaves: DataFrame, key: str, n: int = 2) -> DataFrame:

@@ -40,10 +40,22 @@ def _mirror(low: tuple[float, ...]) -> tuple[float, ...]:
 
 
 _D4 = tuple(t / (4 * _R2) for t in (1 + _R3, 3 + _R3, 3 - _R3, 1 - _R3))
+_D6 = tuple(
+    t * _R2 / 32
+    for t in (
+        1 + math.sqrt(10) + math.sqrt(5 + 2 * math.sqrt(10)),
+        5 + math.sqrt(10) + 3 * math.sqrt(5 + 2 * math.sqrt(10)),
+        10 - 2 * math.sqrt(10) + 2 * math.sqrt(5 + 2 * math.sqrt(10)),
+        10 - 2 * math.sqrt(10) - 2 * math.sqrt(5 + 2 * math.sqrt(10)),
+        5 + math.sqrt(10) - 3 * math.sqrt(5 + 2 * math.sqrt(10)),
+        1 + math.sqrt(10) - math.sqrt(5 + 2 * math.sqrt(10)),
+    )
+)
 #: Published filter taps, low-pass normalised to a sum of the square root of two.
 REGISTRY: dict[str, Wavelet] = {
     "haar": Wavelet("haar", (1 / _R2, 1 / _R2), (1 / _R2, -1 / _R2)),
     "db2": Wavelet("db2", _D4, _mirror(_D4)),
+    "db3": Wavelet("db3", _D6, _mirror(_D6)),
     "bior2.2": Wavelet("bior2.2", tuple(_R2 * t for t in (-1 / 8, 1 / 4, 3 / 4, 1 / 4, -1 / 8)), tuple(_R2 * t for t in (-1 / 4, 1 / 2, -1 / 4)), -2, 0),
 }
 

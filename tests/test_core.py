@@ -78,7 +78,7 @@ def test_haar_by_hand_and_energy(spark):
     assert {r["band"] for r in every} == {"LL", "LH", "HL", "HH"}
 
 
-@pytest.mark.parametrize("name", ["haar", "db2", "bior2.2"])
+@pytest.mark.parametrize("name", ["haar", "db2", "db3", "bior2.2"])
 def test_wavelets_keep_constants_and_shift(spark, name):
     spec = GridSpec((0.0, 0.0), (1.0, 1.0), (12, 12))
     flat = {r["wcell"]: r["w"] for r in wavelet_transform(matrix(spark, np.ones((12, 12))), spec, name).collect()}
@@ -293,7 +293,7 @@ def test_negative_counts_cancel_in_ranges_but_not_in_points(spark):
     assert areal.agg(F.sum("cnt")).first()[0] == pytest.approx(14.0)
 
 
-@pytest.mark.parametrize("publisher", ["uniform", "adaptive_grid", "quadtree", "kd", "wavelet"])
+@pytest.mark.parametrize("publisher", ["contingency", "uniform", "adaptive_grid", "quadtree", "kd", "wavelet"])
 def test_publishers_with_large_budget_find_the_points(spark, publisher):
     rng = np.random.default_rng(0)
     rows = [tuple(map(float, x)) for x in np.clip(rng.normal((0.3, 0.6), 0.05, (400, 2)), 0, 1)]
@@ -357,3 +357,47 @@ def test_assignment_of_points_and_summaries(spark):
 def test_sign_counts_include_absent_cells(spark):
     row = count_signs(band_of(spark, [3, 0, -1]), 10).first()
     assert (row["n_pos"], row["n_nonpos"]) == (1, 9)
+
+
+def test_shape_source_and_sql_helper(spark):
+    from dpgrid.plans import sqlapi
+    from dpgrid.sources.shapes import ShapeSource
+
+    spark.dataSource.register(ShapeSource)
+    two = spark.read.format("dpgrid_shapes").option("shape", "two").option("rows", 2000).load()
+    assert two.count() == 2000 and two.select("point_id").distinct().count() == 2000
+    two.createOrReplaceTempView("two_discs")
+    cells = sqlapi.sql_cluster(spark, "two_discs", "two_cells", ["x0", "x1"], unit(24), 0.1)
+    assert spark.sql("SELECT count(DISTINCT cluster) FROM two_cells").first()[0] == 2 == cells.select("cluster").distinct().count()
+    private = sqlapi.sql_cluster(spark, "two_discs", "two_private", ["x0", "x1"], unit(24), 0.1, "trimmed", 5.0, "secret")
+    assert set(private.columns) == {"eps_i", "rep", "wcell", "cluster"}
+    sqlapi.register_sql(spark)
+    assert spark.sql("SELECT count(*) FROM boxes_to_points(0e0, 1e0, 0e0, 1e0, 3.4e0)").first()[0] == 3
+    assert sorted(r[0] for r in spark.sql("SELECT * FROM grid_neighbors(0, 3, 3, false)").collect()) == [1, 3]
+
+
+def test_periodic_components_join_opposite_edges(spark):
+    df = spark.createDataFrame([(0, 1.0), (3, 1.0), (9, 1.0)], "wcell long, w double")
+    labels_ = {r["wcell"]: r["cluster"] for r in connected_components(df, (3, 4), periodic=True).collect()}
+    assert labels_ == {0: 0, 3: 0, 9: 9}
+    assert labels_ == {r["wcell"]: r["cluster"] for r in connected_components(df, (3, 4), strategy="iterate", periodic=True).collect()}
+
+
+def test_graph_components_on_long_paths_and_stars(spark):
+    from dpgrid.plans.graph import connected_components as graph
+
+    rows = [(i, i + 1) for i in range(60)] + [(100, 100 + i) for i in range(1, 40)] + [(7, 7), (None, 3), (5, 4)]
+    got = {r["vertex"]: r["component"] for r in graph(spark.createDataFrame(rows, "src long, dst long")).collect()}
+    assert all(got[i] == 0 for i in range(61)) and all(got[100 + i] == 100 for i in range(40)) and len(got) == 101
+    assert graph(spark.createDataFrame([], "src long, dst long")).count() == 0
+
+
+def test_audit_accepts_equal_and_rejects_far_distributions(spark):
+    from dpgrid.operators import audit
+
+    a = spark.range(2000).select((F.col("id") % 2).alias("outcome"))
+    b = spark.range(2000).select((F.col("id") % 10 == 0).cast("long").alias("outcome"))
+    assert all(r["within"] for r in audit.frequency_ratio(a, a, 0.1).collect())
+    assert not all(r["within"] for r in audit.frequency_ratio(a, b, 0.1).collect())
+    cost = audit.run_cost(spark, "range", lambda: spark.range(50)).first()
+    assert cost["rows"] == 50 and cost["jobs"] >= 1
