@@ -236,13 +236,13 @@ def _techniques() -> None:
         for name, method in (("nq", "noisy_counts"), ("trim", "trimmed"), ("cut_release", "sampled_cut")):
             sql = private_sql(w, method).components(WORKLOADS[w].spec.coarse(1), by=RUN).select("SELECT eps_i, rep, wcell, cluster FROM lab")
             register(f"{name}_{w}", lambda s, d, w=w, method=method: technique(s, d, w, method).cells.select(*RUN, "wcell", "cluster"), sql)
-        register(f"syn_adaptive_{w}", lambda s, d, w=w: technique(s, d, w, "synthetic").cells)
+        register(f"syn_adaptive_{w}", lambda s, d, w=w: technique(s, d, w, "synthetic").cells, _drawn_sql(_adaptive_sql(w), w))
     for publisher in ("quadtree", "kd", "wavelet"):
         register(f"syn_{publisher}_w2", lambda s, d, publisher=publisher: technique(s, d, "w2", "synthetic", publisher=publisher).cells)
     uniform_leaves = _uniform_sql("w2")
     register("publish_uniform_w2", lambda s, d: pu.publish_uniform(pts("w2")(s, d), ["x0", "x1"], WORKLOADS["w2"].spec, runs(s), KEY).select(*RUN, "leaf", r6("lo0"), r6("hi0"), r6("lo1"), r6("hi1"), r6("cnt")), uniform_leaves.select("SELECT eps_i, rep, leaf, round(lo0, 6) AS lo0, round(hi0, 6) AS hi0, round(lo1, 6) AS lo1, round(hi1, 6) AS hi1, round(cnt, 6) AS cnt FROM leaves"))
     register("syn_uniform_w2", lambda s, d: technique(s, d, "w2", "synthetic", publisher="uniform").cells, _drawn_sql(_uniform_sql("w2"), "w2"))
-    register("syn_areal_w2", lambda s, d: technique(s, d, "w2", "synthetic", synth="areal").cells)
+    register("syn_areal_w2", lambda s, d: technique(s, d, "w2", "synthetic", synth="areal").cells, _areal_sql(_adaptive_sql("w2"), "w2"))
     register("publish_adaptive_w2", lambda s, d: pu.publish_adaptive(pts("w2")(s, d), ["x0", "x1"], WORKLOADS["w2"].spec, runs(s), KEY).select(*RUN, "leaf", r6("cnt")), _adaptive_sql("w2").select("SELECT eps_i, rep, leaf, round(cnt, 6) AS cnt FROM leaves"))
     cube = f"SELECT eps_i, rep, CAST(marginal AS INT) AS marginal, i0, i1, round(c + {duck.laplace(uniform(KEY, 'cube', 'eps_i', 'rep', 'place'), '4e0 / eps')}, 6) AS cnt FROM cu CROSS JOIN runs"
     spec = WORKLOADS["w2"].spec
@@ -273,8 +273,22 @@ def _adaptive_sql(w: str) -> Query:
     inner = "CAST(greatest(least(floor((x0 - (0e0 + a * (1e0 / p.m))) / (1e0 / p.m) * m2), m2 - 1), 0) AS BIGINT) * m2 + CAST(greatest(least(floor((x1 - (0e0 + b * (1e0 / p.m))) / (1e0 / p.m) * m2), m2 - 1), 0) AS BIGINT)"
     q.add("lc", f"SELECT p.eps_i, t.rep, t.top, {inner} AS inr, count(*) AS c FROM placed p JOIN tops t ON t.eps_i = p.eps_i AND t.top = p.a * p.m + p.b GROUP BY ALL")
     u = f"coalesce(c, 0) + {duck.laplace(uniform(KEY, 'agrid2', 'eps_i', 'rep', 'top', 'inr'), '1e0 / (eps * 0.5e0)')}"
-    q.add("us", f"SELECT eps_i, rep, top, inr, m2, v, {u} AS u FROM (SELECT *, unnest(range(m2 * m2)) AS inr FROM tops) d LEFT JOIN lc USING (eps_i, rep, top, inr)")
-    return q.add("leaves", "SELECT eps_i, rep, top * 1000000 + inr AS leaf, u + ((0.25e0 * m2 * m2 * v + 0.25e0 * s) / (0.25e0 + 0.25e0 * m2 * m2) - s) / (m2 * m2) AS cnt FROM (SELECT *, sum(u) OVER (PARTITION BY eps_i, rep, top) AS s FROM us) q")
+    q.add("us", f"SELECT eps_i, rep, m, top, inr, m2, v, {u} AS u FROM (SELECT *, unnest(range(m2 * m2)) AS inr FROM tops) d LEFT JOIN lc USING (eps_i, rep, top, inr)")
+    return q.add("leaves", "SELECT eps_i, rep, top * 1000000 + inr AS leaf, (top // m * m2 + inr // m2) * (1e0 / (m * m2)) AS lo0, (top // m * m2 + inr // m2 + 1) * (1e0 / (m * m2)) AS hi0, (top % m * m2 + inr % m2) * (1e0 / (m * m2)) AS lo1, (top % m * m2 + inr % m2 + 1) * (1e0 / (m * m2)) AS hi1, u + ((0.25e0 * m2 * m2 * v + 0.25e0 * s) / (0.25e0 + 0.25e0 * m2 * m2) - s) / (m2 * m2) AS cnt FROM (SELECT *, sum(u) OVER (PARTITION BY eps_i, rep, top) AS s FROM us) q")
+
+
+def _areal_sql(q: Query, w: str) -> str:
+    """Rounded counts of ``leaves`` shared out by overlap, then the plain algorithm on them."""
+    spec = WORKLOADS[w].spec
+    g = spec.g[0]
+    q.add("whole", "SELECT eps_i, rep, lo0, hi0, lo1, hi1, floor(greatest(cnt, 0e0) + 0.5e0) AS n FROM leaves WHERE floor(greatest(cnt, 0e0) + 0.5e0) > 0")
+    for a in range(2):
+        source = "whole" if a == 0 else "axis0"
+        edge = lambda x, a=a: f"CAST(greatest(least(floor(({x}{a} {'+' if x == 'lo' else '-'} 1e-12) * {g}), {g - 1}), 0) AS BIGINT)"
+        over = f"greatest(least(hi{a}, (i{a} + 1) / {num(g)}) - greatest(lo{a}, i{a} / {num(g)}), 0e0) / (hi{a} - lo{a})"
+        q.add(f"axis{a}", f"SELECT *, {over} AS f{a} FROM (SELECT *, unnest(range({edge('lo')}, {edge('hi')} + 1)) AS i{a} FROM {source}) z")
+    q.add("sm", f"SELECT eps_i, rep, i0 * {g} + i1 AS cell, round(sum(n * f0 * f1) * 1048576e0) / 1048576e0 AS cnt FROM axis1 GROUP BY ALL").haar(spec, 1, "sm", "sband", "eps_i, rep,")
+    return q.cut(WORKLOADS[w].p, "sband", "scut", RUN).keep("sband", "scut", "kept", RUN).components(spec.coarse(1), by=RUN).select("SELECT eps_i, rep, wcell, cluster FROM lab")
 
 
 def _drawn_sql(q: Query, w: str) -> str:

@@ -18,7 +18,7 @@ from dpgrid.operators.quantize import quantize
 from dpgrid.operators.threshold import percentile_cut, significant_cells
 from dpgrid.operators.wavelet import wavelet_transform
 from dpgrid.plans import duck
-from dpgrid.plans.duck import num
+from dpgrid.plans.duck import Query, num
 from dpgrid.plans.scratch import materialise, new_path
 from dpgrid.sources.workloads import WORKLOADS
 from dpgrid.streaming import windows as win
@@ -132,7 +132,10 @@ def _experiments() -> None:
     register("exp_wavelets", _wavelet_study)
     register("exp_bridge_record", lambda s, d: bridge_record(s), "SELECT * FROM (VALUES ('without', CAST(9 AS BIGINT), CAST(2 AS BIGINT)), ('with', 10, 1)) t(data, k, clusters)")
     register("exp_synthetic_merge", lambda s, d: _with_truth(s, d, "w1", runs_frame(s, [0.5, 1.0], 5), lambda t, m, lines: me.cluster_counts(t, m.cells, lines), "clusters_private"))
-    register("exp_theory_nq", _theory)
+    x = "(2e0 * eps * w)"
+    tail = f"exp(-{x}) * (48 + 33 * {x} + 9 * {x} * {x} + {x} * {x} * {x}) / 96"
+    theory = private_sql("w2", "noisy_counts", list(SWEEP), SWEEP_REPS).cut(0.10, "band", "ccut").add("th", f"SELECT eps_i, eps, sum({tail}) AS theta FROM (SELECT DISTINCT eps_i, eps FROM runs) r CROSS JOIN band WHERE w > 0 GROUP BY ALL").add("mk", "SELECT eps_i, avg(k_priv) AS mean_k FROM pcut GROUP BY eps_i")
+    register("exp_theory_nq", _theory, theory.select(f"SELECT eps, k, round(mean_k - k, 6) AS measured, round(0.9e0 * (({coarse('w2')} - n_pos) / 2e0 - theta), 6) AS predicted FROM th JOIN mk USING (eps_i) CROSS JOIN ccut"))
     register("exp_bounds", _bound_study)
 
 
@@ -354,7 +357,11 @@ def _surface() -> None:
     register("percentiles_w2", lambda s, d: band(s, d, "w2").where("w > 0").agg(r6(F.expr("percentile(w, 0.25)"), "p25"), r6(F.expr("percentile_cont(0.5) WITHIN GROUP (ORDER BY w)"), "p50"), r6(F.expr("percentile_disc(0.9) WITHIN GROUP (ORDER BY w)"), "p90"), F.count_distinct("w").alias("different"), F.bool_and(F.col("w") > 0).alias("positive")), clean("w2").select("SELECT round(quantile_cont(w, 0.25), 6) AS p25, round(quantile_cont(w, 0.5), 6) AS p50, round(quantile_disc(w, 0.9), 6) AS p90, count(DISTINCT w) AS different, bool_and(w > 0) AS positive FROM band WHERE w > 0"))
     register("adjacency_edges_w2", lambda s, d: edges(significant_cells(band(s, d, "w2"), p=0.10)[0], g).select("a", "b"), clean("w2").cut(0.10).keep("band", "cut").select("SELECT a.wcell AS a, b.wcell AS b FROM kept a JOIN kept b ON b.wcell = a.wcell + 20 OR (b.wcell = a.wcell + 1 AND a.wcell % 20 < 19)"))
     register("components_periodic_w2", lambda s, d: connected_components(significant_cells(band(s, d, "w2"), p=0.10)[0], g, periodic=True).select("wcell", "cluster"))
-    register("syn_contingency_w2", lambda s, d: technique(s, d, "w2", "synthetic", publisher="contingency").cells)
+    from dpgrid.catalog import _drawn_sql
+
+    spec = wl.spec
+    cells = f"SELECT eps_i, rep, q.cell AS leaf, q.cell // 40 * 0.025e0 AS lo0, (q.cell // 40 + 1) * 0.025e0 AS hi0, q.cell % 40 * 0.025e0 AS lo1, (q.cell % 40 + 1) * 0.025e0 AS hi1, coalesce(cnt, 0) + {duck.laplace(duck.uniform(KEY, 'count', 'eps_i', 'rep', 'q.cell'), '1e0 / eps')} AS cnt FROM (SELECT unnest(range({spec.cells})) AS cell) q LEFT JOIN m ON m.cell = q.cell CROSS JOIN runs"
+    register("syn_contingency_w2", lambda s, d: technique(s, d, "w2", "synthetic", publisher="contingency").cells, _drawn_sql(Query().points("w2").counts("w2").runs(list(EPS), REPS).add("leaves", cells), "w2"))
     register("report_rank_error", lambda s, d: QUERIES["rank_error_sweep_w2"](s, d).groupBy("eps").pivot("method", ["NQ", "TRIM", "CUT"]).agg(F.first("mean_error")), "SELECT eps, max(mean_error) FILTER (WHERE method = 'NQ') AS NQ, max(mean_error) FILTER (WHERE method = 'TRIM') AS TRIM, max(mean_error) FILTER (WHERE method = 'CUT') AS CUT FROM (" + ORACLES["rank_error_sweep_w2"] + ") q GROUP BY eps")
     register("neighbours_w2", _neighbours, clean("w2").add("one", "SELECT cell FROM m ORDER BY cell LIMIT 1").select("SELECT CAST(1 AS BIGINT) AS count_change, CAST(1 AS BIGINT) AS changed, CASE WHEN (SELECT sum(cnt) FROM m JOIN (SELECT cell AS c FROM one) o ON cell // 40 // 2 = c // 40 // 2 AND cell % 40 // 2 = c % 40 // 2) = 1 THEN 1 ELSE 0 END AS nonpositive_change").replace("THEN 1 ELSE 0 END AS nonp", "THEN CAST(1 AS BIGINT) ELSE 0 END AS nonp"))
     register("audit_ratio_w2", _audit)

@@ -313,7 +313,10 @@ def sample_boxes(leaves: DataFrame, key: str, n: int = 2) -> DataFrame:
 
 
 def areal_counts(leaves: DataFrame, spec: GridSpec) -> DataFrame:
-    """``eps_i, rep, cell, cnt``: rounded counts shared out by overlap with the cells, without drawing any point."""
+    """``eps_i, rep, cell, cnt``: rounded counts shared out by overlap with the cells, without drawing any point.
+
+    Shares are rounded to 2^-20, so that later sums are exact and ties do not depend on the order of addition.
+    """
     made = leaves.withColumn("whole", F.floor(F.greatest(F.col("cnt"), F.lit(0.0)) + 0.5)).where("whole > 0")
     names = []
     for a in range(spec.n):
@@ -328,7 +331,7 @@ def areal_counts(leaves: DataFrame, spec: GridSpec) -> DataFrame:
     share = F.col("whole")
     for a in range(spec.n):
         share = share * F.col(f"_f{a}")
-    return made.groupBy(*RUN, linear([F.col(x) for x in names], spec.g).alias("cell")).agg(F.sum(share).alias("cnt"))
+    return made.groupBy(*RUN, linear([F.col(x) for x in names], spec.g).alias("cell")).agg((F.round(F.sum(share) * 2.0**20) / 2.0**20).alias("cnt"))
 
 
 def range_count(leaves: DataFrame, boxes: DataFrame, n: int = 2) -> DataFrame:
