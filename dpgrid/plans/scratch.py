@@ -6,7 +6,9 @@ back: the files are compressed, survive lost executors, and give the next plan e
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
 import uuid
 
@@ -28,7 +30,9 @@ def shared_dir(spark: SparkSession) -> str:
         raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     app = spark.sparkContext.applicationId
     if app not in _LOCAL:
-        _LOCAL[app] = "file://" + tempfile.mkdtemp(prefix="dpgrid_")
+        made = tempfile.mkdtemp(prefix="dpgrid_")
+        atexit.register(shutil.rmtree, made, ignore_errors=True)
+        _LOCAL[app] = "file://" + made
     return _LOCAL[app]
 
 
