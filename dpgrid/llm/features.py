@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from dpgrid.llm.arrow import chunks, column, out
+from dpgrid.llm.sampling import least_hashed
 
 #: Places of the regions: bytes, byte pairs, byte triples, words, word pairs.
 REGIONS = (256, 1024, 2048, 1024, 1024)
@@ -67,12 +68,8 @@ def labelled_vectors(docs: DataFrame, labels: DataFrame, most: int, id_col: str
     ``most`` bounds what reaches the driver, at ``4 * WIDTH`` bytes a row before compression. A
     document that occurs in several rows counts once for each. Rows come in order of id, so models repeat exactly.
     """
-    chosen = (
-        labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull())
-        .select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label"))
-        .orderBy(F.xxhash64("doc_id"), "doc_id", "label")
-        .limit(most)
-    )
+    sound = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull())
+    chosen = least_hashed(sound.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label")), ["doc_id", "label"], most)
     plain = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     rows = plain.join(F.broadcast(chosen), "doc_id")  # at most ``most`` rows of two numbers
 

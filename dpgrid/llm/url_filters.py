@@ -25,6 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from dpgrid.llm.arrow import column, out, strings
+from dpgrid.llm.sampling import least_hashed
 
 #: Labelled urls that are learnt from, at most.
 SAMPLE = 20_000
@@ -203,7 +204,7 @@ def with_rules(pages: DataFrame, rules: list[Rule], url_col: str = "url") -> Dat
 def train(ruled: DataFrame, url_col: str = "url", sample: int = SAMPLE) -> UrlModel:
     """Fit on at most ``sample`` of the urls that a rule decides: those of least hash."""
     chosen = ruled.where(F.col("verdict").isNotNull()).select(F.col(url_col).alias("url"), "host", "path", (F.col("verdict") == "block").cast("double").alias("y"))
-    got = chosen.orderBy(F.xxhash64("url"), "url").limit(sample).toArrow()
+    got = least_hashed(chosen, ["url"], sample).toArrow()
     return fit_urls(got["url"].to_pylist(), got["host"].to_pylist(), got["path"].to_pylist(), got["y"].to_numpy())
 
 
