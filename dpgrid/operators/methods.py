@@ -106,6 +106,11 @@ def ascii_map(cells: DataFrame, spec: GridSpec, level: int = 1) -> DataFrame:
     return full.groupBy("line").agg(F.array_join(F.transform(cell, lambda s: s["mark"]), "").alias("picture"))
 
 
+def _drawn_band(*args) -> DataFrame:
+    """The noisy band, drawn once and written: ranking and selection read numbers instead of hashing again."""
+    return materialise(_noisy_band(*args), "noisy_band")
+
+
 def _noisy_band(counts: DataFrame, spec: GridSpec, runs: DataFrame, key: str, share: float, o: Options) -> DataFrame:
     s = sensitivity_count(o.neighbor)
     if get_wavelet(o.wavelet).haar:
@@ -135,7 +140,7 @@ def release_noisy_counts(counts: DataFrame, spec: GridSpec, p: float, runs: Data
     """Noise on the counts only; rank and cut read the noisy band."""
     ledger = Ledger(1.0)
     ledger.parallel([1.0], "counts")
-    band = _noisy_band(counts, spec, runs, key, 1.0, o)
+    band = _drawn_band(counts, spec, runs, key, 1.0, o)
     cut = percentile_cut(band, p, RUN, o.rounding)
     return _released(keep_cells(band, cut, RUN, o.ties), cut.select(*RUN, F.col("k").alias("k_priv"), F.col("d").alias("d_priv")), band, ledger, spec, o)
 
@@ -147,7 +152,7 @@ def release_trimmed(counts: DataFrame, spec: GridSpec, p: float, runs: DataFrame
     ledger = Ledger(1.0)
     ledger.parallel([alpha], "counts")
     ledger.spend(1 - alpha, "non-positive count")
-    band = _noisy_band(counts, spec, runs, key, alpha, o)
+    band = _drawn_band(counts, spec, runs, key, alpha, o)
     clean = count_signs(wavelet_transform(counts, spec, o.wavelet, o.level), _coarse_cells(spec, o.level))
     z = noisy_nonpositive(clean, runs, key, 1 - alpha, sensitivity_z(o.wavelet, spec.n, o.neighbor), o.source)
     drop = z.select(*RUN, F.floor(F.col("z_noisy") / 2).cast("long").alias("r"))
@@ -165,7 +170,7 @@ def release_sampled_cut(counts: DataFrame, spec: GridSpec, p: float, runs: DataF
     ledger = Ledger(1.0)
     ledger.parallel([alpha], "counts")
     ledger.spend(1 - alpha, "cut")
-    band = _noisy_band(counts, spec, runs, key, alpha, o)
+    band = _drawn_band(counts, spec, runs, key, alpha, o)
     clean = wavelet_transform(counts, spec, o.wavelet, o.level)
     k = percentile_cut(clean, p, (), o.rounding)
     drawn = exponential_cut(rank_intervals(clean, (), upper), k, runs, key, 1 - alpha, sensitivity_rank(o.wavelet, spec.n, o.neighbor), sampler, o.source)
@@ -182,7 +187,7 @@ def release_ablation(counts: DataFrame, spec: GridSpec, p: float, runs: DataFram
         kept = keep_cells(band, drawn, RUN, "strict")
         out = drawn.select(*RUN, "k_priv", F.col("d").alias("d_priv"))
     elif which == "clean_cut":
-        band = _noisy_band(counts, spec, runs, key, alpha, o)
+        band = _drawn_band(counts, spec, runs, key, alpha, o)
         lines = runs.select(*RUN).crossJoin(cut.select("k", "d"))
         kept = keep_cells(band, lines, RUN, o.ties)
         out = lines.select(*RUN, F.col("k").alias("k_priv"), F.col("d").alias("d_priv"))

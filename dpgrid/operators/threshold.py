@@ -44,15 +44,19 @@ def cut_at(band: DataFrame, ranks: DataFrame, by: Sequence[str] = ()) -> DataFra
 
 
 def percentile_cut(band: DataFrame, p: float, by: Sequence[str] = (), rounding: str = "ceil", drop: DataFrame | None = None) -> DataFrame:
-    """``by..., n_pos, k, d`` of the rank rule; ``drop`` (``by..., r``) takes that many least positives off first."""
-    n = band.where(F.col("w") > 0).groupBy(*by).agg(F.count(F.lit(1)).alias("n_pos"))
-    if drop is None:
-        ranks = n.withColumn("k", F.least(F.col("n_pos"), top_count("n_pos", p, rounding)))
-    else:
-        both = n.join(drop, list(by)) if by else n.crossJoin(drop)
+    """``by..., n_pos, k, d`` of the rank rule; ``drop`` (``by..., r``) takes that many least positives off first.
+
+    Counts, ranks and the cut come from one histogram, so the band is read once.
+    """
+    hist = value_histogram(band, by).withColumn("n_pos", F.sum("mult").over(Window.partitionBy(*by)))
+    left = F.col("n_pos")
+    if drop is not None:
+        lines = F.broadcast(drop.select(*by, "r"))  # one number per run
+        hist = hist.join(lines, list(by)) if by else hist.crossJoin(lines)
         left = F.col("n_pos") - F.least(F.greatest(F.col("r"), F.lit(0)), F.col("n_pos"))
-        ranks = both.withColumn("k", F.least(F.col("n_pos"), top_count(left, p, rounding))).select(*by, "n_pos", "k")
-    return cut_at(band, ranks, by)
+    ranked = hist.withColumn("k", F.least(F.col("n_pos"), top_count(left, p, rounding)))
+    d = F.max(F.when((F.col("k") > 0) & (F.col("rank_ge") >= F.col("k")), F.col("w")))
+    return ranked.groupBy(*by, "n_pos", "k").agg(d.alias("d"))
 
 
 def bracket_cut(band: DataFrame, p: float, rounding: str = "ceil", accuracy: int = 1000) -> DataFrame:
