@@ -14,7 +14,7 @@ from dpgrid.operators import tree as tr
 from dpgrid.operators.components import connected_components
 from dpgrid.operators.grid import block_of, cell_of, coordinates, unit
 from dpgrid.operators.privacy import RUN, runs_frame
-from dpgrid.operators.quantize import quantize
+from dpgrid.operators.quantize import occupied_cells, quantize
 from dpgrid.operators.threshold import percentile_cut, significant_cells
 from dpgrid.operators.wavelet import wavelet_transform
 from dpgrid.plans import duck
@@ -312,11 +312,31 @@ def _streams() -> None:
     register("tumbling_events", lambda s, d: win.run_available(win.windowed_counts(win.clock_points(win.event_stream(s, d)), ["x0", "x1"], spec), "tumbling").select(win.start_text(), "cell", "cnt"), f"SELECT {text('start')} AS start, cell, count(*) AS cnt FROM (SELECT date_trunc('hour', ts) AS start, cell FROM {pt} p) q WHERE start + INTERVAL 1 HOUR <= {closed} GROUP BY ALL")
     register("sliding_events", lambda s, d: win.run_available(win.windowed_counts(win.clock_points(win.event_stream(s, d)), ["x0", "x1"], spec, "2 hours", "1 hour"), "sliding").select(win.start_text(), "cell", "cnt"), f"SELECT {text('start')} AS start, cell, count(*) AS cnt FROM (SELECT date_trunc('hour', ts) - INTERVAL (unnest([0, 1])) HOUR AS start, cell FROM {pt} p) q WHERE start + INTERVAL 2 HOUR <= {closed} GROUP BY ALL")
     register("session_events", lambda s, d: win.run_available(win.session_counts(win.clock_points(win.event_stream(s, d))), "session").select("user_id", win.start_text(), "n"), f"SELECT user_id, {text('min(ts)')} AS start, count(*) AS n FROM (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS g FROM (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events) a) b GROUP BY user_id, g HAVING max(ts) + INTERVAL 30 MINUTE <= {closed}")
+    spans = "SELECT event_id % 500 AS span, min(ts) AS begin, min(ts) + INTERVAL 90 MINUTE AS finish FROM events GROUP BY 1"
+    register("interval_join_events", _interval_join, f"SELECT span, count(*) AS n, sum(CAST(round(value * 100) AS BIGINT)) AS cents FROM events e JOIN ({spans}) s ON e.ts >= s.begin AND e.ts < s.finish GROUP BY span")
+    register("occupied_w4", lambda s, d: occupied_cells(pts("w4")(s, d), ["x0", "x1"], WORKLOADS["w4"].spec), clean("w4").select("SELECT count(*) AS occupied FROM m"))
+    register("running_counts_events", lambda s, d: _running(s, d), f"SELECT cell, count(*) AS cnt FROM {pt} p GROUP BY cell")
     register("stream_release_events", _stream_release)
     register("stream_cap_events", lambda s, d: win.run_available(win.cap_stream(win.clock_points(win.event_stream(s, d)), 3), "cap").groupBy("user_id").agg(F.count(F.lit(1)).alias("n")), "SELECT user_id, least(count(*), 3) AS n FROM events GROUP BY user_id")
     register("stream_labels_events", _stream_labels)
 
 
+def _interval_join(s: SparkSession, d: str) -> DataFrame:
+    events = s.read.parquet(f"{d}/events.parquet").select("event_id", "value", F.col("ts").cast("timestamp").alias("ts"))
+    begin = events.groupBy((F.col("event_id") % 500).alias("span")).agg(F.min("ts").alias("begin"))
+    spans = begin.withColumn("finish", F.col("begin") + F.expr("INTERVAL 90 MINUTES"))
+    held = win.events_in_windows(events.select("ts", "value"), spans)
+    return held.groupBy("span").agg(F.count(F.lit(1)).alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents"))
+
+
+def _running(s: SparkSession, d: str) -> DataFrame:
+    """Totals after each batch, kept by overwriting one small table."""
+    path = new_path(s, "running")
+    stream = win.running_counts(win.clock_points(win.event_stream(s, d)), ["x0", "x1"], unit(8))
+    win.run_available(stream, "running", lambda batch, _: batch.write.mode("overwrite").parquet(path), "complete")
+    return s.read.schema("cell long, cnt long").parquet(path)
+
+
 def _stream_release(s: SparkSession, d: str) -> DataFrame:
     path = new_path(s, "stream_release")
     counts = win.windowed_counts(win.clock_points(win.event_stream(s, d)), ["x0", "x1"], unit(8), "7 days", late="1 day")

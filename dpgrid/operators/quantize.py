@@ -23,6 +23,12 @@ def quantize_vec(df: DataFrame, vec: str, spec: GridSpec, by: Sequence[str] = ()
     return sound.groupBy(*by, cell.alias("cell")).agg(F.count(F.lit(1)).alias("cnt"))
 
 
+def occupied_cells(df: DataFrame, cols: Sequence[str], spec: GridSpec, approximate: bool = False) -> DataFrame:
+    """One row, ``occupied``: how many cells hold a point, exactly or by a sketch of constant size."""
+    cell = cell_of(list(cols), spec)
+    return inside(df, list(cols), spec).agg((F.approx_count_distinct(cell) if approximate else F.count_distinct(cell)).alias("occupied"))
+
+
 def densify(counts: DataFrame, spec: GridSpec, runs: DataFrame | None = None, by: Sequence[str] = ()) -> DataFrame:
     """Every cell (of every run), empty ones with 0."""
     domain = counts.sparkSession.range(spec.dense_cells()).withColumnRenamed("id", "cell")

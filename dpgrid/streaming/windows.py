@@ -36,6 +36,24 @@ def windowed_counts(points: DataFrame, cols: Sequence[str], spec: GridSpec, wind
     return sound.groupBy(framed.alias("win"), cell_of(list(cols), spec).alias("cell")).agg(F.count(F.lit(1)).alias("cnt")).select(F.col("win.start").alias("start"), "cell", "cnt")
 
 
+def running_counts(points: DataFrame, cols: Sequence[str], spec: GridSpec) -> DataFrame:
+    """``cell, cnt`` over all that has arrived, for update or complete output; state is one number per occupied cell."""
+    return inside(points, list(cols), spec).groupBy(cell_of(list(cols), spec).alias("cell")).agg(F.count(F.lit(1)).alias("cnt"))
+
+
+def events_in_windows(events: DataFrame, spans: DataFrame, bucket_seconds: int = 3600) -> DataFrame:
+    """Join of events with the spans ``span, begin, finish`` that hold their time (begin <= ts < finish).
+
+    Spans are listed under each bucket of time that they touch, so the join is by equality of bucket, with the exact
+    comparison on what meets there.
+    """
+    bucket = lambda c: F.floor(F.unix_timestamp(c) / bucket_seconds)
+    touched = F.explode(F.sequence(bucket(F.col("begin")), bucket(F.col("finish"))))
+    listed = spans.select("span", "begin", "finish", touched.alias("bucket"))
+    placed = events.withColumn("bucket", bucket(F.col("ts")))
+    return placed.join(listed, "bucket").where((F.col("begin") <= F.col("ts")) & (F.col("ts") < F.col("finish"))).drop("bucket")
+
+
 def session_counts(points: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
     """``user_id, start, n`` of each user's sessions."""
     made = points.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("win"), "user_id").agg(F.count(F.lit(1)).alias("n"))
