@@ -10,6 +10,8 @@ import pyarrow.compute as pc
 
 #: Texts are handled in chunks of about so many bytes, so that a worker's memory does not depend on the batch.
 CHUNK_BYTES = 2_000_000
+#: Tokenizers take larger chunks: the fewer, the fewer distinct words they look up.
+ENCODE_BYTES = 6_000_000
 
 #: The space characters of all operators here: blank, tab, line feed, vertical tab, form feed, return.
 SPACES = " \t\n\x0b\x0c\r"

@@ -27,8 +27,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpgrid.llm.arrow import chunks, column, out, strings
-from dpgrid.llm.tokens import TextEncoder, byte_alphabet, split_words
+from dpgrid.llm.arrow import ENCODE_BYTES, chunks, column, out, strings
+from dpgrid.llm.tokens import TextEncoder, byte_alphabet, part_words
 
 #: Words of more symbols than this use the heap.
 SHORT = 40
@@ -193,7 +193,7 @@ class RankBpe:
 @lru_cache(maxsize=2)
 def rank_encoder(path: str) -> tuple[RankBpe, TextEncoder]:
     bpe = RankBpe(path)
-    return bpe, TextEncoder(split_words, bpe.encode_units, bpe.encode_text)
+    return bpe, TextEncoder(part_words, bpe.encode_units, bpe.encode_text)
 
 
 def bpe_round_trip(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -209,7 +209,7 @@ def bpe_digests(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_co
 def _mapped(docs: DataFrame, tokenizer: str, id_col: str, text_col: str, digest: bool) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe, encode = rank_encoder(tokenizer)
-        for piece in chunks(batches, "text"):
+        for piece in chunks(batches, "text", ENCODE_BYTES):
             rows = encode(strings(piece, "text"))
             doc = column(piece, "doc_id")
             if not digest:

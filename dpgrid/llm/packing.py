@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from dpgrid.llm.arrow import chunks, column, out, strings
+from dpgrid.llm.arrow import ENCODE_BYTES, chunks, column, out, strings
 from dpgrid.llm.tokens import library_encoder
 from dpgrid.plans.scratch import materialise
 
@@ -31,7 +31,7 @@ def encoded(docs: DataFrame, tokenizer: str, end_id: int, id_col: str = "doc_id"
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         library, part, at, end = library_encoder(tokenizer), TaskContext.get().partitionId(), 0, np.array([end_id], np.uint32)
-        for piece in chunks(batches, "text"):
+        for piece in chunks(batches, "text", ENCODE_BYTES):
             rows = [np.concatenate([row, end]) for row in library(strings(piece, "text"))]
             sizes = np.array([len(r) for r in rows], np.int64)
             starts = at + np.cumsum(sizes) - sizes

@@ -26,7 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from dpgrid.llm.arrow import chunks, column, out, strings
+from dpgrid.llm.arrow import ENCODE_BYTES, chunks, column, out, strings
 from dpgrid.llm.shared_files import write_bytes
 from dpgrid.llm.tokens import library_encoder, vocabulary_size
 from dpgrid.plans.scratch import materialise, new_path
@@ -119,7 +119,7 @@ def write_token_files(docs: DataFrame, out_dir: str, tokenizer: str, end_id: int
             rows.clear()
             return made
 
-        for piece in chunks(batches, "text"):
+        for piece in chunks(batches, "text", ENCODE_BYTES):
             for doc, row in zip(strings(piece, "doc_id"), encode(strings(piece, "text")), strict=True):
                 ids.append(doc)
                 rows.append(np.concatenate([row, end]))

@@ -14,6 +14,8 @@ from functools import lru_cache
 from itertools import repeat
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 #: A worker forgets its cache when it holds more units than this.
 CACHE_UNITS = 1_000_000
@@ -64,11 +66,8 @@ class UnitCache:
             at[holes] = np.fromiter(map(self.index.__getitem__, (units[i] for i in holes)), np.int64, len(holes))
         return at
 
-    def ids(self, units: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all units in a row, and the count per unit."""
-        if not units:
-            return np.empty(0, np.uint32), np.empty(0, np.int64)
-        at = self.find(units)
+    def gather(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all units at these indices in a row, and the count per unit."""
         sizes = self.sizes[at].astype(np.int64)
         ends = np.cumsum(sizes)
         where = np.repeat(self.starts[at] - (ends - sizes), sizes)
@@ -77,23 +76,29 @@ class UnitCache:
 
 
 class TextEncoder:
-    """Whole texts → ids. ``split`` gives a text's units, or None where only ``whole`` may encode it."""
+    """Whole texts → ids.
+
+    ``prepare`` turns a text into its units parted by blanks, or gives None where only ``whole`` may encode it. Parting and
+    finding the distinct units of a batch run in Arrow, so that Python sees each distinct unit once.
+    """
 
-    def __init__(self, split: Callable[[str], list[str] | None], encode: Encode, whole: Callable[[str], np.ndarray]):
-        self.split, self.whole, self.cache = split, whole, UnitCache(encode)
+    def __init__(self, prepare: Callable[[str], str | None], encode: Encode, whole: Callable[[str], np.ndarray]):
+        self.prepare, self.whole, self.cache = prepare, whole, UnitCache(encode)
 
     def __call__(self, texts: list[str | None]) -> list[np.ndarray]:
-        units: list[str] = []
-        counts, odd = np.zeros(len(texts), np.int64), {}
+        prepared, odd = [], {}
         for i, text in enumerate(texts):
-            if text:
-                own = self.split(text)
-                if own is None:
-                    odd[i] = self.whole(text)
-                else:
-                    counts[i] = len(own)
-                    units += own
-        flat, sizes = self.cache.ids(units)
+            own = self.prepare(text) if text else ""
+            if own is None:
+                odd[i] = self.whole(text)
+            prepared.append(own or None)
+        parts = pc.split_pattern(pa.array(prepared, pa.string()), " ")
+        units = parts.flatten().dictionary_encode()
+        counts = pc.fill_null(pc.list_value_length(parts), 0).to_numpy(zero_copy_only=False)
+        flat, sizes = np.empty(0, np.uint32), np.empty(0, np.int64)
+        if len(units):
+            at = self.cache.find(units.dictionary.to_numpy(zero_copy_only=False).tolist())
+            flat, sizes = self.cache.gather(at[units.indices.to_numpy()])
         ends = np.concatenate([[0], np.cumsum(sizes)])[np.cumsum(counts)]
         rows = np.split(flat, ends[:-1]) if len(texts) else []
         for i, ids in odd.items():
@@ -114,21 +119,21 @@ def _kinds(text: str) -> bytes | None:
     return None if "<|" in text or _NOT_PLAIN.search(text) else text.encode("latin-1").translate(_KIND)
 
 
-def split_words(text: str) -> list[str] | None:
+def part_words(text: str) -> str | None:
     """Units for lower-casing vocabularies that drop white space: words, and stops with what follows them.
 
     A stop or comma of a plain text is cut off where every one of them follows a letter, a digit or white space.
     """
     kinds = _kinds(text)
     if kinds is None:
-        return None if _ODD_FOR_WORDS.search(text) else text.split()
+        return None if _ODD_FOR_WORDS.search(text) else " ".join(text.split())
     text = text.lower()
     if b".." not in kinds and b"!." not in kinds:
         text = text.replace(".", " .").replace(",", " ,")
-    return text.split()
+    return text.replace("\n", " ") if b"_" not in kinds else " ".join(text.split())
 
 
-def split_spaced(text: str) -> list[str] | None:
+def part_spaced(text: str) -> str | None:
     """Units for byte-level vocabularies: words that own the blank before them, line feeds, and stops.
 
     A lone blank or line feed between two other characters always begins a piece of its own, as does a
@@ -143,9 +148,7 @@ def split_spaced(text: str) -> list[str] | None:
         return None
     elif not (b".." in kinds or b"!." in kinds or b" ." in kinds or kinds[:1] == b"."):
         text = text.replace(".", " \r.").replace(",", " \r,")
-    units = text.replace("\n", " \r\n \r").split(" ")
-    units[0] = "\r" + units[0]
-    return units
+    return "\r" + text.replace("\n", " \r\n \r")
 
 
 def _own_text(unit: str) -> str:
@@ -223,7 +226,7 @@ def library_encoder(path: str) -> TextEncoder:
     def whole(text: str) -> np.ndarray:
         return np.array(tok.encode(text, add_special_tokens=False).ids, np.uint32)
 
-    return TextEncoder(split_spaced if spaced else split_words, encode, whole)
+    return TextEncoder(part_spaced if spaced else part_words, encode, whole)
 
 
 @lru_cache(maxsize=4)

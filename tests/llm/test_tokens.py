@@ -9,7 +9,7 @@ from tokenizers import Tokenizer
 
 from dpgrid.llm.bpe import RankBpe, rank_encoder
 from dpgrid.llm.token_files import TokenFile, bits_for, file_bytes, pack, unpack
-from dpgrid.llm.tokens import TextEncoder, library_encoder, split_words
+from dpgrid.llm.tokens import TextEncoder, library_encoder, part_words
 
 ODD = [
     "", "a", " ", "  a  b", "x\n\ny", "a<|endoftext|>b c <|endoftext|> d <|startoftext|>", "a\x1cb", "Don't I'll\nwe've 's it'D", "ΑΣ ΟΔΟΣ", "日本語 テスト", "a b",
@@ -62,7 +62,7 @@ def test_short_and_long_words_agree():
 def test_cache_clears_without_changing_results():
     path = public_tokenizers.path("word_bpe_49k.json")
     bpe, _ = rank_encoder(path)
-    small = TextEncoder(split_words, bpe.encode_units, bpe.encode_text)
+    small = TextEncoder(part_words, bpe.encode_units, bpe.encode_text)
     small.cache.limit = 3
     texts = ["one two three four", "five six one", "", None, "seven one two"]
     assert [x.tolist() for x in small(texts)] == [bpe.encode_text(t or "").tolist() for t in texts]
