@@ -303,10 +303,12 @@ PUBLISHERS = {"contingency": publish_contingency, "uniform": publish_uniform, "a
 def sample_boxes(leaves: DataFrame, key: str, n: int = 2) -> DataFrame:
     """Synthetic points ``eps_i, rep, leaf, j, x0, x1..``: counts rounded, negatives to nothing, uniform places in the box.
 
-    Large boxes are first cut into shares, so that one row never expands without bound.
+    Large boxes are first cut into shares, so that one row never expands without bound, and the few, small rows are dealt to all
+    cores before they expand: their size on disk says nothing about the points they stand for.
     """
     whole = F.floor(F.greatest(F.col("cnt"), F.lit(0.0)) + 0.5).cast("long")
     shares = leaves.withColumn("whole", whole).where("whole > 0").withColumn("share", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("whole") - 1) / DRAWS).cast("long"))))
+    shares = shares.repartition(4 * leaves.sparkSession.sparkContext.defaultParallelism, *RUN, "leaf", "share")
     each = shares.select("*", F.explode(F.sequence(F.col("share") * DRAWS + 1, F.least((F.col("share") + 1) * DRAWS, F.col("whole")))).alias("j"))
     xs = [(F.col(f"lo{a}") + (F.col(f"hi{a}") - F.col(f"lo{a}")) * keyed_uniform(key, f"synth_x{a}", *RUN, "leaf", "j")).alias(f"x{a}") for a in range(n)]
     return each.select(*RUN, "leaf", "j", *xs)
