@@ -289,7 +289,7 @@ def _thinned(seats: DataFrame, sets: DataFrame, threshold: float, large: int, tu
         seen = materialise(held.join(sims.select(F.col("a").alias("member"), F.col("b").alias("pivot"), "sim"), ["member", "pivot"]).select("bucket", "member", "sim"), "seat_sims")
         # The nearest unlinked member; linked ones further from it, by the metric, than one link reaches are settled.
         near = materialise(seen.where(F.col("sim") < threshold).groupBy("bucket").agg(F.max("sim").alias("near")), "nearest")
-        rest = materialise(seen.join(near, "bucket").where((F.col("sim") < threshold) | (F.col("sim") <= F.col("near") + (1 - threshold) + 1e-9)).select("bucket", "member"), "rest_seats")
+        rest = materialise(seen.join(near, "bucket").where((F.col("sim") < threshold) | (F.col("sim") <= F.col("near") + (1 - threshold) + 1e-9)).select("bucket", "member").distinct(), "rest_seats")
         sizes = materialise(rest.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "rest_sizes")
         seats = materialise(seats.where(F.col("n") <= large).unionByName(rest.join(sizes, "bucket").select("bucket", "member", "n")), "seats")
     return seats, known
@@ -302,10 +302,11 @@ def links(reps: DataFrame, docs: DataFrame, threshold: float = THRESHOLD, words:
     """
     places = reps.select("member", F.explode("bands").alias("bucket"))
     h = F.xxhash64("member")
-    sized = places.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(h).alias("x"), F.bit_xor(F.xxhash64("member", F.lit(1))).alias("y")).where("n > 1")
+    # A member has one seat in a bucket, however many rows or texts bring it there: pairs of equal hashes would cancel.
+    sized = places.distinct().groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(h).alias("x"), F.bit_xor(F.xxhash64("member", F.lit(1))).alias("y")).where("n > 1")
     # Near copies meet in most bands: of buckets with the same members one is enough.
     buckets = materialise(sized.groupBy("n", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", "n"), "buckets")
-    seats = materialise(places.join(buckets, "bucket"), "seats")
+    seats = materialise(places.join(buckets, "bucket").distinct(), "seats")
     # Sort-merge whatever the size: neither the ids nor the texts have a bound, and small inputs should show what large ones cost.
     asked = seats.select(F.col("member").alias("doc_id")).distinct().hint("merge")
     sets = materialise(shingle_sets(docs.join(asked, "doc_id", "left_semi"), words), "shingle_sets")

@@ -299,6 +299,17 @@ def test_near_duplicates_against_brute_force(spark, monkeypatch, block, large):
     assert {i for i, r in got.items() if r["kept"]} == set(want.values())
 
 
+@pytest.mark.parametrize("large", [4096, 4])
+def test_near_duplicates_of_repeated_rows(spark, monkeypatch, large):
+    monkeypatch.setattr(dart_minhash.links, "__defaults__", (*dart_minhash.links.__defaults__[:-1], large))
+    texts = [t for t in near_texts() if t is None or len(t) < 10_000]
+    d = table(spark, texts)
+    rows = dart_minhash.near_duplicates(d.union(d)).collect()
+    want = brute.components(range(len(texts)), lambda a, b: brute.near(texts[a], texts[b]))
+    assert len(rows) == 2 * len(texts) and {r["doc_id"]: r["component_id"] for r in rows} == want
+    assert {r["doc_id"] for r in rows if r["kept"]} == set(want.values())
+
+
 def test_empty_tables(spark):
     d, l = spark.createDataFrame([], DOCS), spark.createDataFrame([], "doc_id long, quality int, toxic int")
     for df in (
