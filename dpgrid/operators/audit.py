@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import time
 from collections.abc import Callable
 
@@ -9,20 +10,33 @@ from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from dpgrid.operators.privacy import RUN
+from dpgrid.plans.scratch import materialise
+
+#: Chance of a normal value beyond three standard errors, on one side.
+TAIL = 0.00135
 
 
 def frequency_ratio(outcomes: DataFrame, other: DataFrame, eps: float, least: int = 50) -> DataFrame:
-    """``outcome, n, m, log_ratio, within`` for outcomes of many runs on two neighbouring data sets.
+    """``outcome, n, m, log_ratio, within`` for outcomes of equally many runs on two neighbouring data sets.
 
-    ``within`` allows for the spread of the counts: three standard errors of the log ratio beyond the budget. Outcomes seen
-    fewer than ``least`` times on either side carry no evidence and are left out.
+    Every outcome of either side is judged; one that a side lacks counts 0 there and has an infinite log ratio. Seen ``least``
+    times on both sides, it may pass the budget by three standard errors of the log ratio. Rarer ones are held against a Chernoff
+    bound, which small counts and zeros obey too: of t sightings, one side has a share of at most e^eps / (1 + e^eps) on average.
+    Its level, that of three standard errors, is shared by all rarer outcomes. A leak spread so thinly that no
+    outcome alone shows it is not found.
     """
-    a = outcomes.groupBy("outcome").agg(F.count(F.lit(1)).alias("n"))
-    b = other.groupBy("outcome").agg(F.count(F.lit(1)).alias("m"))
-    both = a.join(b, "outcome").where((F.col("n") >= least) & (F.col("m") >= least))
-    ratio = F.abs(F.log(F.col("n") / F.col("m")))
-    slack = 3 * F.sqrt(1 / F.col("n") + 1 / F.col("m"))
-    return both.select("outcome", "n", "m", ratio.alias("log_ratio"), (ratio <= eps + slack).alias("within"))
+    sides = outcomes.select("outcome", F.lit(1).alias("n"), F.lit(0).alias("m")).unionByName(other.select("outcome", F.lit(0).alias("n"), F.lit(1).alias("m")))
+    seen = materialise(sides.groupBy("outcome").agg(F.sum("n").alias("n"), F.sum("m").alias("m")), "outcome_counts")
+    x, y = F.greatest("n", "m").cast("double"), F.least("n", "m").cast("double")
+    common = y >= least
+    rare = seen.agg(F.count(F.when(~common, 1)).alias("rare"))
+    ratio = F.when(y > 0, F.log(x / F.nullif(y, F.lit(0.0)))).otherwise(F.lit(math.inf))
+    slack = 3 * F.sqrt(1 / F.nullif(x, F.lit(0.0)) + 1 / F.nullif(y, F.lit(0.0)))
+    most = 1 / (1 + math.exp(-eps))
+    excess = x * F.log(x / ((x + y) * most)) + F.when(y > 0, y * F.log(y / ((x + y) * (1 - most)))).otherwise(0.0)
+    bound = (x <= (x + y) * most) | (excess <= F.log(F.col("rare") / F.lit(TAIL)))
+    judged = seen.crossJoin(F.broadcast(rare))
+    return judged.select("outcome", "n", "m", ratio.alias("log_ratio"), F.when(common, ratio <= eps + slack).otherwise(bound).alias("within"))
 
 
 def released_rank(cut: DataFrame) -> DataFrame:

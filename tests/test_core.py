@@ -401,3 +401,19 @@ def test_audit_accepts_equal_and_rejects_far_distributions(spark):
     assert not all(r["within"] for r in audit.frequency_ratio(a, b, 0.1).collect())
     cost = audit.run_cost(spark, "range", lambda: spark.range(50)).first()
     assert cost["rows"] == 50 and cost["jobs"] >= 1
+
+
+def test_audit_judges_outcomes_that_one_side_lacks(spark):
+    from dpgrid.operators import audit
+
+    always = spark.range(2000).select(F.lit(1).cast("long").alias("outcome"))
+    for rare in (0, 49):  # seen in all runs on one input, in hardly any on the other
+        seldom = spark.range(2000).select((F.col("id") < rare).cast("long").alias("outcome"))
+        for pair in ((always, seldom), (seldom, always)):
+            got = {r["outcome"]: r for r in audit.frequency_ratio(*pair, 1.0).collect()}
+            assert set(got) == {0, 1} and not got[0]["within"] and not got[1]["within"]
+    one = spark.range(2000).select(F.when(F.col("id") < 1990, F.lit(-1)).when(F.col("id") < 1998, F.col("id")).alias("outcome"))
+    two = spark.range(2000).select(F.when(F.col("id") < 1995, F.lit(-1)).when(F.col("id") < 1998, F.col("id") + 3000).alias("outcome"))
+    rows = audit.frequency_ratio(one, two, 1.0).collect()
+    assert all(r["within"] for r in rows) and len(rows) == 13 and sum(r["n"] for r in rows) == sum(r["m"] for r in rows) == 2000
+    assert {(r["n"], r["m"]) for r in rows if r["outcome"] is None} == {(2, 2)}
