@@ -125,13 +125,13 @@ def _experiments() -> None:
         register(f"exp_rank_error_{w}", lambda s, d, w=w: report(each_method(s, d, w, sweep(s), lambda m: me.rank_error(percentile_cut(band(s, d, w), WORKLOADS[w].p), m.cut)), "rank_error", sweep(s)))
         register(f"exp_dissimilarity_{w}", lambda s, d, w=w: _with_truth(s, d, w, sweep(s), lambda t, m, lines: me.grid_cluster_dissimilarity(t, m.cells, lines), "gcd"))
         register(f"exp_fmeasure_{w}", lambda s, d, w=w: _with_truth(s, d, w, sweep(s), lambda t, m, lines: me.f_measure(t, m.cells, lines), "f"))
-        register(f"exp_classifier_{w}", lambda s, d, w=w: _classifier(s, d, w, runs_frame(s, SWEEP, 3)))
+        register(f"exp_classifier_{w}", lambda s, d, w=w: _classifier(s, d, w, runs_frame(s, SWEEP, SWEEP_REPS)))
     register("exp_alpha_trim", lambda s, d: _alphas(s, d, "w1", mt.release_trimmed, (0.01, 0.1, 0.3, 0.5, 0.7, 0.9, 0.99)))
     register("exp_alpha_cut", lambda s, d: _alphas(s, d, "w1", mt.release_sampled_cut, (0.1, 0.3, 0.5, 0.7, 0.9)))
     register("exp_grid_size", _grid_sizes)
     register("exp_wavelets", _wavelet_study)
     register("exp_bridge_record", lambda s, d: bridge_record(s), "SELECT * FROM (VALUES ('without', CAST(9 AS BIGINT), CAST(2 AS BIGINT)), ('with', 10, 1)) t(data, k, clusters)")
-    register("exp_synthetic_merge", lambda s, d: _with_truth(s, d, "w1", runs_frame(s, [0.5, 1.0], 5), lambda t, m, lines: me.cluster_counts(t, m.cells, lines), "clusters_private"))
+    register("exp_synthetic_merge", lambda s, d: _with_truth(s, d, "w1", runs_frame(s, [0.5, 1.0], SWEEP_REPS), lambda t, m, lines: me.cluster_counts(t, m.cells, lines), "clusters_private"))
     x = "(2e0 * eps * w)"
     tail = f"exp(-{x}) * (48 + 33 * {x} + 9 * {x} * {x} + {x} * {x} * {x}) / 96"
     theory = private_sql("w2", "noisy_counts", list(SWEEP), SWEEP_REPS).cut(0.10, "band", "ccut").add("th", f"SELECT eps_i, eps, sum({tail}) AS theta FROM (SELECT DISTINCT eps_i, eps FROM runs) r CROSS JOIN band WHERE w > 0 GROUP BY ALL").add("mk", "SELECT eps_i, avg(k_priv) AS mean_k FROM pcut GROUP BY eps_i")
@@ -176,7 +176,7 @@ def _alphas(s: SparkSession, d: str, w: str, fn, alphas) -> DataFrame:
 def _grid_sizes(s: SparkSession, d: str) -> DataFrame:
     wl, made = WORKLOADS["w2"], None
     points = materialise(wl.points(s, d).select(*wl.cols), "points")
-    lines = runs_frame(s, [1.0], 5)
+    lines = runs_frame(s, [1.0], SWEEP_REPS)
     for g in (16, 24, 32, 40, 64, 96):
         spec = unit(g)
         counts = mt._counts(points, wl.cols, spec)
@@ -188,7 +188,7 @@ def _grid_sizes(s: SparkSession, d: str) -> DataFrame:
 
 
 def _wavelet_study(s: SparkSession, d: str) -> DataFrame:
-    wl, counts, lines, made = WORKLOADS["w2"], kept_counts(s, d, "w2"), runs_frame(s, [1.0], 5), None
+    wl, counts, lines, made = WORKLOADS["w2"], kept_counts(s, d, "w2"), runs_frame(s, [1.0], SWEEP_REPS), None
     for wave in ("haar", "bior2.2", "db2"):
         o = mt.Options(wavelet=wave)
         t = mt.cluster_counts_matrix(counts, wl.spec, wl.p, (), o)

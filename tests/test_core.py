@@ -417,3 +417,20 @@ def test_audit_judges_outcomes_that_one_side_lacks(spark):
     rows = audit.frequency_ratio(one, two, 1.0).collect()
     assert all(r["within"] for r in rows) and len(rows) == 13 and sum(r["n"] for r in rows) == sum(r["m"] for r in rows) == 2000
     assert {(r["n"], r["m"]) for r in rows if r["outcome"] is None} == {(2, 2)}
+
+
+@pytest.mark.parametrize("name", [*(f"exp_classifier_w{i}" for i in range(1, 5)), "exp_grid_size", "exp_wavelets", "exp_synthetic_merge"])
+def test_experiments_average_over_all_repetitions(spark, monkeypatch, name):
+    from dpgrid import catalog, experiments
+    from tests.conftest import SF_SMALL
+
+    class Drawn(Exception):
+        pass
+
+    def drawn(s, budgets, reps=1):
+        raise Drawn(reps)
+
+    monkeypatch.setattr(experiments, "runs_frame", drawn)
+    with pytest.raises(Drawn) as seen:
+        catalog.QUERIES[name](spark, SF_SMALL)
+    assert seen.value.args == (catalog.SWEEP_REPS,)
