@@ -6,8 +6,9 @@ is projected and compared with all of them, as exact cosine products of blocks,
 weights that rise with similarity.
 
 Edge cases: a null or wordless text, or any text that no labelled vector resembles, scores the label's base rate;
-without labelled rows that rate is 1 and every document is kept; ties of similarity go to the earlier labelled row (by
-id); repeated rows score alike; an empty table gives no rows; other columns pass through unless they bear a result's name.
+without labelled rows that rate is 1 and every document is kept; ties of computed similarity go to the earlier labelled row (by
+id, label, hash of the text); repeated rows score alike; a null id is never held out; a text of any length is one vector, made in
+a piece of its own; an empty table gives no rows; other columns pass through unless they bear a result's name.
 """
 
 from __future__ import annotations
@@ -28,6 +29,16 @@ from dpgrid.llm.arrow import chunks, out
 SAMPLE, LATENT, NEIGHBOURS, POWER = 3000, 64, 25, 8
 
 
+def nearest(near: np.ndarray, k: int) -> np.ndarray:
+    """Places of each row's ``k`` largest values; of equal ones at the border the earliest."""
+    at = np.argpartition(-near, k - 1, axis=1)[:, :k]
+    found = np.take_along_axis(near, at, 1)
+    least = found.min(1, keepdims=True)
+    for i in np.flatnonzero((near == least).sum(1) > (found == least).sum(1)):  # the border value also lies outside
+        at[i] = np.argsort(-near[i], kind="stable")[:k]
+    return at
+
+
 @dataclass
 class Neighbours:
     mean: np.ndarray
@@ -48,7 +59,7 @@ class Neighbours:
             return np.full(len(x), self.base)
         near = self.project(x) @ self.latent.T
         k = min(NEIGHBOURS, near.shape[1])
-        at = np.argpartition(-near, k - 1, axis=1)[:, :k]
+        at = nearest(near, k)
         weight = np.maximum(np.take_along_axis(near, at, 1).astype(np.float64), 0) ** POWER
         total = weight.sum(1)
         # A neighbour's worth of the base rate keeps unlike texts near it.
@@ -80,8 +91,8 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
 
 
 def held_out(id_col: str = "doc_id"):
-    """Rows that never train: CRC-32 of the id as text leaves 1 when divided by 3."""
-    return F.crc32(F.col(id_col).cast("string").cast("binary")) % 3 == 1
+    """Rows that never train: CRC-32 of the id as text leaves 1 when divided by 3. False for a null id, which no label has."""
+    return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
 def score(docs: DataFrame, model: Neighbours, text_col: str = "text") -> DataFrame:
@@ -92,8 +103,7 @@ def score(docs: DataFrame, model: Neighbours, text_col: str = "text") -> DataFra
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in chunks(batches, text_col):
-            texts = features.texts_of(piece, text_col)
-            s = np.concatenate([sent.value(features.vectors(texts[i : i + features.TEXTS])) for i in range(0, len(texts), features.TEXTS)])
+            s = features.scored(sent.value, features.texts_of(piece, text_col))
             yield out([*piece.schema.names, "score", "predicted"], *piece.columns, s, (s >= 0.5).astype(np.int32))
 
     return docs.select(*[f.name for f in passed]).mapInArrow(run, schema)

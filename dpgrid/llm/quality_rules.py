@@ -1,12 +1,13 @@
 """Quality rules: countable text measures, and a calibrated logistic regression against a fixed threshold.
 
-The regression reads hashed word and character n-gram frequencies, learns from a bounded sample of labelled
-quality rows, and is calibrated on a fifth of them that it has not seen. Documents are scored where
+The regression reads square roots of hashed word and character n-gram frequencies, learns from a bounded sample of
+labelled quality rows, and is calibrated on a fifth of them that it has not seen. Documents are scored where
 they lie, in Arrow batches.
 
 Edge cases: a null text has no words; a text without words scores the calibrated base rate; without labels of both
 kinds the score is that one kind (or 1 without any), so nothing is rejected for want of labels; ties and repeated rows
-score alike; an empty table gives no rows; other columns pass through unless they bear a result's name.
+score alike; a text of any length is counted whole, in a piece of its own; an empty table gives no rows; other columns pass
+through unless they bear a result's name.
 """
 
 from __future__ import annotations
@@ -64,7 +65,7 @@ def base_counts(text: bytes, words: list[bytes]) -> tuple[int, int, int, int, in
 
 @dataclass
 class Logistic:
-    """Linear score of scaled vectors, then the calibration line, then the logistic function."""
+    """Linear score of the roots of frequencies, then the calibration line, then the logistic function."""
 
     weights: np.ndarray
     offset: float
@@ -72,7 +73,7 @@ class Logistic:
     shift: float
 
     def __call__(self, x: np.ndarray) -> np.ndarray:
-        z = (x @ self.weights + self.offset) * self.slope + self.shift
+        z = (np.sqrt(x) @ self.weights + self.offset) * self.slope + self.shift
         return 1 / (1 + np.exp(-np.clip(z, -50, 50).astype(np.float64)))
 
 
@@ -104,7 +105,8 @@ def calibrate(z: np.ndarray, y: np.ndarray, steps: int = 50) -> tuple[float, flo
 
 
 def fit(x: np.ndarray, y: np.ndarray, l2: float = 1e-3, steps: int = 300) -> Logistic:
-    """Logistic regression by accelerated gradient steps on scaled features, four fifths to fit and a fifth to calibrate."""
+    """Logistic regression by accelerated gradient steps on scaled roots of frequencies, four fifths to fit and a fifth to calibrate."""
+    x = np.sqrt(x)
     if not len(y) or y.min() == y.max():
         return Logistic(np.zeros(features.WIDTH, np.float32), 0.0, 1.0, 50.0 if not len(y) or y[0] else -50.0)
     unseen = np.arange(len(y)) % 5 == 4
@@ -159,7 +161,7 @@ def apply_rules(docs: DataFrame, model: Logistic, threshold: float = THRESHOLD,
             texts = features.texts_of(piece, text_col)
             words = [t.split() for t in texts]
             counts = np.array([base_counts(t, w) for t, w in zip(texts, words, strict=True)], np.int64).reshape(-1, 5)
-            p = np.concatenate([model(features.vectors(texts[i : i + features.TEXTS], words[i : i + features.TEXTS])) for i in range(0, len(texts), features.TEXTS)])
+            p = features.scored(model, texts, words)
             failed = (counts[:, 0] < LEAST_WORDS) | (100 * counts[:, 4] > MOST_REPEATED * counts[:, 0])
             yield out([*piece.schema.names, *new], *piece.columns, *counts.T.copy(), failed, p, ~failed & (p >= threshold))
 
