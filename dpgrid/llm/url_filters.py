@@ -1,16 +1,18 @@
 """URL filters: rules of host and path first, then gradient-boosted trees on lexical features.
 
 A rule names a host and a path prefix; it fits that host and its subdomains, and the longest fitting rule decides. URLs
-that a rule decides are the labelled ones: a bounded sample of them trains the trees, which decide the rest. Hosts, paths
+that a rule decides are the labelled ones: a bounded sample of distinct ones trains the trees, which decide the rest. Hosts, paths
 and rules are JVM expressions; tree scores come in Arrow batches.
 
 Features: lengths of url, host, path and query, depth of path and of host, shares of digits, letters and other
-signs, character entropy, number of parameters, length of the longest label, and statistics of the host's last label
-and of its last two (how often they are blocked among labelled urls, smoothed, and how frequent they are).
+signs, character entropy, number of parameters, length of the longest label, and statistics of the host's last label,
+of its last two, and of the path's first part (how often they are blocked among labelled urls, smoothed, and how frequent they are). A training url's own
+suffix statistics come from the four fifths of the sample that it is not in, so that no label explains itself.
 
 Edge cases: a url that is null or lacks ``://`` has empty host and path and no rule; without labelled urls of both kinds
 the trees give that one kind's verdict (allow without any); ties of rule length go to the rule named first; repeated rows
-get the same verdict; an empty table gives no rows; other columns are kept unless they bear a result's name.
+get the same verdict, and a url counts once in training however often it occurs; a url of any length is read whole; an empty
+table gives no rows; other columns are kept unless they bear a result's name.
 """
 
 from __future__ import annotations
@@ -27,8 +29,8 @@ from pyspark.sql import types as T
 from dpgrid.llm.arrow import column, out, strings
 from dpgrid.llm.sampling import least_hashed
 
-#: Labelled urls that are learnt from, at most.
-SAMPLE = 20_000
+#: Distinct labelled urls that are learnt from, at most; parts of the sample for suffix statistics.
+SAMPLE, FOLDS = 20_000, 5
 #: Trees, their depth, shrinkage, bins per feature, least rows in a leaf.
 TREES, DEPTH, RATE, BINS, LEAST = 60, 4, 0.15, 32, 5
 _CHUNK = 4096
@@ -69,12 +71,13 @@ def rule_of(host: Column, path: Column, rules: list[Rule]) -> tuple[Column, Colu
     return (null, null) if text is None else (text, verdict)
 
 
-NAMES = ("url_length", "host_length", "path_length", "query_length", "depth", "labels", "digits", "letters", "signs", "entropy", "parameters", "longest_label", "tld_blocked", "tld_count", "domain_blocked", "domain_count")
+NAMES = ("url_length", "host_length", "path_length", "query_length", "depth", "labels", "digits", "letters", "signs", "entropy", "parameters", "longest_label", "tld_blocked", "tld_count", "domain_blocked", "domain_count", "lead_blocked", "lead_count")
 
 
-def suffixes(host: str) -> tuple[str, str]:
-    parts = host.split(".")
-    return parts[-1], ".".join(parts[-2:])
+def parts_of(host: str, path: str) -> tuple[str, str, str]:
+    """Names under which the last label, the last two, and the first part of the path are counted."""
+    labels = host.split(".")
+    return labels[-1], "." + ".".join(labels[-2:]), "/" + path[1:].partition("/")[0]
 
 
 def lexical(urls: list[str | None], hosts: list[str], paths: list[str], stats: dict[str, tuple[float, float]], base: float) -> np.ndarray:
@@ -88,27 +91,25 @@ def lexical(urls: list[str | None], hosts: list[str], paths: list[str], stats: d
         digits = int(seen[48:58].sum())
         letters = int(seen[65:91].sum() + seen[97:123].sum())
         query = u.partition(b"#")[0].partition(b"?")[2]
-        tld, domain = suffixes(host)
-        a, b = stats.get(tld, (base, 0.0)), stats.get("." + domain, (base, 0.0))
+        known = [x for name in parts_of(host, path) for x in stats.get(name, (base, 0.0))]
         size = max(1, len(u))
         made[i] = (
             len(u), len(host), len(path), len(query), path.count("/"), host.count(".") + 1, digits / size, letters / size, (len(u) - digits - letters) / size,
-            -(share * np.log2(share)).sum(), len([p for p in query.split(b"&") if p]), max(map(len, host.split("."))), *a, *b,
+            -(share * np.log2(share)).sum(), len([p for p in query.split(b"&") if p]), max(map(len, host.split("."))), *known,
         )
     return made
 
 
-def suffix_stats(hosts: list[str], y: np.ndarray, smooth: float = 4.0) -> tuple[dict[str, tuple[float, float]], float]:
-    """Smoothed blocked share and log count of the last label and the last two of each host."""
+def suffix_stats(hosts: list[str], paths: list[str], y: np.ndarray, smooth: float = 4.0, grow: float = 1.0) -> tuple[dict[str, tuple[float, float]], float]:
+    """Smoothed blocked share and log count of every name of ``parts_of``; ``grow`` scales the counts of a part to the whole."""
     base = float(y.mean()) if len(y) else 0.0
     seen: dict[str, list[float]] = {}
-    for host, label in zip(hosts, y, strict=True):
-        tld, domain = suffixes(host)
-        for key in (tld, "." + domain):
+    for host, path, label in zip(hosts, paths, y, strict=True):
+        for key in parts_of(host, path):
             pair = seen.setdefault(key, [0.0, 0.0])
             pair[0] += label
             pair[1] += 1
-    return {k: ((s + smooth * base) / (n + smooth), float(np.log1p(n))) for k, (s, n) in seen.items()}, base
+    return {k: ((s + smooth * base) / (n + smooth), float(np.log1p(grow * n))) for k, (s, n) in seen.items()}, base
 
 
 @dataclass
@@ -189,8 +190,21 @@ class UrlModel:
 
 
 def fit_urls(urls: list[str | None], hosts: list[str], paths: list[str], y: np.ndarray) -> UrlModel:
-    stats, base = suffix_stats(hosts, y)
-    return UrlModel(boost(lexical(urls, hosts, paths, stats, base), y), stats, base)
+    """Trees on features whose suffix statistics leave out the url's own fold; scoring uses those of all urls."""
+    stats, base = suffix_stats(hosts, paths, y)
+    x, fold = np.zeros((len(urls), len(NAMES))), np.arange(len(urls)) % FOLDS
+    for f in range(FOLDS if len(urls) >= FOLDS else 0):
+        own, rest = np.flatnonzero(fold == f), np.flatnonzero(fold != f)
+        others = suffix_stats([hosts[i] for i in rest], [paths[i] for i in rest], y[rest], grow=FOLDS / (FOLDS - 1))
+        x[own] = lexical([urls[i] for i in own], [hosts[i] for i in own], [paths[i] for i in own], *others)
+    return UrlModel(boost(x, y), stats, base)
+
+
+def held_out_error(urls: list[str | None], hosts: list[str], paths: list[str], y: np.ndarray) -> float:
+    """Share of wrong verdicts on the last fifth of the urls, of trees that learnt from the rest."""
+    n = len(urls) * 4 // 5
+    p = fit_urls(urls[:n], hosts[:n], paths[:n], y[:n]).blocked(urls[n:], hosts[n:], paths[n:])
+    return float(((p >= 0.5) != (y[n:] > 0)).mean())
 
 
 def with_rules(pages: DataFrame, rules: list[Rule], url_col: str = "url") -> DataFrame:
@@ -201,11 +215,16 @@ def with_rules(pages: DataFrame, rules: list[Rule], url_col: str = "url") -> Dat
     return split.withColumns({"rule": text, "verdict": verdict})
 
 
-def train(ruled: DataFrame, url_col: str = "url", sample: int = SAMPLE) -> UrlModel:
-    """Fit on at most ``sample`` of the urls that a rule decides: those of least hash."""
+def labelled(ruled: DataFrame, url_col: str = "url", sample: int = SAMPLE) -> tuple[list[str | None], list[str], list[str], np.ndarray]:
+    """Urls, hosts, paths and verdicts (1: block) of at most ``sample`` distinct urls that a rule decides: those of least hash."""
     chosen = ruled.where(F.col("verdict").isNotNull()).select(F.col(url_col).alias("url"), "host", "path", (F.col("verdict") == "block").cast("double").alias("y"))
-    got = least_hashed(chosen, ["url"], sample).toArrow()
-    return fit_urls(got["url"].to_pylist(), got["host"].to_pylist(), got["path"].to_pylist(), got["y"].to_numpy())
+    got = least_hashed(chosen, ["url", "host", "path", "y"], sample).toArrow()
+    return got["url"].to_pylist(), got["host"].to_pylist(), got["path"].to_pylist(), got["y"].to_numpy()
+
+
+def train(ruled: DataFrame, url_col: str = "url", sample: int = SAMPLE) -> UrlModel:
+    """Fit on a bounded sample of the urls that a rule decides."""
+    return fit_urls(*labelled(ruled, url_col, sample))
 
 
 def judge(pages: DataFrame, rules: list[Rule], url_col: str = "url", sample: int = SAMPLE) -> DataFrame:
