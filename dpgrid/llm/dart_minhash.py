@@ -7,16 +7,19 @@ Jaccard similarity. The plane is cut into dyadic cells whose darts follow from a
 below a rank that some darts per coordinate are expected to reach are looked at: work grows with set size plus
 coordinates, not with their product.
 
-Texts are lower-cased, and their shingles of five words are hashed to 64 bits (a shorter text is one shingle). Texts of equal
-words form a class whose least document id stands for it. Representatives that agree in a band
-share a bucket; of buckets with the same members one is kept. Buckets are compared exactly, as products of 0/1 blocks of
-shingles, and a block returns edges that join the linked documents, never all pairs. A very large bucket first meets
+Texts are lower-cased, and their windows of five words are hashed to 64 bits (a shorter text is one window). A window's weight
+is how often the text holds it, so similarity is that of weighted sets: the sum of lesser weights over the sum of greater ones.
+Texts of equal words form a class whose least document id stands for it. Representatives that agree in a band
+share a bucket; of buckets with the same members one is kept. Buckets are compared exactly, as products of 0/1 blocks in which the
+second, third, ... occurrence of a window is an element of its own, which makes weighted similarity plain; a block returns edges that
+join the linked documents, never all pairs. Blocks and packs are bounded in members and in elements. A very large bucket first meets
 some pivots: Jaccard distance is a metric, so members that a pivot links, and that lie further from every unlinked member than
 a link reaches, are settled by that one comparison each. No candidate of a bucket is lost.
 
 Edge cases: null, empty and wordless texts are their own class and link with nothing; ties do not matter, as all members of a
-component get its least id; rows that share an id are one document with several texts; rows without an id
-have no component and are kept; any length of text works; an empty table gives no rows; other columns are ignored.
+component get its least id; a row is told by its id and its text, so rows that share an id and differ in text are judged apart, and
+equal rows alike; rows without an id have no component and are kept; a very long text is one set, compared in a task with at most
+a block of others; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -40,6 +43,8 @@ from dpgrid.plans.scratch import materialise
 WORDS, THRESHOLD, BANDS, ROWS = 5, 0.8, 32, 6
 #: Members in a block, columns of a 0/1 block, and members beyond which a bucket meets pivots first.
 BLOCK, COLUMNS, LARGE = 256, 2048, 4096
+#: Elements of a block or a pack on average; a single longer text is a block of its own.
+ELEMENTS = 2_000_000
 #: Rank below which the first cell lies: 2 ** -FINE.
 FINE = 7
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
@@ -168,56 +173,71 @@ class Shingler:
                 made = mix(made * np.uint64(3) + h[i : len(h) - w + 1 + i] + np.uint64(i + 1))
         return made
 
-    def __call__(self, text: str | None, counted: bool = False) -> tuple[list[bytes], np.ndarray, np.ndarray | None]:
+    def __call__(self, text: str | None) -> tuple[list[bytes], np.ndarray, np.ndarray]:
+        """Words, distinct window hashes, and how often each occurs."""
         words = self.tokens(text)
         if not words:
-            return words, np.empty(0, np.uint64), None
-        made = self.all(self.hashes(words))
-        if counted:
-            return words, *np.unique(made, return_counts=True)
-        made.sort()
-        return words, made[np.concatenate([[True], made[1:] != made[:-1]])], None
+            return words, np.empty(0, np.uint64), np.empty(0, np.int64)
+        return words, *np.unique(self.all(self.hashes(words)), return_counts=True)
 
 
-def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, counted: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per document with words: doc_id, two halves of a hash of its words, band keys. ``counted`` weights shingles by count."""
+def occurrences(windows: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """One element per occurrence: plain similarity of such sets is the weighted one of ``windows``."""
+    if len(counts) == counts.sum():
+        return windows
+    number = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+    with np.errstate(over="ignore"):
+        later = mix(np.repeat(windows, counts) + number.astype(np.uint64) * _GOLD)
+    return np.where(number == 0, np.repeat(windows, counts), later)
+
+
+def _plain(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    text = F.col(text_col).cast("string")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("h"))
+
+
+def sketch(plain: DataFrame, bands: int = BANDS, rows: int = ROWS, words: int = WORDS) -> DataFrame:
+    """Per row ``doc_id, text, h`` with words: doc_id, h, two halves of a hash of its words, band keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(words)
         for piece in chunks(batches, "text"):
             sets, weights, prints, some = [], [], [], []
             for i, text in enumerate(strings(piece, "text")):
-                own, shingles, w = shingler(text, counted)
+                own, shingles, w = shingler(text)
                 if own:
                     some.append(i)
                     sets.append(shingles)
                     weights.append(w)
                     prints.append(xxhash.xxh3_128_digest(b" ".join(own)))
             if some:
-                sig = signatures(np.concatenate(sets), np.concatenate(weights).astype(np.float64) if counted else None, np.array([len(s) for s in sets]), bands * rows)
-                half = np.frombuffer(b"".join(prints), "<i8").reshape(-1, 2)
-                yield out(["doc_id", "f1", "f2", "bands"], column(piece, "doc_id").take(pa.array(some)), half[:, 0].copy(), half[:, 1].copy(), pa.array(list(bands_of(sig, bands, rows)), pa.list_(pa.int64())))
+                sig = signatures(np.concatenate(sets), np.concatenate(weights).astype(np.float64), np.array([len(s) for s in sets]), bands * rows)
+                half, at = np.frombuffer(b"".join(prints), "<i8").reshape(-1, 2), pa.array(some)
+                yield out(["doc_id", "h", "f1", "f2", "bands"], column(piece, "doc_id").take(at), column(piece, "h").take(at), half[:, 0].copy(), half[:, 1].copy(), pa.array(list(bands_of(sig, bands, rows)), pa.list_(pa.int64())))
 
-    plain = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("doc_id is not null")
-    return plain.mapInArrow(run, "doc_id long, f1 long, f2 long, bands array<long>")
+    return plain.where("doc_id is not null").mapInArrow(run, "doc_id long, h long, f1 long, f2 long, bands array<long>")
 
 
-def shingle_sets(docs: DataFrame, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row with words: doc_id, sorted distinct shingle hashes."""
+def shingle_sets(texts: DataFrame, words: int = WORDS) -> DataFrame:
+    """Per row ``member, text`` with words: member, hashes of its windows' occurrences. Equal members in a row count once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler = Shingler(words)
+        shingler, last = Shingler(words), None
         for piece in chunks(batches, "text"):
-            sets = [shingler(text)[1].view(np.int64) for text in strings(piece, "text")]
-            yield out(["doc_id", "shingles"], column(piece, "doc_id"), pa.array(sets, pa.list_(pa.int64())))
+            members, sets = [], []
+            for member, text in zip(strings(piece, "member"), strings(piece, "text"), strict=True):
+                if member != last:
+                    members.append(member)
+                    sets.append(occurrences(*shingler(text)[1:]).view(np.int64))
+                last = member
+            yield out(["member", "shingles"], pa.array(members, pa.int64()), pa.array(sets, pa.list_(pa.int64())))
 
-    plain = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return plain.mapInArrow(run, "doc_id long, shingles array<long>").where(F.size("shingles") > 0)
+    return texts.select("member", "text").mapInArrow(run, "member long, shingles array<long>").where(F.size("shingles") > 0)
 
 
 def similarities(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """``pairs(a, b)`` with their exact Jaccard similarity ``sim``."""
-    left, right = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x")), sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y"))
+    left, right = sets.select(F.col("member").alias("a"), F.col("shingles").alias("x")), sets.select(F.col("member").alias("b"), F.col("shingles").alias("y"))
     both = F.size(F.array_intersect("x", "y"))
     return pairs.join(left, "a").join(right, "b").select("a", "b", (both / (F.size("x") + F.size("y") - both)).alias("sim"))
 
@@ -295,48 +315,80 @@ def _thinned(seats: DataFrame, sets: DataFrame, threshold: float, large: int, tu
     return seats, known
 
 
-def links(reps: DataFrame, docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, large: int = LARGE) -> DataFrame:
-    """Links ``a, b`` that join the same documents as all pairs of a bucket with at least ``threshold``.
+def _dealt(seats: DataFrame, sets: DataFrame) -> DataFrame:
+    """Seats as packs of small buckets and pairs of blocks of large ones, each bounded in members and elements."""
+    sized = seats.join(sets.select("member", F.size("shingles").alias("m")), "member").groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.sum("m").alias("e"))
+    small = (F.col("n") <= BLOCK // 2) & (F.col("e") <= ELEMENTS // 2)
+    sized = materialise(sized.withColumn("small", small), "bucket_sizes")
+    members, elements = sized.where("small").agg(F.sum("n"), F.sum("e")).first()
+    packs = max(1, -(-(members or 0) // BLOCK), -(-(elements or 0) // ELEMENTS))
+    many = F.least(F.col("n"), F.greatest(F.ceil(F.col("n") / BLOCK), F.ceil(F.col("e") / ELEMENTS))).cast("int")
+    return (
+        seats.select("bucket", "member").join(sized.select("bucket", "small", F.when(F.col("small"), 1).otherwise(many).alias("many")), "bucket")
+        .withColumn("pack", F.when(F.col("small"), F.pmod(F.xxhash64("bucket"), F.lit(packs))).otherwise(F.col("bucket")))
+        .withColumn("block", F.pmod(F.xxhash64("member", "bucket"), F.col("many")).cast("int"))
+        .select("*", F.explode(F.sequence(F.lit(0), F.col("many") - 1)).alias("other"))
+        .select("bucket", "member", "block", "pack", "small", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"))
+    )
+
 
-    ``reps(member, bands)``; ``docs(doc_id, text)`` holds the members' texts.
+def links(reps: DataFrame, classes: DataFrame, plain: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, large: int = LARGE) -> DataFrame:
+    """Links ``a, b`` that join the same classes as all pairs of a bucket with at least ``threshold``.
+
+    ``reps(member, bands)``; ``classes(v, copy_of, copy_h)`` names the row that stands for a member; ``plain(doc_id, h, text)`` holds its text.
     """
     places = reps.select("member", F.explode("bands").alias("bucket"))
     h = F.xxhash64("member")
-    # A member has one seat in a bucket, however many rows or texts bring it there: pairs of equal hashes would cancel.
+    # A member has one seat in a bucket, however many rows bring it there: pairs of equal hashes would cancel.
     sized = places.distinct().groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(h).alias("x"), F.bit_xor(F.xxhash64("member", F.lit(1))).alias("y")).where("n > 1")
     # Near copies meet in most bands: of buckets with the same members one is enough.
     buckets = materialise(sized.groupBy("n", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", "n"), "buckets")
     seats = materialise(places.join(buckets, "bucket").distinct(), "seats")
     # Sort-merge whatever the size: neither the ids nor the texts have a bound, and small inputs should show what large ones cost.
-    asked = seats.select(F.col("member").alias("doc_id")).distinct().hint("merge")
-    sets = materialise(shingle_sets(docs.join(asked, "doc_id", "left_semi"), words), "shingle_sets")
+    asked = classes.join(seats.select(F.col("member").alias("v")).distinct(), "v").select(F.col("v").alias("member"), F.col("copy_of").alias("doc_id"), F.col("copy_h").alias("h"))
+    sets = materialise(shingle_sets(plain.join(asked.hint("merge"), ["doc_id", "h"]), words), "shingle_sets")
     seats, known = _thinned(seats, sets, threshold, large)
-    # Small buckets travel in packs of about BLOCK seats; a large one as all pairs of its blocks.
-    packs = max(1, -(-seats.where(F.col("n") <= BLOCK // 2).count() // BLOCK))
-    many = F.ceil(F.col("n") / BLOCK).cast("int")
-    small = F.col("n") <= BLOCK // 2
-    dealt = (
-        seats.withColumn("pack", F.when(small, F.pmod(F.xxhash64("bucket"), F.lit(packs))).otherwise(F.col("bucket")))
-        .withColumn("small", small)
-        .withColumn("block", F.when(small, F.lit(0)).otherwise(F.pmod(F.xxhash64("member", "bucket"), many)).cast("int"))
-        .select("*", F.explode(F.sequence(F.lit(0), many - 1)).alias("other"))
-        .select("bucket", "member", "block", "pack", "small", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"))
-    )
-    full = dealt.join(sets.withColumnRenamed("doc_id", "member"), "member")
-    found = full.groupBy("pack", "small", "first", "second").applyInArrow(lambda group: _compare(group, threshold), "a long, b long")
+    found = _dealt(seats, sets).join(sets, "member").groupBy("pack", "small", "first", "second").applyInArrow(lambda group: _compare(group, threshold), "a long, b long")
     for k in known:
         found = found.union(k)
     return found
 
 
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: doc_id, copy_of (least id of equal words), component_id, kept."""
-    plain = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+def _resolved(plain: DataFrame, threshold: float, bands: int, rows: int, words: int) -> tuple[DataFrame, DataFrame]:
+    """Sketches ``doc_id, h, f1, f2``, and facts of their classes: ``f1, f2, copy_of, copy_h, component_id, chief``.
+
+    ``copy_of, copy_h`` tell the least row of a class; the chief of a component is its class of least such id.
+    """
     sketched = materialise(sketch(plain, bands, rows, words), "sketches")
-    classes = materialise(sketched.groupBy("f1", "f2").agg(F.min("doc_id").alias("copy_of")), "text_classes")
-    reps = sketched.join(classes.withColumnRenamed("copy_of", "doc_id"), ["doc_id", "f1", "f2"], "left_semi").select(F.col("doc_id").alias("member"), "bands")
-    joined = connected_components(links(reps, plain, threshold, words), "a", "b")
-    facts = materialise(classes.join(joined.withColumnRenamed("vertex", "copy_of"), "copy_of", "left").select("f1", "f2", "copy_of", F.coalesce("component", "copy_of").alias("component_id")), "class_facts")
-    found = sketched.select("doc_id", "f1", "f2").join(facts, ["f1", "f2"]).select("doc_id", "copy_of", "component_id")
+    first = F.min(F.struct("doc_id", "h")).alias("first")
+    classes = materialise(sketched.groupBy("f1", "f2").agg(first).select("f1", "f2", F.col("first.doc_id").alias("copy_of"), F.col("first.h").alias("copy_h"), F.monotonically_increasing_id().alias("v")), "text_classes")
+    heads = classes.select("f1", "f2", F.col("copy_of").alias("doc_id"), F.col("copy_h").alias("h"), F.col("v").alias("member"))
+    reps = sketched.join(heads, ["doc_id", "h", "f1", "f2"]).select("member", "bands")
+    joined = connected_components(links(reps, classes, plain, threshold, words), "a", "b").withColumnRenamed("vertex", "v")
+    chiefs = joined.join(classes.select("v", "copy_of"), "v").groupBy("component").agg(F.min(F.struct("copy_of", "v")).alias("c"))
+    linked = joined.join(chiefs, "component").select("v", F.col("c.copy_of").alias("component_id"), (F.col("v") == F.col("c.v")).alias("chief"))
+    facts = classes.join(linked, "v", "left").select("f1", "f2", "copy_of", "copy_h", F.coalesce("component_id", "copy_of").alias("component_id"), F.coalesce("chief", F.lit(True)).alias("chief"))
+    return sketched.select("doc_id", "h", "f1", "f2"), materialise(facts, "class_facts")
+
+
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per row of ``docs``: doc_id, copy_of (least id of equal words), component_id, kept."""
+    plain = _plain(docs, id_col, text_col)
+    sketched, facts = _resolved(plain, threshold, bands, rows, words)
+    found = sketched.join(facts, ["f1", "f2"]).select("doc_id", "copy_of", "component_id")
     wordless = plain.where(F.col("doc_id").isNull() | F.coalesce(~F.col("text").rlike(r"[^\x20\x09-\x0D]"), F.lit(True))).select("doc_id", F.col("doc_id").alias("copy_of"), F.col("doc_id").alias("component_id"))
     return found.unionByName(wordless).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
+def drop_near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` with one row of each component: a row of the chief class with its least id.
+
+    Rows equal in id and text count once; rows without an id or without a word all stay as they are, but for such equal ones.
+    """
+    sketched, facts = _resolved(_plain(docs, id_col, text_col), threshold, bands, rows, words)
+    heads = facts.where("chief").select("f1", "f2", F.col("copy_of").alias("_id"), F.col("copy_h").alias("_h"))
+    stays = (F.col("doc_id") == F.col("_id")) & (F.col("h") == F.col("_h"))
+    gone = sketched.join(heads, ["f1", "f2"], "left").where(~F.coalesce(stays, F.lit(False))).select(F.col("doc_id").alias("_id"), F.col("h").alias("_h")).distinct()
+    keyed = docs.withColumns({"_id": F.col(id_col).cast("long"), "_h": F.xxhash64(F.col(text_col).cast("string"))})
+    named = keyed.where("_id is not null").dropDuplicates(["_id", "_h"]).join(gone.hint("merge"), ["_id", "_h"], "left_anti")
+    return named.unionByName(keyed.where("_id is null")).select(*docs.columns)

@@ -116,15 +116,15 @@ FROM m GROUP BY doc_id
 """
 
 
-#: All pairs that share a shingle, compared in full.
+#: All pairs that share a window, compared in full: lesser counts over greater ones.
 OP7_SQL = r"""
 WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(lower(text), '[^\x20\x09-\x0D]+') AS ws FROM documents WHERE text IS NOT NULL),
-s AS (SELECT DISTINCT doc_id, array_to_string(ws[i : i + least(5, len(ws)) - 1], ' ') AS g
-      FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 3, 2))) AS i FROM w WHERE len(ws) > 0)),
+s AS (SELECT doc_id, g, count(*) AS k FROM (SELECT doc_id, array_to_string(ws[i : i + least(5, len(ws)) - 1], ' ') AS g
+      FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 3, 2))) AS i FROM w WHERE len(ws) > 0)) GROUP BY doc_id, g),
 c AS (SELECT array_to_string(ws, ' ') AS t, min(doc_id) AS rep, list(doc_id) AS members FROM w WHERE len(ws) > 0 GROUP BY t),
-r AS (SELECT s.doc_id, g, count(*) OVER (PARTITION BY s.doc_id) AS n FROM s JOIN c ON c.rep = s.doc_id),
+r AS (SELECT s.doc_id, g, k, sum(k) OVER (PARTITION BY s.doc_id) AS n FROM s JOIN c ON c.rep = s.doc_id),
 p AS (SELECT a.doc_id AS a, b.doc_id AS b FROM r a JOIN r b ON a.g = b.g AND a.doc_id <> b.doc_id
-      GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 9 * count(*) >= 4 * (a.n + b.n)),
+      GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 9 * sum(least(a.k, b.k)) >= 4 * (a.n + b.n)),
 k AS (SELECT rep AS v, rep AS comp FROM c UNION SELECT p.b, k.comp FROM k JOIN p ON p.a = k.v),
 m AS (SELECT v, min(comp) AS comp FROM k GROUP BY v),
 f AS (SELECT unnest(c.members) AS doc_id, c.rep, m.comp FROM c JOIN m ON m.v = c.rep)
