@@ -1,5 +1,6 @@
 """Plain readings of the operators' definitions, for small tables."""
 
+import collections
 import itertools
 import re
 import zlib
@@ -16,7 +17,8 @@ def base(text):
     w = words(text)
     lines = [x for x in (text or "").split("\n") if words(x)]
     windows = [tuple(w[i : i + 3]) for i in range(len(w) - 2)]
-    covered = {i + k for i, x in enumerate(windows) if windows.count(x) > 1 for k in range(3)}
+    often = collections.Counter(windows)
+    covered = {i + k for i, x in enumerate(windows) if often[x] > 1 for k in range(3)}
     return len(w), sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", text or "")), len(lines) - len(set(lines)), len(covered), len(w) < 50 or 100 * len(covered) > 50 * len(w)
 
 
@@ -61,13 +63,14 @@ def components(ids, linked):
 
 
 def shingles(text, n=5):
+    """Windows of words with their counts."""
     w = words((text or "").lower())
-    return {tuple(w[i : i + n]) for i in range(max(1, len(w) - n + 1))} if w else set()
+    return collections.Counter(tuple(w[i : i + n]) for i in range(max(1, len(w) - n + 1))) if w else collections.Counter()
 
 
 def near(a, b, threshold=0.8):
     x, y = shingles(a), shingles(b)
-    return bool(x and y) and len(x & y) / len(x | y) >= threshold
+    return bool(x and y) and (x & y).total() / (x | y).total() >= threshold
 
 
 def crc(ids):
