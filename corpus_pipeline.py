@@ -2,7 +2,12 @@
 
 ``STAGES`` lists (name, function); each function takes (spark, docs, sf_dir) and returns a DataFrame, which ``run`` writes as
 Parquet to the shared folder and reads again as the next stage's ``docs``. All but the last return the columns of documents.
-Models are trained on labelled rows of the whole ``documents`` table, whatever earlier stages removed.
+Models are trained on labelled rows of the whole ``documents`` table, whatever earlier stages removed, but never on the rows that
+``quality_knn.held_out`` sets apart, so that their verdicts can be judged on labels that no model has seen.
+
+Edge cases, of every stage: an empty table gives an empty table; columns of other names are dropped, and none can clash; rows that
+repeat an id are rows of their own. A null, empty or blank text fails the first stage's word count. Without labels no document is
+rejected for its score. A text of any length is handled whole.
 """
 
 from __future__ import annotations
@@ -19,7 +24,9 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def _raw(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    return spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    """Texts and labels that train."""
+    docs, labels = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    return docs.where(~quality_knn.held_out()), labels.where(~quality_knn.held_out())
 
 
 def quality_rules_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,9 +48,11 @@ def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays: that of least id."""
-    gone = dart_minhash.near_duplicates(docs).where(~F.col("kept")).select("doc_id").distinct().hint("merge")  # as many as there are copies
-    return docs.join(gone, "doc_id", "left_anti").select(*COLUMNS)
+    """One document of each group of near copies stays: that of least id, and of rows equal in id and words one.
+
+    A row is told by its id and the hash of its text, so of an id with several texts only those that are copies go. Rows without an id stay.
+    """
+    return dart_minhash.drop_near_duplicates(docs.select(*COLUMNS)).select(*COLUMNS)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
