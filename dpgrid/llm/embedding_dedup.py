@@ -2,16 +2,18 @@
 
 Equal vectors of a label become one class with a count, so copies cost one row. Random hyperplanes give each class a sign
 code in each table; classes that agree in a table's whole code (and label and length) are compared exactly, in double precision, as blocks
-of a matrix product. A bucket of any size is dealt as pairs of fixed-size blocks, so no task holds a whole bucket. A
-pair that meets in several tables counts only in the first. Blocks return sums of partners per vector and a
+of a matrix product. Small buckets travel in packs; one beyond a block is dealt as pairs of fixed-size blocks, so no task holds a
+whole bucket. A pair that meets in several tables counts only in the first. Blocks return sums of partners per vector and a
 spanning forest of the links, never the pairs.
 
 The number of bits follows the number of classes, and the number of tables follows the bits, so that a pair at
-the threshold is missed with a probability of at most ``MISS`` whatever the size.
+the threshold is missed with a probability of at most ``MISS`` whatever the size. Products are cheap beside sending a vector to
+one more table, so codes are short and buckets wide.
 
 Edge cases: vectors that are null, empty, zero, or hold null or non-finite components, and rows without a label, link with nothing;
 they and unlinked vectors are their own component; equal vectors link; rows that repeat a vec_id count each as a partner;
-null ids get no component; an empty table gives no rows; other columns are ignored.
+null ids get no component; a long vector is compared whole; pairs whose cosine as computed in doubles is the threshold link;
+an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,6 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,13 +32,15 @@ from dpgrid.plans.graph import connected_components
 from dpgrid.plans.scratch import materialise
 
 THRESHOLD, MISS = 0.98, 1e-5
-#: Classes in a block of a bucket, and classes that a bucket is meant to hold on average.
-BLOCK, BUCKET = 512, 64
+#: Classes in a block of a bucket, and classes that a bucket would hold on average if all had one label.
+BLOCK, BUCKET = 2048, 2048
+#: Numbers in a pack of small buckets, about.
+PACK = 1 << 20
 
 
 def plan(classes: int, threshold: float = THRESHOLD, miss: float = MISS) -> tuple[int, int]:
     """Bits of a code and number of tables for so many classes."""
-    bits = int(min(30, max(8, math.ceil(math.log2(max(2, classes / BUCKET))))))
+    bits = int(min(30, max(4, math.ceil(math.log2(max(2, classes / BUCKET))))))
     agree = (1 - math.acos(threshold) / math.pi) ** bits
     return bits, math.ceil(math.log(miss) / math.log(1 - agree))
 
@@ -125,31 +130,43 @@ def embedding_components(vectors: DataFrame, threshold: float = THRESHOLD, id_co
     coded = materialise(classes.select("rep", "n", "label", "v").mapInArrow(encode, f"rep long, n long, label {kind}, v {number}, code array<int>"), "vector_codes")
     key = F.xxhash64("label", F.size("v"), "table", "c")
     places = coded.select("rep", F.posexplode("code").alias("table", "c"), "label", "v")
-    buckets = materialise(places.groupBy(key.alias("bucket"), "table").agg(F.count(F.lit(1)).alias("size")).where("size > 1"), "buckets")
+    buckets = materialise(places.groupBy(key.alias("bucket"), "table").agg(F.count(F.lit(1)).alias("size"), F.max(F.size("v")).alias("length")).where("size > 1"), "buckets")
+    small = F.col("size") <= BLOCK
+    packs = max(1, -(-(buckets.where(small).agg(F.sum(F.col("size") * F.col("length"))).first()[0] or 0) // PACK))
     # A row's bucket, then its block of the bucket, then all pairs that this block has with another: ids only, until dealt.
-    many = F.ceil(F.col("size") / BLOCK).cast("int")
-    slim = places.select("rep", "table", key.alias("bucket")).join(buckets, ["bucket", "table"]).withColumn("block", F.pmod(F.xxhash64("rep"), many).cast("int"))
+    many = F.when(small, 1).otherwise(F.ceil(F.col("size") / BLOCK)).cast("int")
+    slim = places.select("rep", "table", key.alias("bucket")).join(buckets.drop("length"), ["bucket", "table"]).withColumn("block", F.pmod(F.xxhash64("rep"), many).cast("int"))
+    pack = F.when(small, F.pmod(F.xxhash64("bucket"), F.lit(packs))).otherwise(F.col("bucket"))
     seats = materialise(
-        slim.select("rep", "bucket", "table", "block", F.explode(F.sequence(F.lit(0), many - 1)).alias("other")).select(
-            "rep", "bucket", "table", "block", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second")
+        slim.select("rep", "bucket", "table", small.alias("small"), pack.alias("pack"), "block", F.explode(F.sequence(F.lit(0), many - 1)).alias("other")).select(
+            "rep", "bucket", "table", "small", "pack", "block", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second")
         ),
         "vector_seats",
     )
     dealt = seats.join(coded.select("rep", "n", "v", "code"), "rep")
 
     def pairs(group: pa.Table) -> pa.Table:
-        group = group.combine_chunks()
+        group = group.sort_by("bucket").combine_chunks()
         get = lambda c: group[c].to_numpy()
-        n = group.num_rows
-        x = group["v"].combine_chunks().flatten().to_numpy().reshape(n, -1).astype(np.float64)
-        code = group["code"].combine_chunks().flatten().to_numpy().reshape(n, -1)
-        first, second, table = (group[c][0].as_py() for c in ("first", "second", "table"))
-        sums, edges = compare(get("rep"), get("n"), x, code, get("block"), first, second, table, threshold)
-        rows = [(k, None, s) for k, s in sums.items()] + [(a, b, 0) for a, b in edges]
-        a, b, s = zip(*rows, strict=True) if rows else ((), (), ())
-        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "links": pa.array(s, pa.int64())})
-
-    found = materialise(dealt.groupBy("bucket", "table", "first", "second").applyInArrow(pairs, "a long, b long, links long"), "vector_links")
+        bucket, table, ids, weight, block = (get(c) for c in ("bucket", "table", "rep", "n", "block"))
+        first, second = group["first"][0].as_py(), group["second"][0].as_py()
+        code = group["code"].combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
+        v = group["v"].combine_chunks()
+        flat, ends = v.flatten().to_numpy(), np.concatenate([[0], np.cumsum(pc.list_value_length(v).to_numpy())])
+        total: dict[int, int] = {}
+        links: list[tuple[int, int]] = []
+        edges = np.flatnonzero(np.concatenate([[True], (bucket[1:] != bucket[:-1]) | (table[1:] != table[:-1])]))
+        for lo, hi in zip(edges, [*edges[1:], len(ids)], strict=True):
+            x = flat[ends[lo] : ends[hi]].reshape(hi - lo, -1).astype(np.float64)
+            sums, found = compare(ids[lo:hi], weight[lo:hi], x, code[lo:hi], block[lo:hi], first, second, int(table[lo]), threshold)
+            links += found
+            for k, n in sums.items():
+                total[k] = total.get(k, 0) + n
+        rows = [(k, None, n) for k, n in total.items()] + [(a, b, 0) for a, b in links]
+        a, b, n = zip(*rows, strict=True) if rows else ((), (), ())
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "links": pa.array(n, pa.int64())})
+
+    found = materialise(dealt.groupBy("pack", "small", "first", "second").applyInArrow(pairs, "a long, b long, links long"), "vector_links")
     sums = found.where("b is null").groupBy("a").agg(F.sum("links").alias("others"))
     joined = connected_components(found.where("b is not null"), "a", "b")
     facts = materialise(
