@@ -130,7 +130,7 @@ def _throw(least: np.ndarray, elements: np.ndarray, weights: np.ndarray | None,
         who_ = np.repeat(at[hit], count)
         with np.errstate(over="ignore"):
             dart = mix(np.repeat(seed[hit], count) + (number.astype(np.uint64) + np.uint64(1)) * np.uint64(0xD1B54A32D192ED03))
-        if weights is not None:
+        if weights is not None and (weights[at] < low + weight_width).any():  # else all darts of the cell lie below the weight
             more = mix(dart ^ np.uint64(0xA0761D6478BD642F))
             inside = low + weight_width * ((more >> np.uint64(11)).astype(np.float64) * 2.0**-53) < weights[who_]
             dart, who_ = dart[inside], who_[inside]
@@ -365,7 +365,8 @@ def _resolved(plain: DataFrame, threshold: float, bands: int, rows: int, words:
     heads = classes.select("f1", "f2", F.col("copy_of").alias("doc_id"), F.col("copy_h").alias("h"), F.col("v").alias("member"))
     reps = sketched.join(heads, ["doc_id", "h", "f1", "f2"]).select("member", "bands")
     joined = connected_components(links(reps, classes, plain, threshold, words), "a", "b").withColumnRenamed("vertex", "v")
-    chiefs = joined.join(classes.select("v", "copy_of"), "v").groupBy("component").agg(F.min(F.struct("copy_of", "v")).alias("c"))
+    # Written, so that the join below meets two plain shuffles, and a component of many classes can be split.
+    chiefs = materialise(joined.join(classes.select("v", "copy_of"), "v").groupBy("component").agg(F.min(F.struct("copy_of", "v")).alias("c")), "component_chiefs")
     linked = joined.join(chiefs, "component").select("v", F.col("c.copy_of").alias("component_id"), (F.col("v") == F.col("c.v")).alias("chief"))
     facts = classes.join(linked, "v", "left").select("f1", "f2", "copy_of", "copy_h", F.coalesce("component_id", "copy_of").alias("component_id"), F.coalesce("chief", F.lit(True)).alias("chief"))
     return sketched.select("doc_id", "h", "f1", "f2"), materialise(facts, "class_facts")
