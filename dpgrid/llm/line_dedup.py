@@ -3,15 +3,15 @@
 A first pass sends each document's distinct line hashes (two 64-bit halves of a 128-bit hash) to a map-side
 combined count. Lines found in enough documents go, by hash, into shards; each shard becomes a minimal
 perfect hash with three arrays beside it: fingerprint (the other hash half), number of documents, and largest
-document id. Shards are files in the shared folder. The second pass maps or fetches the shards it needs and
-probes the arrays; documents are never joined with lines and never move.
+document id. Shards are files in the shared folder. The second pass gathers the line hashes of many documents, sorts them by
+shard, and maps or fetches each shard that they need once; documents are never joined with lines and never move.
 
 The perfect hash is a cascade of bit arrays: a key that meets no other key at its place of a level owns
 that bit, the rest go on to the next level; a key's number is the rank of its bit.
 
 Edge cases: a null or empty text is one empty line; a row is a document, so repeated rows count each; null ids are
-never the largest; ties do not arise within a document, whose lines all stay if it holds the largest id; an
-empty table gives no rows; other columns pass through, except those named as the result's columns.
+never the largest; ties do not arise within a document, whose lines all stay if it holds the largest id; a text or line of any
+length is hashed whole; an empty table gives no rows; other columns pass through, except those named as the result's columns.
 """
 
 from __future__ import annotations
@@ -35,8 +35,10 @@ from dpgrid.plans.scratch import materialise, new_path
 MIN_CHARS, MIN_DOCS = 20, 3
 #: Keys a shard holds on average; least number of shards.
 SHARD_KEYS, LEAST_SHARDS = 250_000, 16
-#: Bytes of fetched shards that a worker holds (mapped files are not held).
-FETCHED_BYTES = 256 << 20
+#: Bytes of fetched shards and number of mapped ones that a worker keeps open between probes.
+FETCHED_BYTES, MAPPED = 256 << 20, 256
+#: Text bytes whose lines are looked up together: each shard is opened once for so many.
+PROBE_BYTES = 64 << 20
 _SPACES = SPACES.encode()
 
 
@@ -145,12 +147,14 @@ class LineIndex:
             got = Shard(data), len(data)
         self.open[k] = got
         self.held += got[1]
-        while self.held > FETCHED_BYTES and len(self.open) > 1:
+        while (self.held > FETCHED_BYTES or len(self.open) > MAPPED) and len(self.open) > 1:
             self.held -= self.open.popitem(last=False)[1][1]
         return got[0]
 
     def probe(self, keys: np.ndarray, prints: np.ndarray, present: set[int]) -> tuple[np.ndarray, np.ndarray]:
         counts, last = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
+        if not len(keys):
+            return counts, last
         home = shard_of(keys, self.shards)
         order = np.argsort(home, kind="stable")
         edges = np.flatnonzero(np.diff(home[order], prepend=-1))
@@ -229,28 +233,49 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     passed = [f for f in docs.schema.fields if f.name not in ("n_lines", "n_dropped")]
     schema = T.StructType([T.StructField(f.name, T.StringType() if f.name == text_col else f.dataType) for f in passed] + [T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType())])
 
+    def hashed(piece: pa.RecordBatch) -> tuple[np.ndarray, ...]:
+        """Row, place in the row, and hash halves of all lines that are long enough."""
+        owner, place, keys = [], [], []
+        for i, text in enumerate(_texts(piece, text_col)):
+            for j, line in enumerate(text.split(b"\n")):
+                if long_enough(k := key_of(line), min_chars):
+                    owner.append(i)
+                    place.append(j)
+                    keys.append(k)
+        return np.array(owner, np.int64), np.array(place, np.int64), *(_hashes(keys) if keys else (np.empty(0, np.uint64),) * 2)
+
+    def finish(piece: pa.RecordBatch, owner: np.ndarray, place: np.ndarray, found: np.ndarray, last: np.ndarray) -> pa.RecordBatch:
+        """The piece without the lines that the index condemns."""
+        ids = column(piece, id_col).cast(pa.int64())
+        known, mine = np.asarray(ids.is_valid()), ids.fill_null(0).to_numpy(zero_copy_only=False)
+        gone = np.flatnonzero((found >= min_docs) & ~(known[owner] & (last == mine[owner])))
+        doomed: dict[int, set[int]] = {}
+        for x in gone:
+            doomed.setdefault(int(owner[x]), set()).add(int(place[x]))
+        texts = _texts(piece, text_col)
+        kept = [b"\n".join(line for j, line in enumerate(t.split(b"\n")) if j not in doomed[i]) if i in doomed else t for i, t in enumerate(texts)]
+        cols = {name: column(piece, name) for name in piece.schema.names} | {text_col: pa.array([k.decode("utf-8", "replace") for k in kept], pa.string())}
+        cols |= {"n_lines": pa.array([t.count(b"\n") + 1 for t in texts], pa.int64()), "n_dropped": pa.array([len(doomed.get(i, ())) for i in range(len(texts))], pa.int64())}
+        return out([*cols], *cols.values())
+
     def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index = LineIndex(where, shards)
+
+        def flush(held: list) -> Iterator[pa.RecordBatch]:
+            found, last = index.probe(*(np.concatenate([h[k] for _, h in held]) for k in (2, 3)), present)
+            at = 0
+            for piece, (owner, place, a, _) in held:
+                yield finish(piece, owner, place, found[at : at + len(a)], last[at : at + len(a)])
+                at += len(a)
+
+        held, size = [], 0
         for piece in chunks(batches, text_col):
-            texts = [t.split(b"\n") for t in _texts(piece, text_col)]
-            owner, place, keys = [], [], []
-            for i, lines in enumerate(texts):
-                for j, line in enumerate(lines):
-                    if long_enough(k := key_of(line), min_chars):
-                        owner.append(i)
-                        place.append(j)
-                        keys.append(k)
-            doomed: dict[int, set[int]] = {}
-            if keys and present:
-                found, last = index.probe(*_hashes(keys), present)
-                ids = column(piece, id_col).cast(pa.int64())
-                known, mine = np.asarray(ids.is_valid()), ids.fill_null(0).to_numpy(zero_copy_only=False)
-                who = np.array(owner)
-                for x in np.flatnonzero((found >= min_docs) & ~(known[who] & (last == mine[who]))):
-                    doomed.setdefault(owner[x], set()).add(place[x])
-            kept = [b"\n".join(lines) if i not in doomed else b"\n".join(line for j, line in enumerate(lines) if j not in doomed[i]) for i, lines in enumerate(texts)]
-            cols = {name: column(piece, name) for name in piece.schema.names} | {text_col: pa.array([k.decode("utf-8", "replace") for k in kept], pa.string())}
-            cols |= {"n_lines": pa.array([len(t) for t in texts], pa.int64()), "n_dropped": pa.array([len(doomed.get(i, ())) for i in range(len(texts))], pa.int64())}
-            yield out([*cols], *cols.values())
+            held.append((piece, hashed(piece)))
+            size += column(piece, text_col).nbytes
+            if size >= PROBE_BYTES:
+                yield from flush(held)
+                held, size = [], 0
+        if held:
+            yield from flush(held)
 
     return docs.select(*[f.name for f in passed]).mapInArrow(clean, schema)
