@@ -133,7 +133,8 @@ def _thresholds() -> None:
     register("cut_topk_w2", lambda s, d: significant_cells(band(s, d, "w2"), k=50)[0].select("wcell", r6("w")), clean("w2").select("SELECT wcell, round(w, 6) AS w FROM band WHERE w > 0 AND w >= (SELECT w FROM band ORDER BY w DESC LIMIT 1 OFFSET 49)"))
     register("cut_value_w2", lambda s, d: significant_cells(band(s, d, "w2"), d=25.0)[0].select("wcell", r6("w")), clean("w2").select("SELECT wcell, round(w, 6) AS w FROM band WHERE w >= 25"))
     register("percentile_check_w2", lambda s, d: percentile_cut(band(s, d, "w2"), 0.10).select("n_pos", "k", r6("d")), clean("w2").cut(0.10).select("SELECT n_pos, k, round(d, 6) AS d FROM cut"))
-    register("bracket_cut_w4", lambda s, d: bracket_cut(band(s, d, "w4"), WORKLOADS["w4"].p).select("n_pos", "k", r6("d")), clean("w4").cut(WORKLOADS["w4"].p).select("SELECT CAST(n_pos AS INT) AS n_pos, CAST(k AS INT) AS k, round(d, 6) AS d FROM cut"))
+    register("bracket_cut_w4", lambda s, d: bracket_cut(band(s, d, "w4"), WORKLOADS["w4"].p).select("n_pos", "k", r6("d")), clean("w4").cut(WORKLOADS["w4"].p).select("SELECT n_pos, k, round(d, 6) AS d FROM cut"))
+    register("bracket_cut_noisy_w2", lambda s, d: bracket_cut(technique(s, d, "w2", "noisy_counts").band, 0.10, RUN).select(*RUN, "n_pos", "k", r6("d")), clean("w2").runs(list(EPS), REPS).noisy_band(WORKLOADS["w2"].spec, KEY).cut(0.10, "nband", "ncut", RUN).select("SELECT eps_i, rep, n_pos, k, round(d, 6) AS d FROM ncut"))
     register("rank_intervals_w2", lambda s, d: rank_intervals(band(s, d, "w2")).select("rank", r6("lo"), r6("hi")), clean("w2").rank_intervals().select("SELECT rank, round(lo, 6) AS lo, round(hi, 6) AS hi FROM ivals"))
     register("value_histogram_w2", lambda s, d: value_histogram(band(s, d, "w2")).select(r6("w"), "mult", "rank_ge"), clean("w2").rank_intervals().select("SELECT round(w, 6) AS w, mult, rank AS rank_ge FROM ivals_h JOIN ivals ON hi = w"))
 
@@ -202,7 +203,8 @@ def _ledgers(s: SparkSession, d: str) -> DataFrame:
     c = s.createDataFrame([(0, 1)], "cell long, cnt long")
     g, r = unit(4), runs_frame(s, [1.0], 1)
     made = [("noisy_counts", mt.release_noisy_counts(c, g, 0.1, r, KEY)), ("trimmed", mt.release_trimmed(c, g, 0.1, r, KEY)), ("sampled_cut", mt.release_sampled_cut(c, g, 0.1, r, KEY))]
-    rows = [(n, round(m.ledger.spent(), 9)) for n, m in made] + [("synthetic", 1.0)]
+    made.append(("synthetic", mt.release_synthetic(s.createDataFrame([(0.5, 0.5)], "x0 double, x1 double"), ["x0", "x1"], g, 0.1, r, KEY)))
+    rows = [(n, round(m.ledger.spent(), 9)) for n, m in made]
     return s.createDataFrame(rows, "method string, spent double")
 
 
@@ -215,8 +217,11 @@ def technique(s: SparkSession, d: str, w: str, method: str, lines: DataFrame | N
 
 
 def private_sql(w: str, method: str, eps: list[float] | None = None, reps: int = REPS, alpha: float | None = None, base: Query | None = None) -> Query:
-    """Up to relation ``kept(eps_i, rep, wcell, w)`` and ``pcut(eps_i, rep, k_priv, d)``."""
+    """Up to relation ``kept(eps_i, rep, wcell, w)`` and ``pcut(eps_i, rep, k_priv, d)``, with the clean ``band`` beside them."""
     wl = WORKLOADS[w]
+    if method == "synthetic":
+        q = _drawn(_adaptive_sql(w, eps or EPS, reps), w).add("pcut", "SELECT eps_i, rep, k AS k_priv, d FROM scut")
+        return q.counts(w).haar(wl.spec)
     q = (base or clean(w)).runs(list(eps or EPS), reps)
     if method == "noisy_counts":
         q.noisy_band(wl.spec, KEY).cut(wl.p, "nband", "ncut", RUN).add("pcut", "SELECT eps_i, rep, k AS k_priv, d FROM ncut")
@@ -238,7 +243,9 @@ def _techniques() -> None:
             register(f"{name}_{w}", lambda s, d, w=w, method=method: technique(s, d, w, method).cells.select(*RUN, "wcell", "cluster"), sql)
         register(f"syn_adaptive_{w}", lambda s, d, w=w: technique(s, d, w, "synthetic").cells, _drawn_sql(_adaptive_sql(w), w))
     for publisher in ("quadtree", "kd", "wavelet"):
-        register(f"syn_{publisher}_w2", lambda s, d, publisher=publisher: technique(s, d, "w2", "synthetic", publisher=publisher).cells)
+        leaves = {"quadtree": _quadtree_sql, "kd": _kd_sql, "wavelet": _wavelet_sql}[publisher]("w2")
+        register(f"publish_{publisher}_w2", lambda s, d, publisher=publisher: pu.PUBLISHERS[publisher](pts("w2")(s, d), ["x0", "x1"], WORKLOADS["w2"].spec, runs(s), KEY).select(*RUN, "leaf", r6("lo0"), r6("hi0"), r6("lo1"), r6("hi1"), r6("cnt")), leaves.select("SELECT eps_i, rep, leaf, round(lo0, 6) AS lo0, round(hi0, 6) AS hi0, round(lo1, 6) AS lo1, round(hi1, 6) AS hi1, round(cnt, 6) AS cnt FROM leaves"))
+        register(f"syn_{publisher}_w2", lambda s, d, publisher=publisher: technique(s, d, "w2", "synthetic", publisher=publisher).cells, _drawn_sql(leaves, "w2"))
     uniform_leaves = _uniform_sql("w2")
     register("publish_uniform_w2", lambda s, d: pu.publish_uniform(pts("w2")(s, d), ["x0", "x1"], WORKLOADS["w2"].spec, runs(s), KEY).select(*RUN, "leaf", r6("lo0"), r6("hi0"), r6("lo1"), r6("hi1"), r6("cnt")), uniform_leaves.select("SELECT eps_i, rep, leaf, round(lo0, 6) AS lo0, round(hi0, 6) AS hi0, round(lo1, 6) AS lo1, round(hi1, 6) AS hi1, round(cnt, 6) AS cnt FROM leaves"))
     register("syn_uniform_w2", lambda s, d: technique(s, d, "w2", "synthetic", publisher="uniform").cells, _drawn_sql(_uniform_sql("w2"), "w2"))
@@ -262,8 +269,8 @@ def _uniform_sql(w: str) -> Query:
     return q.add("leaves", f"SELECT eps_i, rep, leaf, 0e0 + leaf // m * (1e0 / m) AS lo0, 0e0 + (leaf // m + 1) * (1e0 / m) AS hi0, 0e0 + leaf % m * (1e0 / m) AS lo1, 0e0 + (leaf % m + 1) * (1e0 / m) AS hi1, coalesce(c, 0) + {noise} AS cnt FROM (SELECT eps_i, eps, m, unnest(range(m * m)) AS leaf FROM sides) d LEFT JOIN lc USING (eps_i, leaf) JOIN (SELECT eps_i, rep FROM runs) r USING (eps_i)")
 
 
-def _adaptive_sql(w: str) -> Query:
-    q = Query().points(w).runs(list(EPS), REPS)
+def _adaptive_sql(w: str, eps=EPS, reps: int = REPS) -> Query:
+    q = Query().points(w).runs(list(eps), reps)
     q.add("sides", "SELECT DISTINCT eps_i, eps, CAST(greatest(10, ceil(0.25e0 * sqrt((SELECT count(*) FROM pts) * eps / 10e0))) AS BIGINT) AS m FROM runs")
     q.add("placed", "SELECT eps_i, m, x0, x1, CAST(greatest(least(floor((x0 - 0e0) * m / 1e0), m - 1), 0) AS BIGINT) AS a, CAST(greatest(least(floor((x1 - 0e0) * m / 1e0), m - 1), 0) AS BIGINT) AS b FROM pts CROSS JOIN sides")
     q.add("tc", "SELECT eps_i, a * m + b AS top, count(*) AS c FROM placed GROUP BY ALL")
@@ -274,7 +281,7 @@ def _adaptive_sql(w: str) -> Query:
     q.add("lc", f"SELECT p.eps_i, t.rep, t.top, {inner} AS inr, count(*) AS c FROM placed p JOIN tops t ON t.eps_i = p.eps_i AND t.top = p.a * p.m + p.b GROUP BY ALL")
     u = f"coalesce(c, 0) + {duck.laplace(uniform(KEY, 'agrid2', 'eps_i', 'rep', 'top', 'inr'), '1e0 / (eps * 0.5e0)')}"
     q.add("us", f"SELECT eps_i, rep, m, top, inr, m2, v, {u} AS u FROM (SELECT *, unnest(range(m2 * m2)) AS inr FROM tops) d LEFT JOIN lc USING (eps_i, rep, top, inr)")
-    return q.add("leaves", "SELECT eps_i, rep, top * 1000000 + inr AS leaf, (top // m * m2 + inr // m2) * (1e0 / (m * m2)) AS lo0, (top // m * m2 + inr // m2 + 1) * (1e0 / (m * m2)) AS hi0, (top % m * m2 + inr % m2) * (1e0 / (m * m2)) AS lo1, (top % m * m2 + inr % m2 + 1) * (1e0 / (m * m2)) AS hi1, u + ((0.25e0 * m2 * m2 * v + 0.25e0 * s) / (0.25e0 + 0.25e0 * m2 * m2) - s) / (m2 * m2) AS cnt FROM (SELECT *, sum(u) OVER (PARTITION BY eps_i, rep, top) AS s FROM us) q")
+    return q.add("leaves", "SELECT eps_i, rep, CAST(top AS VARCHAR) || '.' || CAST(inr AS VARCHAR) AS leaf, (top // m * m2 + inr // m2) * (1e0 / (m * m2)) AS lo0, (top // m * m2 + inr // m2 + 1) * (1e0 / (m * m2)) AS hi0, (top % m * m2 + inr % m2) * (1e0 / (m * m2)) AS lo1, (top % m * m2 + inr % m2 + 1) * (1e0 / (m * m2)) AS hi1, u + ((0.25e0 * m2 * m2 * v + 0.25e0 * s) / (0.25e0 + 0.25e0 * m2 * m2) - s) / (m2 * m2) AS cnt FROM (SELECT *, sum(u) OVER (PARTITION BY eps_i, rep, top) AS s FROM us) q")
 
 
 def _areal_sql(q: Query, w: str) -> str:
@@ -291,13 +298,79 @@ def _areal_sql(q: Query, w: str) -> str:
     return q.cut(WORKLOADS[w].p, "sband", "scut", RUN).keep("sband", "scut", "kept", RUN).components(spec.coarse(1), by=RUN).select("SELECT eps_i, rep, wcell, cluster FROM lab")
 
 
-def _drawn_sql(q: Query, w: str) -> str:
-    """Synthetic points of ``leaves``, then the plain algorithm on them."""
+def _drawn(q: Query, w: str) -> Query:
+    """Synthetic points of ``leaves``, up to the cells that the plain algorithm keeps of them."""
     spec = WORKLOADS[w].spec
     q.add("drawn", "SELECT eps_i, rep, leaf, lo0, hi0, lo1, hi1, unnest(range(1, CAST(floor(greatest(cnt, 0e0) + 0.5e0) AS BIGINT) + 1)) AS j FROM leaves")
     xs = [f"lo{a} + (hi{a} - lo{a}) * {uniform(KEY, f'synth_x{a}', 'eps_i', 'rep', 'leaf', 'j')} AS x{a}" for a in range(2)]
     q.add("syn", f"SELECT eps_i, rep, {', '.join(xs)} FROM drawn").counts(w, "syn", "sm", "eps_i, rep,").haar(spec, 1, "sm", "sband", "eps_i, rep,")
-    return q.cut(WORKLOADS[w].p, "sband", "scut", RUN).keep("sband", "scut", "kept", RUN).components(spec.coarse(1), by=RUN).select("SELECT eps_i, rep, wcell, cluster FROM lab")
+    return q.cut(WORKLOADS[w].p, "sband", "scut", RUN).keep("sband", "scut", "kept", RUN)
+
+
+def _drawn_sql(q: Query, w: str) -> str:
+    """The plain algorithm on synthetic points of ``leaves``."""
+    return _drawn(q, w).components(WORKLOADS[w].spec.coarse(1), by=RUN).select("SELECT eps_i, rep, wcell, cluster FROM lab")
+
+
+def _dense_sql(w: str) -> Query:
+    """``dense(cell, i, j, cnt)`` of a square grid beside the runs."""
+    spec = WORKLOADS[w].spec
+    i, j = duck.unrolled("r.cell", spec.g)
+    return Query().points(w).counts(w).runs(list(EPS), REPS).add("dense", f"SELECT r.cell, {i} AS i, {j} AS j, coalesce(cnt, 0) AS cnt FROM (SELECT unnest(range({spec.cells})) AS cell) r LEFT JOIN m USING (cell)")
+
+
+def _quadtree_sql(w: str) -> Query:
+    """Level after level: counts and noise, estimates from the leaves up, agreement from the root down."""
+    spec = WORKLOADS[w].spec
+    h = (max(spec.g) - 1).bit_length()
+    shares = [2 ** (i / 3) for i in range(h + 1)]
+    shares = [x / sum(shares) for x in shares]
+    q = Query().points(w).runs(list(EPS), REPS)
+    part = lambda x, k: f"CAST(greatest(least(floor(({x} - 0e0) * {num(2**k)} / 1e0), {2**k - 1}), 0) AS BIGINT)"
+    parent = lambda k: f"(node // {2**k} // 2 * {2 ** (k - 1)} + node % {2**k} // 2)"
+    for k, share in enumerate(shares):
+        draw = duck.laplace(uniform(KEY, "quad", "eps_i", "rep", str(k), "d.node"), f"1e0 / (eps * {num(share)})")
+        q.add(f"v{k}", f"SELECT eps_i, rep, d.node, coalesce(c, 0) + {draw} AS v FROM (SELECT unnest(range({4**k})) AS node) d LEFT JOIN (SELECT {part('x0', k)} * {2**k} + {part('x1', k)} AS node, count(*) AS c FROM pts GROUP BY 1) n ON n.node = d.node CROSS JOIN runs")
+    q.add(f"z{h}", f"SELECT eps_i, rep, node, v AS z FROM v{h}")
+    var = 1 / shares[h] ** 2
+    for k in range(h - 1, -1, -1):
+        below, own = 4 * var, 1 / shares[k] ** 2
+        q.add(f"p{k}", f"SELECT eps_i, rep, {parent(k + 1)} AS node, sum(z) AS s FROM z{k + 1} GROUP BY ALL")
+        q.add(f"z{k}", f"SELECT eps_i, rep, node, (v * {num(below)} + s * {num(own)}) / {num(below + own)} AS z FROM v{k} JOIN p{k} USING (eps_i, rep, node)")
+        var = below * own / (below + own)
+    q.add("t0", "SELECT eps_i, rep, node, z AS t FROM z0")
+    for k in range(1, h + 1):
+        q.add(f"t{k}", f"SELECT c.eps_i, c.rep, c.node, c.z + (t.t - p.s) / 4e0 AS t FROM (SELECT *, {parent(k)} AS up FROM z{k}) c JOIN t{k - 1} t ON t.eps_i = c.eps_i AND t.rep = c.rep AND t.node = c.up JOIN p{k - 1} p ON p.eps_i = c.eps_i AND p.rep = c.rep AND p.node = c.up")
+    side = 2**h
+    return q.add("leaves", f"SELECT eps_i, rep, node AS leaf, 0e0 + node // {side} * (1e0 / {side}) AS lo0, 0e0 + (node // {side} + 1) * (1e0 / {side}) AS hi0, 0e0 + node % {side} * (1e0 / {side}) AS lo1, 0e0 + (node % {side} + 1) * (1e0 / {side}) AS hi1, t AS cnt FROM t{h}")
+
+
+def _kd_sql(w: str, height: int = 6) -> Query:
+    """Boxes of cells split in turn at drawn medians."""
+    g = WORKLOADS[w].spec.g
+    q = _dense_sql(w).add("b0", f"SELECT eps_i, rep, eps, i, j, cnt, 0 AS box, 0 AS f0, {g[0]} AS t0, 0 AS f1, {g[1]} AS t1 FROM dense CROSS JOIN runs")
+    for k in range(height):
+        a, c = k % 2, "ij"[k % 2]
+        q.add(f"l{k}", f"SELECT *, sum(s) OVER (PARTITION BY eps_i, rep, box ORDER BY {c}) AS below, sum(s) OVER (PARTITION BY eps_i, rep, box) AS total FROM (SELECT eps_i, rep, eps, box, t{a} AS t, {c}, sum(cnt) AS s FROM b{k} GROUP BY ALL) z")
+        u = uniform(KEY, "kd", "eps_i", "rep", str(k), "box", f"({c} + 1)")
+        q.add(f"c{k}", f"SELECT eps_i, rep, box, arg_max({c} + 1, eps * {num(0.3 / height / 2)} * -abs(below - total / 2e0) - ln(-ln({u}))) AS cut FROM l{k} WHERE {c} + 1 < t GROUP BY ALL")
+        q.add(f"b{k + 1}", f"SELECT eps_i, rep, eps, i, j, cnt, box * 2 + CASE WHEN {c} >= cut THEN 1 ELSE 0 END AS box, {', '.join(x for y in (0, 1) for x in ((f'CASE WHEN {c} >= cut THEN cut ELSE f{y} END AS f{y}', f'CASE WHEN {c} < cut THEN cut ELSE t{y} END AS t{y}') if y == a else (f'f{y}', f't{y}')))} FROM b{k} LEFT JOIN c{k} USING (eps_i, rep, box)")
+    draw = duck.laplace(uniform(KEY, "kdleaf", "eps_i", "rep", "box"), f"1e0 / (eps * {num(1 - 0.3)})")
+    return q.add("leaves", f"SELECT eps_i, rep, CAST(box AS BIGINT) AS leaf, f0 / {num(g[0])} AS lo0, t0 / {num(g[0])} AS hi0, f1 / {num(g[1])} AS lo1, t1 / {num(g[1])} AS hi1, c + {draw} AS cnt FROM (SELECT eps_i, rep, eps, box, f0, t0, f1, t1, sum(cnt) AS c FROM b{height} GROUP BY ALL) z")
+
+
+def _wavelet_sql(w: str) -> Query:
+    """Every cell with the noise of all coefficients above it."""
+    g = WORKLOADS[w].spec.g
+    wide = [1 << (k - 1).bit_length() for k in g]
+    rho = (wide[0].bit_length()) * (wide[1].bit_length())
+    scales = [", ".join(f"({s})" for s in [0, *[1 << x for x in range(k.bit_length() - 1)]]) for k in wide]
+    coef = lambda c, s, k: f"({s} + {c} * {s} // {k})"
+    sign = lambda c, s, k: f"(CASE WHEN {s} > 0 AND {c} * {s} * 2 // {k} % 2 = 1 THEN -1e0 ELSE 1e0 END)"
+    weight = " * ".join(f"({num(k)} / greatest(s{a}, 1))" for a, k in enumerate(wide))
+    draw = duck.laplace(uniform(KEY, "wave", "eps_i", "rep", coef("i", "s0", wide[0]), coef("j", "s1", wide[1])), f"({num(2 * rho)} / eps / ({weight}))")
+    q = _dense_sql(w).add("noise", f"SELECT eps_i, rep, cell, i, j, cnt, sum({sign('i', 's0', wide[0])} * {sign('j', 's1', wide[1])} * {draw}) AS x FROM dense CROSS JOIN runs CROSS JOIN (VALUES {scales[0]}) a(s0) CROSS JOIN (VALUES {scales[1]}) b(s1) GROUP BY ALL")
+    return q.add("leaves", f"SELECT eps_i, rep, cell AS leaf, 0e0 + i * (1e0 / {g[0]}) AS lo0, 0e0 + (i + 1) * (1e0 / {g[0]}) AS hi0, 0e0 + j * (1e0 / {g[1]}) AS lo1, 0e0 + (j + 1) * (1e0 / {g[1]}) AS hi1, cnt + x AS cnt FROM noise")
 
 
 for _part in (_quantize, _wavelets, _thresholds, _components, _mechanisms, _techniques):

@@ -51,7 +51,7 @@ def each_method(s: SparkSession, d: str, w: str, lines: DataFrame, measure, meth
 def _measures() -> None:
     spec, g = WORKLOADS["w2"].spec, WORKLOADS["w2"].spec.coarse(1)
     sub = lambda q, body: "(" + q.select(body) + ")"
-    names = ("noisy_counts", "trimmed", "sampled_cut")
+    names = METHODS
     per = " UNION ALL ".join(f"SELECT '{SHORT[m]}' AS method, * FROM {sub(private_sql('w2', m, list(SWEEP), SWEEP_REPS), 'SELECT p.eps_i, p.rep, p.k_priv, r.eps FROM pcut p JOIN runs r USING (eps_i, rep)')} x" for m in names)
     k = sub(clean("w2").cut(0.10), "SELECT k FROM cut")
     register("rank_error_sweep_w2", _rank_errors, f"SELECT method, eps, round(avg(abs(k_priv - k) / k), 6) AS mean_error, round(avg(k_priv), 6) AS mean_k FROM ({per}) q CROSS JOIN {k} c GROUP BY method, eps")
@@ -61,7 +61,7 @@ def _measures() -> None:
     register("fmeasure_w2", lambda s, d: me.f_measure(truth(s, d, "w2"), technique(s, d, "w2", "trimmed").cells, runs(s)).select(*RUN, r6("f")), over.select("SELECT eps_i, rep, round(sum(n_a * best) / sum(n_a), 6) AS f FROM (SELECT eps_i, rep, a, n_a, max(2e0 * coalesce(o, 0) / (n_a + coalesce(n_b, 0))) AS best FROM na CROSS JOIN (SELECT eps_i, rep FROM runs) r LEFT JOIN o USING (eps_i, rep, a) LEFT JOIN nb USING (eps_i, rep, b) GROUP BY ALL) q GROUP BY eps_i, rep"))
     register("confusion_w2", lambda s, d: me.cell_confusion(truth(s, d, "w2"), technique(s, d, "w2", "trimmed").cells, runs(s), coarse("w2")).select(*RUN, "hit", "false_positive", "false_negative", "true_negative", r6("grid_dissimilarity")), labelled().add("tt", "SELECT r.eps_i, r.rep, t.wcell FROM tlab t CROSS JOIN runs r").select(f"SELECT eps_i, rep, count(*) FILTER (WHERE a = 1 AND b = 1) AS hit, count(*) FILTER (WHERE a IS NULL) AS false_positive, count(*) FILTER (WHERE b IS NULL) AS false_negative, {coarse('w2')} - count(*) AS true_negative, round(count(*) FILTER (WHERE a IS NULL OR b IS NULL) * 1e0 / count(*) FILTER (WHERE a = 1), 6) AS grid_dissimilarity FROM (SELECT *, 1 AS a FROM tt) x FULL JOIN (SELECT eps_i, rep, wcell, 1 AS b FROM plab) y USING (eps_i, rep, wcell) GROUP BY eps_i, rep"))
     counts_sql = " UNION ALL ".join(f"SELECT '{SHORT[m]}' AS method, * FROM {sub(private_sql('w2', m).components(g, by=RUN), 'SELECT eps_i, rep, count(DISTINCT cluster) AS clusters_private FROM lab GROUP BY ALL')} x" for m in names)
-    register("cluster_counts_sweep", lambda s, d: each_method(s, d, "w2", runs(s), lambda m: me.cluster_counts(truth(s, d, "w2"), m.cells, runs(s)), names), f"SELECT method, eps_i, rep, clusters_true, clusters_private FROM ({counts_sql}) q CROSS JOIN {sub(_clustered('w2'), 'SELECT count(DISTINCT cluster) AS clusters_true FROM lab')} t")
+    register("cluster_counts_sweep", lambda s, d: each_method(s, d, "w2", runs(s), lambda m: me.cluster_counts(truth(s, d, "w2"), m.cells, runs(s))), f"SELECT method, eps_i, rep, clusters_true, clusters_private FROM ({counts_sql}) q CROSS JOIN {sub(_clustered('w2'), 'SELECT count(DISTINCT cluster) AS clusters_true FROM lab')} t")
     register("flips_w2", lambda s, d: me.flip_counts(band(s, d, "w2"), technique(s, d, "w2", "noisy_counts").band), clean("w2").runs(list(EPS), REPS).noisy_band(spec, KEY).select("SELECT eps_i, rep, count(*) FILTER (WHERE coalesce(b.w, 0) <= 0 AND n.w > 0) AS became_positive, count(*) FILTER (WHERE b.w > 0 AND n.w <= 0) AS became_nonpositive FROM nband n LEFT JOIN band b USING (wcell) GROUP BY eps_i, rep"))
     x = "(2e0 * eps * w)"
     tail = f"exp(-{x}) * (48 + 33 * {x} + 9 * {x} * {x} + {x} * {x} * {x}) / 96"
@@ -80,34 +80,34 @@ def _measures() -> None:
     cell = duck.block_sql("cell", spec)
     pred = labelled().add("pp", f"SELECT r.eps_i, r.rep, coalesce(t.cluster, -1) AS a, coalesce(l.cluster, -1) AS b, count(*) AS n FROM (SELECT {cell} AS wcell FROM (SELECT {duck.cell_sql(['x0', 'x1'], spec)} AS cell FROM pts) z) p CROSS JOIN (SELECT eps_i, rep FROM runs) r LEFT JOIN tlab t USING (wcell) LEFT JOIN plab l USING (eps_i, rep, wcell) GROUP BY ALL")
     pairs = lambda key: f"(SELECT eps_i, rep, sum(m * (m - 1) / 2e0) AS v FROM (SELECT eps_i, rep, sum(n) AS m FROM pp GROUP BY eps_i, rep{key}) z GROUP BY ALL)"
-    register("ppd_w2", lambda s, d: me.pair_disagreement(_labels_as_predictions(s, d)).select(*RUN, r6("ppd")), pred.select(f"SELECT eps_i, rep, round((x.v + y.v - 2 * z.v) / t.v, 6) AS ppd FROM {pairs(', a')} x JOIN {pairs(', b')} y USING (eps_i, rep) JOIN {pairs(', a, b')} z USING (eps_i, rep) JOIN {pairs('')} t USING (eps_i, rep)"))
-    register("cmd_w2", lambda s, d: me.class_matching_dissimilarity(_labels_as_predictions(s, d)).select(*RUN, "agreed", "total", r6("cmd")))
+    register("ppd_w2", lambda s, d: me.pair_disagreement(_labels_as_predictions(s, d), weight="n").select(*RUN, r6("ppd")), pred.select(f"SELECT eps_i, rep, round((x.v + y.v - 2 * z.v) / t.v, 6) AS ppd FROM {pairs(', a')} x JOIN {pairs(', b')} y USING (eps_i, rep) JOIN {pairs(', a, b')} z USING (eps_i, rep) JOIN {pairs('')} t USING (eps_i, rep)"))
+    register("cmd_w2", lambda s, d: me.class_matching_dissimilarity(_labels_as_predictions(s, d), weight="n").select(*RUN, "agreed", "total", r6("cmd")))
     for w in ("w1", "w2", "w3", "w4"):
-        register(f"gcd_sweep_{w}", lambda s, d, w=w: each_method(s, d, w, runs(s), lambda m: me.grid_cluster_dissimilarity(truth(s, d, w), m.cells, runs(s)), ("noisy_counts", "trimmed", "sampled_cut")).select("method", *RUN, "cost", r6("gcd")))
+        register(f"gcd_sweep_{w}", lambda s, d, w=w: each_method(s, d, w, runs(s), lambda m: me.grid_cluster_dissimilarity(truth(s, d, w), m.cells, runs(s))).select("method", *RUN, "cost", r6("gcd")))
 
 
 def _rank_errors(s: SparkSession, d: str) -> DataFrame:
     k, lines = percentile_cut(band(s, d, "w2"), 0.10), sweep(s)
-    rows = each_method(s, d, "w2", lines, lambda m: me.rank_error(k, m.cut), ("noisy_counts", "trimmed", "sampled_cut"))
+    rows = each_method(s, d, "w2", lines, lambda m: me.rank_error(k, m.cut))
     return rows.join(F.broadcast(lines.select("eps_i", "eps").distinct()), "eps_i").groupBy("method", "eps").agg(r6(F.avg("rank_error"), "mean_error"), r6(F.avg("k_priv"), "mean_k"))
 
 
 def _labels_as_predictions(s: SparkSession, d: str) -> DataFrame:
-    """Every point's true and private label, noise being a class of its own."""
+    """True and private label of every cell that holds points, with their number ``n``; noise is a class of its own."""
     wl = WORKLOADS["w2"]
-    placed = wl.points(s, d).select(block_of(cell_of(wl.cols, wl.spec), wl.spec).alias("wcell"))
+    placed = wl.points(s, d).groupBy(block_of(cell_of(wl.cols, wl.spec), wl.spec).alias("wcell")).agg(F.count(F.lit(1)).alias("n"))
     minus = F.lit(-1).cast("long")
     t = truth(s, d, "w2").select("wcell", F.col("cluster").alias("pred_t"))
     p = technique(s, d, "w2", "trimmed").cells.withColumnRenamed("cluster", "pred_p")
-    lines = placed.crossJoin(F.broadcast(runs(s).select(*RUN))).join(F.broadcast(t), "wcell", "left").join(F.broadcast(p), [*RUN, "wcell"], "left")
+    lines = placed.crossJoin(F.broadcast(runs(s).select(*RUN))).join(t, "wcell", "left").join(p, [*RUN, "wcell"], "left")
     return lines.withColumns({"pred_t": F.coalesce("pred_t", minus), "pred_p": F.coalesce("pred_p", minus)})
 
 
 def classifier_predictions(s: SparkSession, d: str, w: str, lines: DataFrame, method: str) -> DataFrame:
-    """Predictions of trees trained on the cells of nine tenths of the points, for the other tenth."""
+    """Predictions of trees trained on the cells of nine tenths of the points, for the cells of the other tenth and its ``n`` points in each."""
     wl = WORKLOADS[w]
     parts = materialise(me.split_points(wl.points(s, d), KEY).select("train", *wl.cols, block_of(cell_of(wl.cols, wl.spec), wl.spec).alias("wcell")), "split")
-    train, test = parts.where("train"), parts.where(~F.col("train")).select("wcell")
+    train, test = parts.where("train"), parts.where(~F.col("train")).groupBy("wcell").agg(F.count(F.lit(1)).alias("n"))
     counts = mt._counts(train, wl.cols, wl.spec)
     true = mt.cluster_counts_matrix(counts, wl.spec, wl.p).cells
     if method == "synthetic":
@@ -118,25 +118,90 @@ def classifier_predictions(s: SparkSession, d: str, w: str, lines: DataFrame, me
     return tr.predictions(test, tr.fit_tree(true, g, ()), tr.fit_tree(made.cells, g), lines, wl.spec)
 
 
+def _report_sql(parts: dict[str, str], metric: str) -> str:
+    """``report`` over a SELECT of ``eps, metric`` per method."""
+    every = " UNION ALL ".join(f"SELECT '{m}' AS method, eps, {metric} FROM ({q}) x{i}" for i, (m, q) in enumerate(parts.items()))
+    return f"SELECT method, eps, round(avg({metric}), 6) AS mean, round(stddev_samp({metric}), 6) AS sd, round(min({metric}), 6) AS least, round(max({metric}), 6) AS most, count({metric}) AS runs FROM ({every}) q GROUP BY method, eps"
+
+
+def _rank_sql(w: str, m: str, eps, reps: int) -> str:
+    q = private_sql(w, m, list(eps), reps).cut(WORKLOADS[w].p, "band", "rcut")
+    return q.select("SELECT eps, abs(k_priv - k) * 1e0 / k AS rank_error FROM pcut JOIN runs USING (eps_i, rep) CROSS JOIN (SELECT k FROM rcut) c")
+
+
+def _both_labels(w: str, m: str, eps, reps: int) -> Query:
+    g, p = WORKLOADS[w].spec.coarse(1), WORKLOADS[w].p
+    return private_sql(w, m, list(eps), reps).components(g, "kept", "plab", RUN).cut(p, "band", "tcut").keep("band", "tcut", "tkept").components(g, "tkept", "tlab")
+
+
+def _f_sql(w: str, m: str, eps, reps: int) -> str:
+    q = _both_labels(w, m, eps, reps).add("o", "SELECT p.eps_i, p.rep, t.cluster AS a, p.cluster AS b, count(*) AS o FROM plab p JOIN tlab t USING (wcell) GROUP BY ALL").add("na", "SELECT cluster AS a, count(*) AS n_a FROM tlab GROUP BY 1").add("nb", "SELECT eps_i, rep, cluster AS b, count(*) AS n_b FROM plab GROUP BY ALL")
+    best = "SELECT eps_i, rep, a, max(2e0 * o / (n_a + n_b)) AS best FROM o JOIN na USING (a) JOIN nb USING (eps_i, rep, b) GROUP BY ALL"
+    return q.select(f"SELECT eps, sum(n_a * coalesce(best, 0e0)) / sum(n_a) AS f FROM runs CROSS JOIN na LEFT JOIN ({best}) z USING (eps_i, rep, a) GROUP BY eps_i, rep, eps")
+
+
+def _clusters_sql(w: str, m: str, eps, reps: int) -> str:
+    q = private_sql(w, m, list(eps), reps).components(WORKLOADS[w].spec.coarse(1), "kept", "plab", RUN)
+    return q.select("SELECT eps, coalesce(c, 0) AS clusters_private FROM runs LEFT JOIN (SELECT eps_i, rep, count(DISTINCT cluster) AS c FROM plab GROUP BY ALL) z USING (eps_i, rep)")
+
+
+def _every(fn, w: str, eps=SWEEP, reps: int = SWEEP_REPS) -> dict[str, str]:
+    return {SHORT[m]: fn(w, m, eps, reps) for m in METHODS}
+
+
+def _tail_sql() -> str:
+    x = "(2e0 * eps * w)"
+    return f"exp(-{x}) * (48 + 33 * {x} + 9 * {x} * {x} + {x} * {x} * {x}) / 96"
+
+
+def _edges_sql(m: str, p: float) -> tuple[str, str, str]:
+    """Lower and upper rank and half-width of a method's bound, over the columns of ``st``."""
+    one, ln_omega = num(1 - p), f"ln(1e0 / {num(OMEGA)})"
+    wide = f"sqrt(n_nonpos * {ln_omega} / 2e0)"
+    gamma = lambda e: f"8e0 / (eps * {num(e)}) * ln(4 * (n_pos + n_nonpos) / {num(OMEGA)})"
+    if m == "noisy_counts":
+        return f"k + {one} * (n_nonpos / 2e0 - {wide} - theta)", f"k + {one} * (n_nonpos / 2e0 + {wide} - theta)", gamma(1.0)
+    if m == "trimmed":
+        beta = f"2e0 / (eps * {num(1 - 0.9)}) * {ln_omega}"
+        return f"k + {one} * (-{wide} - theta - {beta})", f"k + {one} * ({wide} - theta + {beta})", gamma(0.9)
+    e2, gap = f"(eps * {num(1 - 0.7)})", "greatest(abs(w_max - w_k), 1e-12)"
+    return f"k - (n_pos - k - 1 + 2e0 / {e2} * ln({gap} / (abs(w_k) * {num(OMEGA)})))", f"k + (k - 2 + 2e0 / {e2} * ln(abs(w_k) / ({gap} * {num(OMEGA)})))", gamma(0.7)
+
+
+def _bounds_sql(w: str, m: str) -> str:
+    wl = WORKLOADS[w]
+    lo, hi, gamma = _edges_sql(m, wl.p)
+    q = private_sql(w, m, [0.5, 1.0, 2.0], SWEEP_REPS).cut(wl.p, "band", "bcut")
+    q.add("th", f"SELECT eps_i, eps, sum({_tail_sql()}) AS theta FROM (SELECT DISTINCT eps_i, eps FROM runs) r CROSS JOIN band WHERE w > 0 GROUP BY ALL")
+    q.add("st", f"SELECT eps_i, eps, n_pos, {coarse(w)} - n_pos AS n_nonpos, k, d AS w_k, (SELECT max(w) FROM band) AS w_max, theta FROM th CROSS JOIN bcut")
+    q.add("ed", f"SELECT eps_i, greatest(least(floor({lo}), n_pos), 1) AS k_min, greatest(least(ceil({hi}), n_pos), 1) AS k_max, {gamma} AS gamma FROM st")
+    q.add("rk", "SELECT w, sum(mult) OVER (ORDER BY w DESC) AS r FROM (SELECT w, count(*) AS mult FROM band WHERE w > 0 GROUP BY w) z")
+    q.add("eg", "SELECT eps_i, gamma, max(w) FILTER (WHERE r >= k_min) AS w_hi, max(w) FILTER (WHERE r >= k_max) AS w_lo FROM ed CROSS JOIN rk GROUP BY ALL")
+    q.add("ce", "SELECT r.eps_i, r.rep, b.w > w_hi + gamma AS must, b.w < w_lo - gamma AS never, k.wcell IS NOT NULL AS out FROM runs r JOIN eg USING (eps_i) CROSS JOIN band b LEFT JOIN kept k ON k.eps_i = r.eps_i AND k.rep = r.rep AND k.wcell = b.wcell WHERE b.w > 0")
+    each = "SELECT eps_i, rep, count(*) FILTER (WHERE must) AS must, count(*) FILTER (WHERE never) AS must_not, count(*) FILTER (WHERE (must AND NOT out) OR (never AND out)) = 0 AS holds FROM ce GROUP BY ALL"
+    return q.select(f"SELECT '{w}' AS workload, '{SHORT[m]}' AS method, round(avg(CASE WHEN holds THEN 1e0 ELSE 0e0 END), 6) AS coverage, CAST(sum(must) AS BIGINT) AS must, CAST(sum(must_not) AS BIGINT) AS must_not FROM ({each}) y")
+
+
 def _experiments() -> None:
     facts = " UNION ALL ".join(f"SELECT '{w}' AS workload, * FROM ({_clustered(w).select(f'SELECT c.n_pos, {coarse(w)} - c.n_pos AS n_nonpos, c.k, (SELECT count(DISTINCT cluster) FROM lab) AS clusters FROM cut c')}) x" for w in ("w1", "w2", "w3", "w4"))
     register("exp_nonprivate", _nonprivate, facts)
     for w in ("w1", "w2", "w3", "w4"):
-        register(f"exp_rank_error_{w}", lambda s, d, w=w: report(each_method(s, d, w, sweep(s), lambda m: me.rank_error(percentile_cut(band(s, d, w), WORKLOADS[w].p), m.cut)), "rank_error", sweep(s)))
+        register(f"exp_rank_error_{w}", lambda s, d, w=w: report(each_method(s, d, w, sweep(s), lambda m: me.rank_error(percentile_cut(band(s, d, w), WORKLOADS[w].p), m.cut)), "rank_error", sweep(s)), _report_sql(_every(_rank_sql, w), "rank_error"))
         register(f"exp_dissimilarity_{w}", lambda s, d, w=w: _with_truth(s, d, w, sweep(s), lambda t, m, lines: me.grid_cluster_dissimilarity(t, m.cells, lines), "gcd"))
-        register(f"exp_fmeasure_{w}", lambda s, d, w=w: _with_truth(s, d, w, sweep(s), lambda t, m, lines: me.f_measure(t, m.cells, lines), "f"))
+        register(f"exp_fmeasure_{w}", lambda s, d, w=w: _with_truth(s, d, w, sweep(s), lambda t, m, lines: me.f_measure(t, m.cells, lines), "f"), _report_sql(_every(_f_sql, w), "f"))
         register(f"exp_classifier_{w}", lambda s, d, w=w: _classifier(s, d, w, runs_frame(s, SWEEP, SWEEP_REPS)))
     register("exp_alpha_trim", lambda s, d: _alphas(s, d, "w1", mt.release_trimmed, (0.01, 0.1, 0.3, 0.5, 0.7, 0.9, 0.99)))
     register("exp_alpha_cut", lambda s, d: _alphas(s, d, "w1", mt.release_sampled_cut, (0.1, 0.3, 0.5, 0.7, 0.9)))
     register("exp_grid_size", _grid_sizes)
     register("exp_wavelets", _wavelet_study)
     register("exp_bridge_record", lambda s, d: bridge_record(s), "SELECT * FROM (VALUES ('without', CAST(9 AS BIGINT), CAST(2 AS BIGINT)), ('with', 10, 1)) t(data, k, clusters)")
-    register("exp_synthetic_merge", lambda s, d: _with_truth(s, d, "w1", runs_frame(s, [0.5, 1.0], SWEEP_REPS), lambda t, m, lines: me.cluster_counts(t, m.cells, lines), "clusters_private"))
+    register("exp_synthetic_merge", lambda s, d: _with_truth(s, d, "w1", runs_frame(s, [0.5, 1.0], SWEEP_REPS), lambda t, m, lines: me.cluster_counts(t, m.cells, lines), "clusters_private"), _report_sql(_every(_clusters_sql, "w1", (0.5, 1.0)), "clusters_private"))
     x = "(2e0 * eps * w)"
     tail = f"exp(-{x}) * (48 + 33 * {x} + 9 * {x} * {x} + {x} * {x} * {x}) / 96"
     theory = private_sql("w2", "noisy_counts", list(SWEEP), SWEEP_REPS).cut(0.10, "band", "ccut").add("th", f"SELECT eps_i, eps, sum({tail}) AS theta FROM (SELECT DISTINCT eps_i, eps FROM runs) r CROSS JOIN band WHERE w > 0 GROUP BY ALL").add("mk", "SELECT eps_i, avg(k_priv) AS mean_k FROM pcut GROUP BY eps_i")
     register("exp_theory_nq", _theory, theory.select(f"SELECT eps, k, round(mean_k - k, 6) AS measured, round(0.9e0 * (({coarse('w2')} - n_pos) / 2e0 - theta), 6) AS predicted FROM th JOIN mk USING (eps_i) CROSS JOIN ccut"))
-    register("exp_bounds", _bound_study)
+    register("exp_bounds", _bound_study, " UNION ALL ".join(f"SELECT * FROM ({_bounds_sql(w, m)}) x" for w in ("w1", "w2", "w3", "w4") for m in METHODS[1:]))
+    register("exp_sampled_w4", _sampled_study, _sampled_sql())
 
 
 def _with_truth(s: SparkSession, d: str, w: str, lines: DataFrame, measure, metric: str) -> DataFrame:
@@ -147,9 +212,8 @@ def _with_truth(s: SparkSession, d: str, w: str, lines: DataFrame, measure, metr
 def _classifier(s: SparkSession, d: str, w: str, lines: DataFrame) -> DataFrame:
     made = None
     for m in METHODS:
-        tested = materialise(classifier_predictions(s, d, w, lines, m).groupBy(*RUN, "pred_t", "pred_p").agg(F.count(F.lit(1)).alias("c")), "predictions")
-        each = tested.withColumn("i", F.explode(F.sequence(F.lit(1).cast("long"), F.col("c"))))
-        both = me.class_matching_dissimilarity(each).select(*RUN, "cmd").join(me.pair_disagreement(each), list(RUN)).withColumn("method", F.lit(SHORT[m]))
+        tested = materialise(classifier_predictions(s, d, w, lines, m).groupBy(*RUN, "pred_t", "pred_p").agg(F.sum("n").alias("c")), "predictions")
+        both = me.class_matching_dissimilarity(tested, weight="c").select(*RUN, "cmd").join(me.pair_disagreement(tested, weight="c"), list(RUN)).withColumn("method", F.lit(SHORT[m]))
         made = both if made is None else made.unionByName(both)
     named = made.join(F.broadcast(lines.select("eps_i", "eps").distinct()), "eps_i")
     return named.groupBy("method", "eps").agg(r6(F.avg("cmd"), "cmd"), r6(F.avg("ppd"), "ppd"), F.count("cmd").alias("runs"))
@@ -173,29 +237,76 @@ def _alphas(s: SparkSession, d: str, w: str, fn, alphas) -> DataFrame:
     return made.join(F.broadcast(lines.select("eps_i", "eps").distinct()), "eps_i").groupBy("alpha", "eps").agg(r6(F.avg("gcd"), "gcd"), F.count("gcd").alias("runs"))
 
 
+def _study(points: DataFrame, cols, spec, p: float, lines: DataFrame, o: mt.Options = mt.Options()) -> DataFrame:
+    """Mean dissimilarity of all techniques on one matrix: ``method, gcd``."""
+    counts, made = mt._counts(points, cols, spec), None
+    t = materialise(mt.cluster_counts_matrix(counts, spec, p, (), o).cells, "truth")
+    for m in METHODS:
+        if m == "synthetic":
+            released = mt.release_synthetic(points, cols, spec, p, lines, KEY, o=o)
+        else:
+            released = {"noisy_counts": mt.release_noisy_counts, "trimmed": mt.release_trimmed, "sampled_cut": mt.release_sampled_cut}[m](counts, spec, p, lines, KEY, o=o)
+        part = me.grid_cluster_dissimilarity(t, released.cells, lines).agg(r6(F.avg("gcd"), "gcd")).select(F.lit(SHORT[m]).alias("method"), "gcd")
+        made = part if made is None else made.unionByName(part)
+    return made
+
+
 def _grid_sizes(s: SparkSession, d: str) -> DataFrame:
     wl, made = WORKLOADS["w2"], None
     points = materialise(wl.points(s, d).select(*wl.cols), "points")
-    lines = runs_frame(s, [1.0], SWEEP_REPS)
     for g in (16, 24, 32, 40, 64, 96):
-        spec = unit(g)
-        counts = mt._counts(points, wl.cols, spec)
-        t = mt.cluster_counts_matrix(counts, spec, wl.p)
-        for m, fn in (("NQ", mt.release_noisy_counts), ("TRIM", mt.release_trimmed), ("CUT", mt.release_sampled_cut)):
-            part = me.grid_cluster_dissimilarity(t.cells, fn(counts, spec, wl.p, lines, KEY).cells, lines).agg(r6(F.avg("gcd"), "gcd")).select(F.lit(g).alias("g"), F.lit(m).alias("method"), "gcd")
-            made = part if made is None else made.unionByName(part)
-    return made
+        part = _study(points, wl.cols, unit(g), wl.p, runs_frame(s, [1.0], SWEEP_REPS)).withColumn("g", F.lit(g))
+        made = part if made is None else made.unionByName(part)
+    return made.select("g", "method", "gcd")
 
 
 def _wavelet_study(s: SparkSession, d: str) -> DataFrame:
-    wl, counts, lines, made = WORKLOADS["w2"], kept_counts(s, d, "w2"), runs_frame(s, [1.0], SWEEP_REPS), None
+    wl, made = WORKLOADS["w2"], None
+    points = materialise(wl.points(s, d).select(*wl.cols), "points")
     for wave in ("haar", "bior2.2", "db2"):
-        o = mt.Options(wavelet=wave)
-        t = mt.cluster_counts_matrix(counts, wl.spec, wl.p, (), o)
-        for m, fn in (("NQ", mt.release_noisy_counts), ("TRIM", mt.release_trimmed), ("CUT", mt.release_sampled_cut)):
-            part = me.grid_cluster_dissimilarity(t.cells, fn(counts, wl.spec, wl.p, lines, KEY, o=o).cells, lines).agg(r6(F.avg("gcd"), "gcd")).select(F.lit(wave).alias("wavelet"), F.lit(m).alias("method"), "gcd")
+        part = _study(points, wl.cols, wl.spec, wl.p, runs_frame(s, [1.0], SWEEP_REPS), mt.Options(wavelet=wave)).withColumn("wavelet", F.lit(wave))
+        made = part if made is None else made.unionByName(part)
+    return made.select("wavelet", "method", "gcd")
+
+
+#: Share of the check-ins that the sampled experiment keeps.
+SAMPLED = 1 / 6.4
+
+
+def _sampled_study(s: SparkSession, d: str) -> DataFrame:
+    """All techniques on the check-ins and on a fixed share of them: clusters, rank error and F-measure."""
+    wl, lines, made = WORKLOADS["w4"], runs_frame(s, [0.5, 1.0], SWEEP_REPS), None
+    for name in ("full", "sampled"):
+        points = wl.points(s, d).select("point_id", *wl.cols)
+        points = materialise((points if name == "full" else me.sample_share(points, KEY, SAMPLED)).select(*wl.cols), "points")
+        counts = mt._counts(points, wl.cols, wl.spec)
+        true = mt.cluster_counts_matrix(counts, wl.spec, wl.p)
+        t = materialise(true.cells, "truth")
+        for m in METHODS:
+            if m == "synthetic":
+                released = mt.release_synthetic(points, wl.cols, wl.spec, wl.p, lines, KEY)
+            else:
+                released = {"noisy_counts": mt.release_noisy_counts, "trimmed": mt.release_trimmed, "sampled_cut": mt.release_sampled_cut}[m](counts, wl.spec, wl.p, lines, KEY)
+            cells = materialise(released.cells, "released")
+            each = me.rank_error(true.cut, released.cut).select(*RUN, "rank_error").join(me.f_measure(t, cells, lines), list(RUN)).join(me.cluster_counts(t, cells, lines), list(RUN))
+            part = each.select(F.lit(name).alias("data"), F.lit(SHORT[m]).alias("method"), "eps_i", "rank_error", "f", "clusters_true", "clusters_private")
             made = part if made is None else made.unionByName(part)
-    return made
+    return made.groupBy("data", "method", "eps_i").agg(F.max("clusters_true").alias("clusters_true"), r6(F.avg("clusters_private"), "clusters"), r6(F.avg("rank_error"), "rank_error"), r6(F.avg("f"), "f"))
+
+
+def _sampled_sql() -> str:
+    made, share = [], f"WHERE {duck.uniform(KEY, 'share', 'point_id')} < {num(SAMPLED)}"
+    for name in ("full", "sampled"):
+        for m in METHODS:
+            q = _both_labels("w4", m, (0.5, 1.0), SWEEP_REPS).cut(WORKLOADS["w4"].p, "band", "rcut")
+            if name == "sampled":
+                q.parts = [(n, f"SELECT * FROM ({b}) z {share}" if n == "pts" else b) for n, b in q.parts]
+            q.add("o", "SELECT p.eps_i, p.rep, t.cluster AS a, p.cluster AS b, count(*) AS o FROM plab p JOIN tlab t USING (wcell) GROUP BY ALL").add("na", "SELECT cluster AS a, count(*) AS n_a FROM tlab GROUP BY 1").add("nb", "SELECT eps_i, rep, cluster AS b, count(*) AS n_b FROM plab GROUP BY ALL")
+            q.add("be", "SELECT eps_i, rep, a, max(2e0 * o / (n_a + n_b)) AS best FROM o JOIN na USING (a) JOIN nb USING (eps_i, rep, b) GROUP BY ALL")
+            q.add("ff", "SELECT eps_i, rep, sum(n_a * coalesce(best, 0e0)) / sum(n_a) AS f FROM runs CROSS JOIN na LEFT JOIN be USING (eps_i, rep, a) GROUP BY ALL")
+            q.add("cc", "SELECT eps_i, rep, count(DISTINCT cluster) AS c FROM plab GROUP BY ALL")
+            made.append(q.select(f"SELECT '{name}' AS data, '{SHORT[m]}' AS method, eps_i, (SELECT count(DISTINCT cluster) FROM tlab) AS clusters_true, round(avg(coalesce(c, 0)), 6) AS clusters, round(avg(abs(k_priv - k) * 1e0 / k), 6) AS rank_error, round(avg(f), 6) AS f FROM pcut JOIN ff USING (eps_i, rep) LEFT JOIN cc USING (eps_i, rep) CROSS JOIN (SELECT k FROM rcut) r GROUP BY eps_i"))
+    return " UNION ALL ".join(f"SELECT * FROM ({q}) x{i}" for i, q in enumerate(made))
 
 
 def bridge_points(s: SparkSession, bridged: bool) -> DataFrame:
@@ -316,9 +427,26 @@ def _streams() -> None:
     register("interval_join_events", _interval_join, f"SELECT span, count(*) AS n, sum(CAST(round(value * 100) AS BIGINT)) AS cents FROM events e JOIN ({spans}) s ON e.ts >= s.begin AND e.ts < s.finish GROUP BY span")
     register("occupied_w4", lambda s, d: occupied_cells(pts("w4")(s, d), ["x0", "x1"], WORKLOADS["w4"].spec), clean("w4").select("SELECT count(*) AS occupied FROM m"))
     register("running_counts_events", lambda s, d: _running(s, d), f"SELECT cell, count(*) AS cnt FROM {pt} p GROUP BY cell")
-    register("stream_release_events", _stream_release)
+    register("stream_release_events", _stream_release, _stream_release_sql())
     register("stream_cap_events", lambda s, d: win.run_available(win.cap_stream(win.clock_points(win.event_stream(s, d)), 3), "cap").groupBy("user_id").agg(F.count(F.lit(1)).alias("n")), "SELECT user_id, least(count(*), 3) AS n FROM events GROUP BY user_id")
-    register("stream_labels_events", _stream_labels)
+    spec6 = WORKLOADS["w6"].spec
+    at = f"SELECT point_id AS event_id, {duck.block_sql('cell', spec6)} AS wcell FROM (SELECT point_id, {duck.cell_sql(WORKLOADS['w6'].cols, spec6)} AS cell FROM pts) q"
+    register("stream_labels_events", _stream_labels, private_sql("w6", "trimmed", [1.0], 1).components(spec6.coarse(1), by=RUN).select(f"SELECT event_id, coalesce(cluster, -1) AS cluster FROM ({at}) e LEFT JOIN lab USING (wcell)"))
+
+
+def _stream_release_sql() -> str:
+    """The batch reading: weeks that the watermark has closed, each a run with draws keyed by its start."""
+    week = 7 * 86400
+    draw = lambda cell: duck.laplace(duck.uniform(KEY, "{s}", "'count'", "0", "0", cell).replace("'{s}'", "start"), "1e0 / 0.9e0")
+    inner = " + ".join(draw(f"((wcell // 4 * 2 + {a}) * 8 + wcell % 4 * 2 + {b})") for a in (0, 1) for b in (0, 1))
+    cell = duck.cell_sql(["x0", "x1"], unit(8))
+    z = duck.laplace(duck.uniform(KEY, "{s}", "'z'", "0", "0").replace("'{s}'", "start"), f"1e0 / {num(1 - 0.9)}")
+    q = Query().add("ev", f"SELECT CAST(floor(epoch(ts) / {week}) AS BIGINT) * {week} AS start, {cell} AS cell FROM (SELECT ts, (hour(ts) * 60 + minute(ts)) / 1440e0 AS x0, ln(value + 1e0) / ln(501e0) AS x1 FROM events) z")
+    q.add("st", f"SELECT DISTINCT start FROM ev WHERE start + {week} <= (SELECT epoch(max(ts)) - 86400 FROM events)")
+    q.add("band", "SELECT start, cell // 8 // 2 * 4 + cell % 8 // 2 AS wcell, count(*) / 2e0 AS w FROM ev JOIN st USING (start) GROUP BY ALL")
+    q.add("nband", f"SELECT start, wcell, (coalesce(w, 0e0) * 2e0 + {inner}) / 2e0 AS w FROM (SELECT start, unnest(range(16)) AS wcell FROM st) d LEFT JOIN band USING (start, wcell)")
+    q.add("dr", f"SELECT start, CAST(floor((16 - n + {z}) / 2e0) AS BIGINT) AS r FROM (SELECT start, count(*) AS n FROM band WHERE w > 0 GROUP BY start) c")
+    return q.cut(0.25, "nband", "ncut", ("start",), "dr").keep("nband", "ncut", "kept", ("start",)).components((4, 4), by=("start",)).select("SELECT start, wcell, cluster FROM lab")
 
 
 def _interval_join(s: SparkSession, d: str) -> DataFrame:
@@ -376,7 +504,14 @@ def _surface() -> None:
     register("udaf_entropy_w1", lambda s, d: pts("w1")(s, d).groupBy("truth").agg(F.count(F.lit(1)).alias("n")).groupBy((F.col("truth") % 3).alias("status")).agg(sqlapi.weighted_entropy()(F.col("n").cast("double")).alias("bits"), sqlapi.log_sum_exp()(F.log("n")).alias("lse")).select("status", r6("bits"), r6("lse")), f"SELECT status, round(-sum(n / t * log2(n / t)), 6) AS bits, round(ln(max(t)), 6) AS lse FROM (SELECT truth % 3 AS status, n, sum(n) OVER (PARTITION BY truth % 3) AS t FROM (SELECT truth, count(*) AS n FROM ({WORKLOADS['w1'].sql('duckdb')}) q GROUP BY 1) a) b GROUP BY status")
     register("percentiles_w2", lambda s, d: band(s, d, "w2").where("w > 0").agg(r6(F.expr("percentile(w, 0.25)"), "p25"), r6(F.expr("percentile_cont(0.5) WITHIN GROUP (ORDER BY w)"), "p50"), r6(F.expr("percentile_disc(0.9) WITHIN GROUP (ORDER BY w)"), "p90"), F.count_distinct("w").alias("different"), F.bool_and(F.col("w") > 0).alias("positive")), clean("w2").select("SELECT round(quantile_cont(w, 0.25), 6) AS p25, round(quantile_cont(w, 0.5), 6) AS p50, round(quantile_disc(w, 0.9), 6) AS p90, count(DISTINCT w) AS different, bool_and(w > 0) AS positive FROM band WHERE w > 0"))
     register("adjacency_edges_w2", lambda s, d: edges(significant_cells(band(s, d, "w2"), p=0.10)[0], g).select("a", "b"), clean("w2").cut(0.10).keep("band", "cut").select("SELECT a.wcell AS a, b.wcell AS b FROM kept a JOIN kept b ON b.wcell = a.wcell + 20 OR (b.wcell = a.wcell + 1 AND a.wcell % 20 < 19)"))
-    register("components_periodic_w2", lambda s, d: connected_components(significant_cells(band(s, d, "w2"), p=0.10)[0], g, periodic=True).select("wcell", "cluster"))
+    register("components_periodic_w2", lambda s, d: connected_components(significant_cells(band(s, d, "w2"), p=0.10)[0], g, periodic=True).select("wcell", "cluster"), clean("w2").cut(0.10).keep("band", "cut").components(g, periodic=True).select("SELECT wcell, cluster FROM lab"))
+    register("components_periodic_tiled_w2", lambda s, d: connected_components(significant_cells(band(s, d, "w2"), p=0.10)[0], g, strategy="tiled", tile=8, periodic=True).select("wcell", "cluster"), ORACLES["components_periodic_w2"])
+
+    def boxes(s: SparkSession, d: str) -> DataFrame:
+        sqlapi.register_sql(s)
+        return s.sql("SELECT box, round(x0, 6) AS x0, round(x1, 6) AS x1 FROM VALUES (1, 0.1D, 0.5D, 0.2D, 0.9D, 5.2D), (2, 0.4D, 0.6D, 0.4D, 0.6D, -3D), (3, 0D, 1D, 0D, 1D, 2.5D) AS b(box, lo0, hi0, lo1, hi1, cnt), LATERAL boxes_to_points(lo0, hi0, lo1, hi1, cnt)")
+
+    register("udtf_boxes", boxes, "SELECT box, round(lo0 + (hi0 - lo0) * ((k + 0.5e0) / n), 6) AS x0, round(lo1 + (hi1 - lo1) * ((k * 0.6180339887498949e0 + 0.5e0) % 1e0), 6) AS x1 FROM (SELECT *, unnest(range(n)) AS k FROM (SELECT *, CAST(floor(greatest(cnt, 0e0) + 0.5e0) AS BIGINT) AS n FROM (VALUES (1, 0.1e0, 0.5e0, 0.2e0, 0.9e0, 5.2e0), (2, 0.4e0, 0.6e0, 0.4e0, 0.6e0, -3e0), (3, 0e0, 1e0, 0e0, 1e0, 2.5e0)) b(box, lo0, hi0, lo1, hi1, cnt)) c) e")
     from dpgrid.catalog import _drawn_sql
 
     spec = wl.spec

@@ -45,7 +45,7 @@ def released_rank(cut: DataFrame) -> DataFrame:
 
 
 def run_cost(spark: SparkSession, name: str, make: Callable[[], DataFrame]) -> DataFrame:
-    """Run a query to the end and report rows, wall seconds, jobs and stages."""
+    """Run a query to the end and report rows, wall seconds, rows a second, jobs, stages, rows scanned and bytes shuffled."""
     group = f"cost {name} {time.time_ns()}"
     spark.sparkContext.setJobGroup(group, name)
     seen = Observation()
@@ -55,7 +55,14 @@ def run_cost(spark: SparkSession, name: str, make: Callable[[], DataFrame]) -> D
     finally:
         spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     took = time.perf_counter() - began
-    tracker = spark.sparkContext.statusTracker()
+    tracker, context = spark.sparkContext.statusTracker(), spark.sparkContext._jsc.sc()
+    context.listenerBus().waitUntilEmpty()
     jobs = tracker.getJobIdsForGroup(group)
-    stages = sum(len(info.stageIds) for j in jobs if (info := tracker.getJobInfo(j)))
-    return spark.createDataFrame([(name, int(seen.get["rows"]), round(took, 3), len(jobs), stages)], "name string, rows long, seconds double, jobs int, stages int")
+    stages = {k for j in jobs if (info := tracker.getJobInfo(j)) for k in info.stageIds}
+    scanned = shuffled = 0
+    for k in stages:
+        facts = context.statusStore().lastStageAttempt(k)  # skipped stages read and write nothing
+        scanned += facts.inputRecords()
+        shuffled += facts.shuffleWriteBytes()
+    line = (name, int(seen.get["rows"]), round(took, 3), round(scanned / max(took, 1e-9), 1), len(jobs), len(stages), scanned, shuffled)
+    return spark.createDataFrame([line], "name string, rows long, seconds double, scanned_per_second double, jobs int, stages int, scanned long, shuffle_bytes long")

@@ -1,7 +1,8 @@
 """Connected components of significant cells.
 
 ``local`` labels each run's cells in one grouped task, for up to a few million cells a run. ``iterate`` contracts a distributed edge list.
-``tiled`` labels tiles of the grid apart, and contracts only the edges that cross tile borders: the way for very large grids.
+``tiled`` labels tiles of the grid apart, and contracts only the edges that cross tile borders: the way for very large grids. ``auto`` takes the
+first up to ``LOCAL_CELLS`` cells of the grid and the last beyond; all give the same labels.
 A component's label is its least cell number.
 """
 
@@ -21,6 +22,8 @@ from dpgrid.plans.graph import connected_components as graph_components
 
 #: Runs are numbered below this in vertex ids.
 _RUNS = 100_000
+#: Cells of a grid that one task labels.
+LOCAL_CELLS = 4_000_000
 
 
 def offsets(n: int, adjacency: str = "face") -> list[tuple[int, ...]]:
@@ -89,7 +92,9 @@ def edges(cells: DataFrame, g: tuple[int, ...], by: Sequence[str] = (), adjacenc
 
 
 def connected_components(cells: DataFrame, g: tuple[int, ...], by: Sequence[str] = (), adjacency: str = "face", strategy: str = "local", periodic: bool = False, tile: int = 1024) -> DataFrame:
-    """``cells`` with column ``cluster``. ``by`` columns are integers when the strategy is not ``local``."""
+    """``cells`` with column ``cluster``. ``by`` columns are integers when the strategy is not ``local``. ``periodic`` joins opposite borders of the grid."""
+    if strategy == "auto":
+        strategy = "local" if int(np.prod(g, dtype=np.int64)) <= LOCAL_CELLS else "tiled"
     if strategy == "local":
         schema = T.StructType([f for f in cells.schema.fields if f.name != "cluster"] + [T.StructField("cluster", T.LongType())])
 
@@ -112,7 +117,7 @@ def connected_components(cells: DataFrame, g: tuple[int, ...], by: Sequence[str]
         names = inner.select(*by, "wcell", "cluster", "_tile")
         rim = None
         for c, k in zip(coordinates(F.col("wcell"), g), g, strict=True):
-            side = (c % tile == 0) | (c % tile == tile - 1) | (c == k - 1) if k > tile else F.lit(False)
+            side = (c % tile == 0) | (c % tile == tile - 1) | (c == k - 1) if k > tile or periodic else F.lit(False)
             rim = side if rim is None else rim | side
         border = names.where(rim)
         across = edges(border, g, by, adjacency, periodic).join(border.select(*by, F.col("wcell").alias("a"), F.col("cluster").alias("ca")), [*by, "a"]).join(border.select(*by, F.col("wcell").alias("b"), F.col("cluster").alias("cb")), [*by, "b"])

@@ -115,17 +115,22 @@ def split_points(df: DataFrame, key: str, share: float = 0.9, point_id: str = "p
     return df.withColumn("train", keyed_uniform(key, "split", point_id) < share)
 
 
+def sample_share(df: DataFrame, key: str, share: float, point_id: str = "point_id") -> DataFrame:
+    """About that share of the points, each by its own keyed draw: a filter, whatever the size."""
+    return df.where(keyed_uniform(key, "share", point_id) < share)
+
+
 def sample_points(df: DataFrame, key: str, n: int, point_id: str = "point_id") -> DataFrame:
     """The ``n`` points of least keyed draw: the same whatever the partitioning."""
     return df.orderBy(keyed_uniform(key, "sample", point_id), point_id).limit(n)
 
 
-def contingency(predictions: DataFrame, by: Sequence[str] = RUN) -> DataFrame:
-    """``by..., pred_t, pred_p, n`` of test samples."""
-    return predictions.groupBy(*by, "pred_t", "pred_p").agg(F.count(F.lit(1)).alias("n"))
+def contingency(predictions: DataFrame, by: Sequence[str] = RUN, weight: str | None = None) -> DataFrame:
+    """``by..., pred_t, pred_p, n`` of test samples; ``weight`` names a column of how many samples a row stands for."""
+    return predictions.groupBy(*by, "pred_t", "pred_p").agg((F.sum(weight) if weight else F.count(F.lit(1))).alias("n"))
 
 
-def class_matching_dissimilarity(predictions: DataFrame, by: Sequence[str] = RUN) -> DataFrame:
+def class_matching_dissimilarity(predictions: DataFrame, by: Sequence[str] = RUN, weight: str | None = None) -> DataFrame:
     """``by..., agreed, total, cmd``: one minus the best one-to-one agreement of predicted classes."""
 
     def solve(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -136,16 +141,16 @@ def class_matching_dissimilarity(predictions: DataFrame, by: Sequence[str] = RUN
         agreed, total = float(m[np.arange(len(m)), assign(-m)].sum()), float(pdf["n"].sum())
         return pd.DataFrame([{**{c: pdf[c].iloc[0] for c in by}, "agreed": agreed, "total": total, "cmd": 1 - agreed / total}])
 
-    return contingency(predictions, by).groupBy(*by).applyInPandas(solve, ", ".join(f"{c} int" for c in by) + ", agreed double, total double, cmd double")
+    return contingency(predictions, by, weight).groupBy(*by).applyInPandas(solve, ", ".join(f"{c} int" for c in by) + ", agreed double, total double, cmd double")
 
 
-def pair_disagreement(predictions: DataFrame, by: Sequence[str] = RUN) -> DataFrame:
+def pair_disagreement(predictions: DataFrame, by: Sequence[str] = RUN, weight: str | None = None) -> DataFrame:
     """``by..., ppd``: share of sample pairs on which the classifiers disagree about being of one class.
 
     Pairs are counted from the contingency table, so cost is linear in samples. Null below two samples.
     """
     pairs = lambda c: F.sum(F.col(c) * (F.col(c) - 1) / 2)
-    n = contingency(predictions, by)
+    n = contingency(predictions, by, weight)
     a = n.groupBy(*by, "pred_t").agg(F.sum("n").alias("m")).groupBy(*by).agg(pairs("m").alias("pa"))
     b = n.groupBy(*by, "pred_p").agg(F.sum("n").alias("m")).groupBy(*by).agg(pairs("m").alias("pb"))
     both = n.groupBy(*by).agg(pairs("n").alias("pn"), F.sum("n").alias("total")).join(a, list(by)).join(b, list(by))

@@ -16,11 +16,15 @@ from dpgrid.operators.components import connected_components
 from dpgrid.operators.grid import GridSpec, block_of, cell_of, coordinates, inside
 from dpgrid.operators.privacy import RUN, Ledger, exponential_cut, noisy_nonpositive, private_haar, private_quantize
 from dpgrid.operators.quantize import quantize
-from dpgrid.operators.threshold import count_signs, keep_cells, percentile_cut, rank_intervals, significant_cells
+from dpgrid.operators.threshold import bracket_cut, count_signs, keep_cells, percentile_cut, rank_intervals, significant_cells
 from dpgrid.operators.wavelet import get_wavelet, sensitivity_count, sensitivity_rank, sensitivity_z, wavelet_transform
 from dpgrid.plans.scratch import materialise
 
 
+#: Cells of a band beyond which its cut is found within a bracket.
+LARGE_BAND = 2_000_000
+
+
 @dataclass
 class Clustering:
     """Labelled cells ``by..., wcell, w, cluster`` and the cut ``by..., n_pos, k, d``."""
@@ -52,7 +56,7 @@ class Options:
     adjacency: str = "face"
     ties: str = "inclusive"
     rounding: str = "ceil"
-    strategy: str = "local"
+    strategy: str = "auto"
     neighbor: str = "add_remove"
     noise: str = "laplace"
     source: str = "keyed"
@@ -119,6 +123,15 @@ def _noisy_band(counts: DataFrame, spec: GridSpec, runs: DataFrame, key: str, sh
     return wavelet_transform(noisy, spec, o.wavelet, o.level, "cnt_noisy", RUN)
 
 
+def _noisy_cut(band: DataFrame, spec: GridSpec, p: float, o: Options, drop: DataFrame | None = None) -> DataFrame:
+    """Noisy values are all different, so a run's ranks come from a sort of its band: whole for ordinary grids, of a narrow bracket beyond ``LARGE_BAND`` cells.
+
+    Both give the same cut.
+    """
+    cut = bracket_cut if _coarse_cells(spec, o.level) > LARGE_BAND else percentile_cut
+    return cut(band, p, RUN, o.rounding, drop)
+
+
 def _coarse_cells(spec: GridSpec, level: int) -> int:
     made = 1
     for k in spec.coarse(level):
@@ -141,12 +154,15 @@ def release_noisy_counts(counts: DataFrame, spec: GridSpec, p: float, runs: Data
     ledger = Ledger(1.0)
     ledger.parallel([1.0], "counts")
     band = _drawn_band(counts, spec, runs, key, 1.0, o)
-    cut = percentile_cut(band, p, RUN, o.rounding)
+    cut = _noisy_cut(band, spec, p, o)
     return _released(keep_cells(band, cut, RUN, o.ties), cut.select(*RUN, F.col("k").alias("k_priv"), F.col("d").alias("d_priv")), band, ledger, spec, o)
 
 
-def release_trimmed(counts: DataFrame, spec: GridSpec, p: float, runs: DataFrame, key: str, alpha: float = 0.9, o: Options = Options()) -> PrivateClustering:
-    """Noisy counts, and half a noisy count of non-positive clean cells off the small end of the noisy rank list."""
+def release_trimmed(counts: DataFrame, spec: GridSpec, p: float, runs: DataFrame, key: str, alpha: float = 0.9, o: Options = Options(), trim_rounding: str = "floor") -> PrivateClustering:
+    """Noisy counts, and half a noisy count of non-positive clean cells off the small end of the noisy rank list.
+
+    ``trim_rounding`` turns the half into a whole number: ``floor``, ``round`` or ``ceil``. At least one positive value stays.
+    """
     if not 0 < alpha < 1:
         raise ValueError("the split lies between 0 and 1")
     ledger = Ledger(1.0)
@@ -155,8 +171,9 @@ def release_trimmed(counts: DataFrame, spec: GridSpec, p: float, runs: DataFrame
     band = _drawn_band(counts, spec, runs, key, alpha, o)
     clean = count_signs(wavelet_transform(counts, spec, o.wavelet, o.level), _coarse_cells(spec, o.level))
     z = noisy_nonpositive(clean, runs, key, 1 - alpha, sensitivity_z(o.wavelet, spec.n, o.neighbor), o.source)
-    drop = z.select(*RUN, F.floor(F.col("z_noisy") / 2).cast("long").alias("r"))
-    cut = percentile_cut(band, p, RUN, o.rounding, drop)
+    whole = {"floor": F.floor, "ceil": F.ceil, "round": lambda x: F.floor(x + 0.5)}[trim_rounding]
+    drop = z.select(*RUN, whole(F.col("z_noisy") / 2).cast("long").alias("r"))
+    cut = _noisy_cut(band, spec, p, o, drop)
     return _released(keep_cells(band, cut, RUN, o.ties), cut.select(*RUN, F.col("k").alias("k_priv"), F.col("d").alias("d_priv")), band, ledger, spec, o)
 
 
@@ -182,7 +199,7 @@ def release_ablation(counts: DataFrame, spec: GridSpec, p: float, runs: DataFram
     clean = wavelet_transform(counts, spec, o.wavelet, o.level)
     cut = percentile_cut(clean, p, (), o.rounding)
     if which == "clean_counts":
-        drawn = exponential_cut(rank_intervals(clean), cut, runs, key, 1 - alpha, sensitivity_rank(o.wavelet, spec.n, o.neighbor))
+        drawn = exponential_cut(rank_intervals(clean), cut, runs, key, 1 - alpha, sensitivity_rank(o.wavelet, spec.n, o.neighbor), "gumbel", o.source)
         band = clean.crossJoin(F.broadcast(runs.select(*RUN)))
         kept = keep_cells(band, drawn, RUN, "strict")
         out = drawn.select(*RUN, "k_priv", F.col("d").alias("d_priv"))
@@ -200,11 +217,13 @@ def release_synthetic(df: DataFrame, cols: Sequence[str], spec: GridSpec, p: flo
     """Publish a noisy description privately, draw synthetic points (or fractional counts) from it, and cluster those."""
     from dpgrid.operators import publish
 
+    if o.noise != "laplace":
+        raise ValueError("publishers draw Laplace noise")
     ledger = Ledger(1.0)
     ledger.spend(1.0, publisher)
-    leaves = materialise(publish.PUBLISHERS[publisher](df, list(cols), spec, runs, key, **how), "leaves")
+    leaves = materialise(publish.PUBLISHERS[publisher](df, list(cols), spec, runs, key, source=o.source, sensitivity=sensitivity_count(o.neighbor), **how), "leaves")
     if synth == "points":
-        counts = quantize(publish.sample_boxes(leaves, key, spec.n), list(cols), spec, RUN)
+        counts = quantize(publish.sample_boxes(leaves, key, spec.n, o.source), list(cols), spec, RUN)
     elif synth == "areal":
         counts = publish.areal_counts(leaves, spec)
     else:

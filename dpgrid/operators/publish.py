@@ -1,27 +1,27 @@
 """Private descriptions of a point set, from which synthetic points are drawn.
 
 A description is a frame of boxes, ``eps_i, rep, leaf, lo0, hi0, lo1, hi1, ..., cnt`` with real, possibly negative counts. Grids whose size follows
-from the budget are counted once per budget, not once per repetition.
+from the budget are counted once per budget, not once per repetition. Every publisher takes the ``source`` of its draws and the ``sensitivity`` of
+a count to the neighbour rule (2 where neighbours replace a record). All of them are plans of column expressions, joins and grouped sums.
 """
 
 from __future__ import annotations
 
-import hashlib
 import math
 from collections.abc import Sequence
+from itertools import product
 
-import numpy as np
-import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from dpgrid.functions.keyed import DIGITS, keyed_uniform, laplace
+from dpgrid.functions.keyed import gumbel, keyed_uniform, laplace
 from dpgrid.operators.grid import GridSpec, coordinates, index_of, inside, linear
 from dpgrid.operators.privacy import RUN
 from dpgrid.operators.quantize import densify, quantize
+from dpgrid.plans.scratch import materialise
 
-#: Constant of the published grid-size rules; budget share of the first level; leaves of a first-level cell are numbered below the last.
-RULE, SPLIT, LEAVES = 10.0, 0.5, 1_000_000
+#: Constant of the published grid-size rules; budget share of the first level.
+RULE, SPLIT = 10.0, 0.5
 #: Synthetic points that one row of the sampler expands to at most.
 DRAWS = 1_000_000
 
@@ -64,7 +64,7 @@ def _unrolled(cell: Column, m: Column, n: int) -> list[Column]:
     return [c.cast("long") for c in reversed(made)]
 
 
-def publish_uniform(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, n_hint: float | None = None) -> DataFrame:
+def publish_uniform(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, n_hint: float | None = None, source: str = "keyed", sensitivity: int = 1) -> DataFrame:
     """One grid whose side follows from the number of points and the budget."""
     pts = inside(df, list(cols), spec).select(*cols)
     n = n_hint if n_hint is not None else pts.count()
@@ -73,15 +73,13 @@ def publish_uniform(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: Da
     power = F.pow(F.col("m"), F.lit(spec.n)).cast("long")
     domain = sides.select("eps_i", "eps", "m", F.explode(F.sequence(F.lit(0).cast("long"), power - 1)).alias("leaf"))
     full = domain.join(counts, ["eps_i", "leaf"], "left").join(F.broadcast(runs.select(*RUN)), "eps_i")
-    noisy = F.coalesce("c", F.lit(0)) + laplace(keyed_uniform(key, "ugrid", *RUN, "leaf"), 1.0 / F.col("eps"))
+    noisy = F.coalesce("c", F.lit(0)) + laplace(keyed_uniform(key, "ugrid", *RUN, "leaf", source=source), sensitivity / F.col("eps"))
     at = _unrolled(F.col("leaf"), F.col("m").cast("long"), spec.n)
     return full.select(*RUN, "leaf", *_box(spec, at, [F.col("m")] * spec.n), noisy.alias("cnt"))
 
 
-def publish_adaptive(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, n_hint: float | None = None) -> DataFrame:
+def publish_adaptive(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, n_hint: float | None = None, source: str = "keyed", sensitivity: int = 1) -> DataFrame:
     """Two levels: a coarse grid with half the budget, then each cell split as its noisy count deserves, with least-squares agreement."""
-    from dpgrid.plans.scratch import materialise
-
     pts = inside(df, list(cols), spec).select(*cols)
     n = n_hint if n_hint is not None else pts.count()
     sides = _budgets(runs, n, adaptive_side)
@@ -90,13 +88,14 @@ def publish_adaptive(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: D
     domain = sides.select("eps_i", "eps", "m", F.explode(F.sequence(F.lit(0).cast("long"), power - 1)).alias("top"))
     half = F.col("eps") * SPLIT
     tops = domain.join(counts, ["eps_i", "top"], "left").join(F.broadcast(runs.select(*RUN)), "eps_i")
-    tops = tops.withColumn("v", F.coalesce("c", F.lit(0)) + laplace(keyed_uniform(key, "agrid1", *RUN, "top"), 1.0 / half))
+    tops = tops.withColumn("v", F.coalesce("c", F.lit(0)) + laplace(keyed_uniform(key, "agrid1", *RUN, "top", source=source), sensitivity / half))
     rest = F.col("eps") * (1 - SPLIT)
     tops = tops.withColumn("m2", F.greatest(F.lit(1), F.ceil(F.sqrt(F.greatest(F.col("v"), F.lit(0.0)) * rest / (RULE / 2)))).cast("int")).drop("c")
     tops = materialise(tops, "agrid_tops")
-    # Leaf counts for every (budget, cell, side) that some repetition asks for: as many rows as cells, so the table travels.
-    wanted = tops.select("eps_i", "m", "top", "m2").distinct()
-    placed = pts.crossJoin(F.broadcast(sides.select("eps_i", "m"))).withColumn("top", _side_cell(cols, spec, "m")).join(F.broadcast(wanted.drop("m")), ["eps_i", "top"])
+    # Leaf counts for every (budget, cell, side) that some repetition asks for. These grow with points times budget, so whether the table travels
+    # is left to the optimizer, which knows its size from the files.
+    wanted = materialise(tops.select("eps_i", "top", "m2").distinct(), "agrid_wanted")
+    placed = pts.crossJoin(F.broadcast(sides.select("eps_i", "m"))).withColumn("top", _side_cell(cols, spec, "m")).join(wanted, ["eps_i", "top"])
     at = _unrolled(F.col("top"), F.col("m").cast("long"), spec.n)
     inner = None
     for c, lo, hi, i in zip(cols, spec.lo, spec.hi, at, strict=True):
@@ -106,7 +105,7 @@ def publish_adaptive(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: D
     leaves = placed.groupBy("eps_i", "top", "m2", inner.cast("long").alias("inner")).agg(F.count(F.lit(1)).alias("c"))
     kappa = F.pow(F.col("m2"), F.lit(spec.n)).cast("long")
     full = tops.select("*", F.explode(F.sequence(F.lit(0).cast("long"), kappa - 1)).alias("inner")).join(leaves, ["eps_i", "top", "m2", "inner"], "left")
-    full = full.withColumn("u", F.coalesce("c", F.lit(0)) + laplace(keyed_uniform(key, "agrid2", *RUN, "top", "inner"), 1.0 / rest))
+    full = full.withColumn("u", F.coalesce("c", F.lit(0)) + laplace(keyed_uniform(key, "agrid2", *RUN, "top", "inner", source=source), sensitivity / rest))
     sums = full.groupBy(*RUN, "top").agg(F.sum("u").alias("total"))
     both = full.join(sums, [*RUN, "top"])
     a, b = SPLIT**2, (1 - SPLIT) ** 2
@@ -114,168 +113,138 @@ def publish_adaptive(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: D
     top_at = _unrolled(F.col("top"), F.col("m").cast("long"), spec.n)
     in_at = _unrolled(F.col("inner"), F.col("m2").cast("long"), spec.n)
     fine = [t * F.col("m2") + i for t, i in zip(top_at, in_at, strict=True)]
-    return both.select(*RUN, (F.col("top") * LEAVES + F.col("inner")).alias("leaf"), *_box(spec, fine, [F.col("m") * F.col("m2")] * spec.n), (F.col("u") + (parent - F.col("total")) / kappa).alias("cnt"))
+    return both.select(*RUN, F.concat_ws(".", "top", "inner").alias("leaf"), *_box(spec, fine, [F.col("m") * F.col("m2")] * spec.n), (F.col("u") + (parent - F.col("total")) / kappa).alias("cnt"))
 
 
-def _dense_runs(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame) -> DataFrame:
-    return densify(quantize(df, cols, spec), spec).crossJoin(F.broadcast(runs))
+def _shift(x: Column, bits: Column | int) -> Column:
+    return F.call_function("shiftright", x, bits if isinstance(bits, Column) else F.lit(bits))
 
 
-def _draw(key: str, *parts) -> float:
-    """The same uniform as ``keyed_uniform`` gives."""
-    return (int(hashlib.md5("|".join(map(str, (key, *parts))).encode()).hexdigest()[:DIGITS], 16) + 0.5) / 2**52
+def _tree_weights(height: int, fan: int) -> tuple[list[float], list[list[float]]]:
+    """Budget shares of the levels, and what a node of level ``j`` adds to the gap of its ancestor at level ``m``.
 
+    The best estimate of a node is a mix of its own noisy count and the sum of its children's estimates, weighted by their variances. The gap of a
+    node is its estimate less that sum. Both are sums over descendants, with a weight per pair of levels.
+    """
+    raw = [2 ** (i / 3) for i in range(height + 1)]
+    shares = [x / sum(raw) for x in raw]
+    own, below, var = [0.0] * height + [1.0], [0.0] * (height + 1), 1 / shares[height] ** 2
+    for i in range(height - 1, -1, -1):
+        children, mine = fan * var, 1 / shares[i] ** 2
+        own[i], below[i], var = children / (children + mine), mine / (children + mine), children * mine / (children + mine)
+    to = [[0.0] * (height + 1) for _ in range(height + 1)]
+    for m in range(height):
+        to[m][m], chain = own[m], below[m] - 1
+        for j in range(m + 1, height + 1):
+            to[j][m] = chain * own[j]
+            chain *= below[j]
+    return shares, to
+
+
+def publish_quadtree(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, height: int | None = None, source: str = "keyed", sensitivity: int = 1) -> DataFrame:
+    """Complete tree of halvings: geometric budgets growing toward the leaves, weighted averages upward, mean consistency downward.
+
+    Without ``height`` the leaves are at least as fine as the grid. Both passes over the tree are linear, so each is one explosion of nodes to their
+    ancestors and one grouped sum: a leaf is its noisy count plus its share of the gap of each ancestor.
+    """
+    h = height if height is not None else math.ceil(math.log2(max(spec.g)))
+    n, side = spec.n, 2**h
+    fine = GridSpec(spec.lo, spec.hi, (side,) * n)
+    fine.dense_cells()
+    shares, to = _tree_weights(h, 2**n)
+    spark = df.sparkSession
+    domain = None
+    for i, share in enumerate(shares):
+        part = spark.range(2 ** (i * n)).select(F.lit(i).alias("level"), F.lit(share).alias("share"), F.col("id").alias("node"))
+        domain = part if domain is None else domain.unionByName(part)
+
+    def parts(node: Column, level: Column | int) -> list[Column]:
+        """Coordinates of a node: its number is the row of their bits."""
+        bits = level if isinstance(level, Column) else F.lit(level)
+        return [F.pmod(_shift(node, bits * (n - 1 - a)), F.call_function("shiftleft", F.lit(1).cast("long"), bits)) for a in range(n)]
+
+    def joined_bits(at: list[Column], level: Column) -> Column:
+        made = at[0]
+        for c in at[1:]:
+            made = F.call_function("shiftleft", made, level) + c
+        return made
+
+    levels = F.explode(F.sequence(F.lit(0), F.lit(h))).alias("level")
+    cells = quantize(df, cols, fine).select("cnt", "cell", levels)
+    node = joined_bits([_shift(c, h - F.col("level")) for c in parts(F.col("cell"), h)], F.col("level"))
+    sums = cells.groupBy("level", node.alias("node")).agg(F.sum("cnt").alias("c"))
+    noisy = domain.join(sums, ["level", "node"], "left").crossJoin(F.broadcast(runs))
+    draw = laplace(keyed_uniform(key, "quad", *RUN, "level", "node", source=source), sensitivity / (F.col("eps") * F.col("share")))
+    noisy = materialise(noisy.select(*RUN, "level", "node", (F.coalesce("c", F.lit(0)) + draw).alias("v")), "tree_nodes")
 
-def _lap(u: float, b: float) -> float:
-    return -b * np.sign(u - 0.5) * np.log(1 - 2 * abs(u - 0.5))
+    def with_ancestors(rows: DataFrame) -> DataFrame:
+        rows = rows.select("*", F.explode(F.sequence(F.lit(0), F.least(F.col("level"), F.lit(h - 1)))).alias("m"))
+        up = F.col("level") - F.col("m")
+        return rows.withColumn("anc", joined_bits([_shift(c, up) for c in parts(F.col("node"), F.col("level"))], F.col("m")))
 
+    leaves = noisy.where(F.col("level") == h)
+    if h:
+        weight = F.element_at(F.array(*[F.lit(x) for row in to for x in row]), (F.col("level") * (h + 1) + F.col("m") + 1).cast("int"))
+        gaps = materialise(with_ancestors(noisy).groupBy(*RUN, "m", "anc").agg(F.sum(F.col("v") * weight).alias("gap")), "tree_gaps")
+        part = F.col("gap") / F.pow(F.lit(2.0**n), h - F.col("m"))
+        leaves = with_ancestors(leaves).join(gaps, [*RUN, "m", "anc"]).groupBy(*RUN, "node").agg((F.max("v") + F.sum(part)).alias("v"))
+    return leaves.select(*RUN, F.col("node").alias("leaf"), *_box(spec, parts(F.col("node"), h), [F.lit(side)] * n), F.col("v").alias("cnt"))
 
-_LEAF = "eps_i int, rep int, leaf long"
 
+def publish_kd(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, height: int = 6, median_share: float = 0.3, source: str = "keyed", sensitivity: int = 1) -> DataFrame:
+    """Axes in turn, split at private medians drawn by the exponential mechanism over cell borders; noisy leaf counts.
+
+    A level is a grouped sum of each box's cells along the axis, a running sum over those few places, and a maximum; cells carry the borders of their box.
+    """
+    n = spec.n
+    at = coordinates(F.col("cell"), spec.g)
+    cells = densify(quantize(df, cols, spec), spec).crossJoin(F.broadcast(runs)).select(*RUN, "eps", "cnt", F.lit(0).cast("long").alias("box"), *[x for a in range(n) for x in (at[a].alias(f"c{a}"), F.lit(0).cast("long").alias(f"from{a}"), F.lit(spec.g[a]).cast("long").alias(f"to{a}"))])
+    for level in range(height):
+        a = level % n
+        line = cells.groupBy(*RUN, "eps", "box", f"to{a}", f"c{a}").agg(F.sum("cnt").alias("s"))
+        own = Window.partitionBy(*RUN, "box")
+        below = F.sum("s").over(own.orderBy(f"c{a}").rowsBetween(Window.unboundedPreceding, 0))
+        cut = (F.col(f"c{a}") + 1).alias("cut")
+        line = line.select(*RUN, "eps", "box", f"to{a}", cut, (-F.abs(below - F.sum("s").over(own) / 2)).alias("score")).where(F.col("cut") < F.col(f"to{a}"))
+        worth = F.col("eps") * F.lit(median_share / height / (2 * sensitivity)) * F.col("score") + gumbel(keyed_uniform(key, "kd", *RUN, F.lit(level), "box", "cut", source=source))
+        cuts = materialise(line.groupBy(*RUN, "box").agg(F.max_by("cut", worth).alias("cut")), "kd_cuts")
+        right = F.coalesce(F.col(f"c{a}") >= F.col("cut"), F.lit(False))
+        split = cells.join(cuts, [*RUN, "box"], "left")
+        split = split.withColumns({"box": F.col("box") * 2 + right.cast("long"), f"from{a}": F.when(right, F.col("cut")).otherwise(F.col(f"from{a}")), f"to{a}": F.when(right, F.col(f"to{a}")).otherwise(F.coalesce("cut", f"to{a}"))})
+        cells = materialise(split.drop("cut"), "kd_cells")
+    ends = [x for a in range(n) for x in (f"from{a}", f"to{a}")]
+    boxes = cells.groupBy(*RUN, "eps", "box", *ends).agg(F.sum("cnt").alias("c"))
+    noisy = F.col("c") + laplace(keyed_uniform(key, "kdleaf", *RUN, "box", source=source), sensitivity / (F.col("eps") * (1 - median_share)))
+    place = lambda x, a: F.lit(spec.lo[a]) + F.col(x) * F.lit((spec.hi[a] - spec.lo[a]) / spec.g[a])
+    return boxes.select(*RUN, F.col("box").alias("leaf"), *[x for a in range(n) for x in (place(f"from{a}", a).alias(f"lo{a}"), place(f"to{a}", a).alias(f"hi{a}"))], noisy.alias("cnt"))
+
+
+def publish_wavelet(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, source: str = "keyed", sensitivity: int = 1) -> DataFrame:
+    """Noise on weighted Haar coefficients along every axis, then the inverse; axes are padded to powers of two.
+
+    The transform is linear, so a cell is its clean count plus the signed noise of the coefficients whose support holds it: one per combination of
+    scales. Each cell draws those by their own keys in one projection; no coefficient is ever materialised.
+    """
+    n = spec.n
+    wide = [1 << max(0, (k - 1).bit_length()) for k in spec.g]
+    rho = math.prod(1 + math.log2(k) for k in wide)
+    scales = [[0, *[1 << i for i in range(k.bit_length() - 1)]] for k in wide]  # 0: the mean; else how many coefficients the scale has
+    terms = F.array(*[F.struct(*[F.lit(s).cast("long").alias(f"s{a}") for a, s in enumerate(each)], F.lit(float(math.prod(k / max(s, 1) for k, s in zip(wide, each, strict=True)))).alias("weight")) for each in product(*scales)])
+    at = coordinates(F.col("cell"), spec.g)
 
-def _leaf_schema(n: int) -> str:
-    return _LEAF + "".join(f", lo{a} double, hi{a} double" for a in range(n)) + ", cnt double"
+    def signed(total: Column, t: Column) -> Column:
+        places, sign = [], F.lit(1.0)
+        for a, k in enumerate(wide):
+            s = t[f"s{a}"]
+            places.append(s + F.floor(at[a] * s / k).cast("long"))  # coefficient on this axis; 0 is the mean
+            sign = sign * F.when((s > 0) & (F.floor(at[a] * s * 2 / k) % 2 == 1), -1.0).otherwise(1.0)
+        return total + sign * laplace(keyed_uniform(key, "wave", *RUN, *places, source=source), F.lit(2 * rho * sensitivity) / F.col("eps") / t["weight"])
 
+    dense = densify(quantize(df, cols, spec), spec).crossJoin(F.broadcast(runs))
+    return dense.select(*RUN, F.col("cell").alias("leaf"), *_box(spec, at, list(map(F.lit, spec.g))), (F.col("cnt") + F.aggregate(terms, F.lit(0.0), signed)).alias("cnt"))
 
-def publish_quadtree(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, height: int | None = None) -> DataFrame:
-    """Complete tree of halvings: geometric budgets growing toward the leaves, weighted averages upward, mean consistency downward."""
-    h = height if height is not None else min(8, math.ceil(math.log2(max(spec.g))))
-    n, side = spec.n, 2**h
-    fine = GridSpec(spec.lo, spec.hi, (side,) * n)
-    raw = np.array([2 ** (i / 3) for i in range(h + 1)])
-    shares = raw / raw.sum()
-    levels = F.explode(F.array(*[F.struct(F.lit(i).alias("level"), F.lit(float(s)).alias("share")) for i, s in enumerate(shares)]))
-    counts = quantize(df, cols, fine).select("cell", "cnt", levels.alias("l"))
-    shift = F.pow(F.lit(2), h - F.col("l.level")).cast("long")
-    at = [F.floor(c / shift).cast("long") for c in coordinates(F.col("cell"), fine.g)]
-    g = F.pow(F.lit(2), F.col("l.level")).cast("long")
-    node = at[0]
-    for c in at[1:]:
-        node = node * g + c
-    sums = counts.groupBy(F.col("l.level").alias("level"), node.alias("node")).agg(F.sum("cnt").alias("c"))
-    spark = df.sparkSession
-    domain = spark.createDataFrame([(i, float(s), 2 ** (i * n)) for i, s in enumerate(shares)], "level int, share double, nodes long")
-    domain = domain.select("level", "share", F.explode(F.sequence(F.lit(0).cast("long"), F.col("nodes") - 1)).alias("node"))
-    noisy = domain.join(sums, ["level", "node"], "left").crossJoin(F.broadcast(runs))
-    noisy = noisy.select(*RUN, "level", "node", "share", (F.coalesce("c", F.lit(0)) + laplace(keyed_uniform(key, "quad", *RUN, "level", "node"), 1.0 / (F.col("eps") * F.col("share")))).alias("v"))
-
-    def settle(pdf: pd.DataFrame) -> pd.DataFrame:
-        v = [None] * (h + 1)
-        for i, own in pdf.groupby("level"):
-            v[i] = own.sort_values("node")["v"].to_numpy().reshape((2**i,) * n)
-        fan, z = 2**n, [None] * (h + 1)
-        z[h], var = v[h], 1 / shares[h] ** 2
-
-        def pooled(x):  # sum over the children of each parent
-            return x.reshape([s for k in x.shape for s in (k // 2, 2)]).sum(tuple(range(1, 2 * n, 2)))
-
-        for i in range(h - 1, -1, -1):
-            below, own = fan * var, 1 / shares[i] ** 2
-            z[i] = (v[i] * below + pooled(z[i + 1]) * own) / (below + own)
-            var = below * own / (below + own)
-        top = z[0]
-        for i in range(1, h + 1):
-            gap = (top - pooled(z[i])) / fan
-            top = z[i] + np.kron(gap, np.ones((2,) * n))
-        idx = np.indices((side,) * n).reshape(n, -1)
-        out = {"eps_i": pdf["eps_i"].iloc[0], "rep": pdf["rep"].iloc[0], "leaf": np.arange(side**n)}
-        for a in range(n):
-            w = (spec.hi[a] - spec.lo[a]) / side
-            out |= {f"lo{a}": spec.lo[a] + idx[a] * w, f"hi{a}": spec.lo[a] + (idx[a] + 1) * w}
-        return pd.DataFrame(out | {"cnt": top.reshape(-1)})
-
-    return noisy.groupBy(*RUN).applyInPandas(settle, _leaf_schema(n))
-
-
-def publish_kd(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, height: int = 6, median_share: float = 0.3) -> DataFrame:
-    """Axes in turn, split at private medians drawn by the exponential mechanism over cell borders; noisy leaf counts."""
-    n = spec.n
 
-    def grow(pdf: pd.DataFrame) -> pd.DataFrame:
-        e, r, eps = int(pdf["eps_i"].iloc[0]), int(pdf["rep"].iloc[0]), float(pdf["eps"].iloc[0])
-        m = pdf.sort_values("cell")["cnt"].to_numpy(np.float64).reshape(spec.g)
-        boxes = [tuple((0, k) for k in spec.g)]
-        for level in range(height):
-            a, grown = level % n, []
-            for b, box in enumerate(boxes):
-                lo, hi = box[a]
-                if hi - lo < 2:
-                    grown.append(box)
-                    continue
-                line = m[tuple(slice(*x) for x in box)].sum(tuple(x for x in range(n) if x != a))
-                below = line.cumsum()[:-1]
-                score = -np.abs(below - line.sum() / 2)
-                u = np.array([_draw(key, "kd", e, r, level, b, j) for j in range(hi - lo - 1)])
-                cut = lo + 1 + int(np.argmax(eps * median_share / height * score / 2 - np.log(-np.log(u))))
-                grown += [box[:a] + ((lo, cut),) + box[a + 1 :], box[:a] + ((cut, hi),) + box[a + 1 :]]
-            boxes = grown
-        rows = []
-        for b, box in enumerate(boxes):
-            c = m[tuple(slice(*x) for x in box)].sum() + _lap(_draw(key, "kdleaf", e, r, b), 1 / (eps * (1 - median_share)))
-            ends = [spec.lo[a] + x * (spec.hi[a] - spec.lo[a]) / spec.g[a] for a in range(n) for x in box[a]]
-            rows.append((e, r, b, *ends, c))
-        return pd.DataFrame(rows, columns=["eps_i", "rep", "leaf", *[f"{s}{a}" for a in range(n) for s in ("lo", "hi")], "cnt"])
-
-    return _dense_runs(df, cols, spec, runs).groupBy(*RUN).applyInPandas(grow, _leaf_schema(n))
-
-
-def publish_wavelet(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str) -> DataFrame:
-    """Noise on weighted Haar coefficients along every axis, then the inverse; cells are padded to powers of two."""
-    n = spec.n
-    wide = tuple(1 << max(0, (k - 1).bit_length()) for k in spec.g)
-    rho = float(np.prod([1 + math.log2(k) for k in wide]))
-
-    def haar(x: np.ndarray, axis: int, back: bool) -> np.ndarray:
-        x = np.moveaxis(x, axis, 0).astype(np.float64)
-        k = len(x)
-        if not back:
-            made = np.empty_like(x)
-            while k > 1:
-                a, b = x[0:k:2], x[1:k:2]
-                made[k // 2 : k] = (a - b) / 2
-                x = (a + b) / 2
-                k //= 2
-            made[0] = x[0]
-        else:
-            made, size = x[:1], 1
-            while size < k:
-                d = x[size : 2 * size]
-                made = np.stack([made + d, made - d], 1).reshape(2 * size, *x.shape[1:])
-                size *= 2
-        return np.moveaxis(made, 0, axis)
-
-    def weights(k: int) -> np.ndarray:
-        w = np.empty(k)
-        w[0], size = k, 1
-        while size < k:
-            w[size : 2 * size] = k / size
-            size *= 2
-        return w
-
-    def publish(pdf: pd.DataFrame) -> pd.DataFrame:
-        e, r, eps = int(pdf["eps_i"].iloc[0]), int(pdf["rep"].iloc[0]), float(pdf["eps"].iloc[0])
-        m = np.zeros(wide)
-        m[tuple(slice(k) for k in spec.g)] = pdf.sort_values("cell")["cnt"].to_numpy(np.float64).reshape(spec.g)
-        w = np.ones(wide)
-        for a in range(n):
-            m = haar(m, a, False)
-            w = w * weights(wide[a]).reshape([-1 if b == a else 1 for b in range(n)])
-        seed = int(hashlib.md5(f"{key}|wave|{e}|{r}".encode()).hexdigest()[:16], 16)
-        m = m + np.random.default_rng(seed).laplace(0.0, 1.0, wide) * (2 * rho / eps) / w
-        for a in range(n):
-            m = haar(m, a, True)
-        m = m[tuple(slice(k) for k in spec.g)]
-        idx = np.indices(spec.g).reshape(n, -1)
-        out = {"eps_i": e, "rep": r, "leaf": np.arange(m.size)}
-        for a in range(n):
-            step = (spec.hi[a] - spec.lo[a]) / spec.g[a]
-            out |= {f"lo{a}": spec.lo[a] + idx[a] * step, f"hi{a}": spec.lo[a] + (idx[a] + 1) * step}
-        return pd.DataFrame(out | {"cnt": m.reshape(-1)})
-
-    return _dense_runs(df, cols, spec, runs).groupBy(*RUN).applyInPandas(publish, _leaf_schema(n))
-
-
-def publish_marginals(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str) -> DataFrame:
+def publish_marginals(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, source: str = "keyed", sensitivity: int = 1) -> DataFrame:
     """``eps_i, rep, marginal, i0.., cnt``: the cube of all marginals of the cell table, the budget shared equally among them.
 
     Coordinates that a marginal sums over are null; ``marginal`` is the grouping number.
@@ -285,22 +254,22 @@ def publish_marginals(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs:
     names = [f"i{a}" for a in range(spec.n)]
     cube = at.cube(*names).agg(F.sum("cnt").alias("c"), F.grouping_id().cast("int").alias("marginal"))
     place = F.concat_ws(",", *[F.coalesce(F.col(x).cast("string"), F.lit("*")) for x in names])
-    noisy = F.col("c") + laplace(keyed_uniform(key, "cube", *RUN, place), float(2**spec.n) / F.col("eps"))
+    noisy = F.col("c") + laplace(keyed_uniform(key, "cube", *RUN, place, source=source), float(sensitivity * 2**spec.n) / F.col("eps"))
     return cube.crossJoin(F.broadcast(runs)).select(*RUN, "marginal", *names, noisy.alias("cnt"))
 
 
-def publish_contingency(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str) -> DataFrame:
+def publish_contingency(df: DataFrame, cols: Sequence[str], spec: GridSpec, runs: DataFrame, key: str, source: str = "keyed", sensitivity: int = 1) -> DataFrame:
     """The full contingency table of the cells themselves, with noise on each."""
     from dpgrid.operators.privacy import private_quantize
 
-    noisy = private_quantize(quantize(df, cols, spec), spec, runs, key)
+    noisy = private_quantize(quantize(df, cols, spec), spec, runs, key, 1.0, sensitivity, source=source)
     return noisy.select(*RUN, F.col("cell").alias("leaf"), *_box(spec, coordinates(F.col("cell"), spec.g), list(map(F.lit, spec.g))), F.col("cnt_noisy").alias("cnt"))
 
 
 PUBLISHERS = {"contingency": publish_contingency, "uniform": publish_uniform, "adaptive_grid": publish_adaptive, "quadtree": publish_quadtree, "kd": publish_kd, "wavelet": publish_wavelet}
 
 
-def sample_boxes(leaves: DataFrame, key: str, n: int = 2) -> DataFrame:
+def sample_boxes(leaves: DataFrame, key: str, n: int = 2, source: str = "keyed") -> DataFrame:
     """Synthetic points ``eps_i, rep, leaf, j, x0, x1..``: counts rounded, negatives to nothing, uniform places in the box.
 
     Large boxes are first cut into shares, so that one row never expands without bound, and the few, small rows are dealt to all
@@ -310,7 +279,7 @@ def sample_boxes(leaves: DataFrame, key: str, n: int = 2) -> DataFrame:
     shares = leaves.withColumn("whole", whole).where("whole > 0").withColumn("share", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("whole") - 1) / DRAWS).cast("long"))))
     shares = shares.repartition(4 * leaves.sparkSession.sparkContext.defaultParallelism, *RUN, "leaf", "share")
     each = shares.select("*", F.explode(F.sequence(F.col("share") * DRAWS + 1, F.least((F.col("share") + 1) * DRAWS, F.col("whole")))).alias("j"))
-    xs = [(F.col(f"lo{a}") + (F.col(f"hi{a}") - F.col(f"lo{a}")) * keyed_uniform(key, f"synth_x{a}", *RUN, "leaf", "j")).alias(f"x{a}") for a in range(n)]
+    xs = [(F.col(f"lo{a}") + (F.col(f"hi{a}") - F.col(f"lo{a}")) * keyed_uniform(key, f"synth_x{a}", *RUN, "leaf", "j", source=source)).alias(f"x{a}") for a in range(n)]
     return each.select(*RUN, "leaf", "j", *xs)
 
 

@@ -121,9 +121,9 @@ def predict_cells(tree: DataFrame, spec: GridSpec, level: int = 1, by: Sequence[
 
 
 def predictions(test: DataFrame, true_tree: DataFrame, run_trees: DataFrame, runs: DataFrame, spec: GridSpec, level: int = 1, by: Sequence[str] = RUN) -> DataFrame:
-    """``by..., wcell, pred_t, pred_p`` per test sample; ``test`` has ``wcell``. A run without a tree predicts -1.
+    """The rows of ``test`` per run with ``pred_t, pred_p``; ``test`` has ``wcell``, and best a row per cell with the number of its samples.
 
-    Samples of a cell share their predictions, so they are counted per cell first and expanded only on reading.
+    Samples of a cell share their predictions, so lines are cells times runs then. A run without a tree predicts -1.
     """
     t = predict_cells(true_tree, spec, level, ()).select("wcell", F.col("pred").alias("pred_t"))
     p = predict_cells(run_trees, spec, level, by).select(*by, "wcell", F.col("pred").alias("pred_p"))

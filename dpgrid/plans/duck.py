@@ -75,7 +75,7 @@ class Query:
         key = ", ".join(by)
         comma = key + ", " if by else ""
         part = f"PARTITION BY {key} " if by else ""
-        left = "n_pos" if drop is None else "(n_pos - least(greatest(r, 0), n_pos))"
+        left = "n_pos" if drop is None else "(n_pos - least(greatest(r, 0), n_pos - 1))"
         with_drop = "" if drop is None else (f" JOIN {drop} USING ({key})" if by else f" CROSS JOIN {drop}")
         n = f"SELECT {comma} count(*) AS n_pos FROM {band} WHERE w > 0" + (f" GROUP BY {key}" if by else "")
         k = f"SELECT {comma} n_pos, CAST(least(n_pos, greatest(ceil((1e0 - {num(p)}) * {left} - 1e-9), 0)) AS BIGINT) AS k FROM ({n}) c{with_drop}"
@@ -88,18 +88,21 @@ class Query:
         join = f"JOIN {cut} USING ({', '.join(by)})" if by else f"CROSS JOIN {cut}"
         return self.add(name, f"SELECT {''.join(c + ', ' for c in by)} wcell, w FROM {band} {join} WHERE w > 0 AND w {test} d")
 
-    def components(self, g: tuple[int, ...], kept: str = "kept", name: str = "lab", by: tuple[str, ...] = (), adjacency: str = "face") -> Query:
+    def components(self, g: tuple[int, ...], kept: str = "kept", name: str = "lab", by: tuple[str, ...] = (), adjacency: str = "face", periodic: bool = False) -> Query:
         """Labels by a recursive walk; ``name(by..., wcell, cluster)``."""
         self.recursive = True
-        at, other = unrolled("a.wcell", g), unrolled("b.wcell", g)
-        moves = []
-        for s in offsets(len(g), adjacency):
+        at, moves = unrolled("wcell", g), []
+        for step in offsets(len(g), adjacency):
             for sign in (1, -1):
-                moves.append("(" + " AND ".join(f"({y}) - ({x}) = {sign * d}" for x, y, d in zip(at, other, s, strict=True)) + ")")
-        same = " AND ".join([f"a.{c} = b.{c}" for c in by] + ["(" + " OR ".join(moves) + ")"])
-        cols = "".join(f"a.{c}, " for c in by)
+                to = [f"(({x}) + {sign * d})" if d else f"({x})" for x, d in zip(at, step, strict=True)]
+                if periodic:
+                    where, to = "", [f"(({t} + {k}) % {k})" for t, k in zip(to, g, strict=True)]
+                else:
+                    where = " WHERE " + " AND ".join(f"{t} BETWEEN 0 AND {k - 1}" for t, k in zip(to, g, strict=True))
+                moves.append(f"SELECT {''.join(c + ', ' for c in by)}wcell AS x, {rolled(to, g)} AS y FROM {kept}{where}")
+        same = " AND ".join([f"m.{c} = b.{c}" for c in by] + ["m.y = b.wcell"])
         plain = "".join(f"{c}, " for c in by)
-        self.add(f"{name}_e", f"SELECT {cols} a.wcell AS x, b.wcell AS y FROM {kept} a JOIN {kept} b ON {same}")
+        self.add(f"{name}_e", f"SELECT {''.join(f'm.{c}, ' for c in by)} x, y FROM ({' UNION ALL '.join(moves)}) m JOIN {kept} b ON {same}")
         step = " AND ".join([f"e.{c} = l.{c}" for c in by] + ["e.x = l.v"])
         self.add(f"{name}_w", f"SELECT {plain} wcell AS v, wcell AS c FROM {kept} UNION SELECT {''.join(f'l.{c}, ' for c in by)} e.y, l.c FROM {name}_w l JOIN {name}_e e ON {step}")
         return self.add(name, f"SELECT {plain} v AS wcell, min(c) AS cluster FROM {name}_w GROUP BY {plain} v")

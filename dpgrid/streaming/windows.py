@@ -105,19 +105,28 @@ def releaser(spec: GridSpec, p: float, eps: float, key: str, method: str, path:
     return each
 
 
-def cap_stream(points: DataFrame, cap: int) -> DataFrame:
-    """The first ``cap`` rows of each user as they arrive, by custom state: one number per user."""
+def cap_stream(points: DataFrame, cap: int, idle: int | None = None) -> DataFrame:
+    """The first ``cap`` rows of each user as they arrive, by custom state: one number per user.
+
+    The cap is a promise for a user's whole life, so state stays for ever unless ``idle`` allows a fresh start: a user unseen for so many
+    milliseconds of event time (which needs a watermark on ``ts``) is forgotten.
+    """
     schema = points.schema
 
     def keep(_, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         (seen,) = state.get if state.exists else (0,)
         for pdf in batches:
             left = max(0, cap - seen)
             seen += len(pdf)
             yield pdf.head(left)
         state.update((seen,))
+        if idle:
+            state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs(), 0) + idle)
 
-    return points.groupBy("user_id").applyInPandasWithState(keep, schema, "seen long", "append", GroupStateTimeout.NoTimeout)
+    return points.groupBy("user_id").applyInPandasWithState(keep, schema, "seen long", "append", GroupStateTimeout.EventTimeTimeout if idle else GroupStateTimeout.NoTimeout)
 
 
 def label_stream(points: DataFrame, cells: DataFrame, cols: Sequence[str], spec: GridSpec) -> DataFrame:
