@@ -45,6 +45,8 @@ WORDS, THRESHOLD, BANDS, ROWS = 5, 0.8, 32, 6
 BLOCK, COLUMNS, LARGE = 256, 2048, 4096
 #: Elements of a block or a pack on average; a single longer text is a block of its own.
 ELEMENTS = 2_000_000
+#: Bytes of text that are sketched together: their darts live at once.
+SKETCH_BYTES = 1_000_000
 #: Rank below which the first cell lies: 2 ** -FINE.
 FINE = 7
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
@@ -152,7 +154,7 @@ def bands_of(sig: np.ndarray, bands: int, rows: int) -> np.ndarray:
 class Shingler:
     """Texts → distinct 64-bit shingle hashes, with a bounded cache of word hashes."""
 
-    def __init__(self, words: int = WORDS, most: int = 500_000):
+    def __init__(self, words: int = WORDS, most: int = 100_000):
         self.words, self.most, self.seen = words, most, {}
 
     def tokens(self, text: str | None) -> list[bytes]:
@@ -201,7 +203,7 @@ def sketch(plain: DataFrame, bands: int = BANDS, rows: int = ROWS, words: int =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(words)
-        for piece in chunks(batches, "text"):
+        for piece in chunks(batches, "text", SKETCH_BYTES):
             sets, weights, prints, some = [], [], [], []
             for i, text in enumerate(strings(piece, "text")):
                 own, shingles, w = shingler(text)
@@ -384,12 +386,17 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
 def drop_near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` with one row of each component: a row of the chief class with its least id.
 
-    Rows equal in id and text count once; rows without an id or without a word all stay as they are, but for such equal ones.
+    Rows equal in id and text count once; rows without an id or without a word all stay as they are.
     """
     sketched, facts = _resolved(_plain(docs, id_col, text_col), threshold, bands, rows, words)
     heads = facts.where("chief").select("f1", "f2", F.col("copy_of").alias("_id"), F.col("copy_h").alias("_h"))
-    stays = (F.col("doc_id") == F.col("_id")) & (F.col("h") == F.col("_h"))
-    gone = sketched.join(heads, ["f1", "f2"], "left").where(~F.coalesce(stays, F.lit(False))).select(F.col("doc_id").alias("_id"), F.col("h").alias("_h")).distinct()
+    stays = F.coalesce((F.col("doc_id") == F.col("_id")) & (F.col("h") == F.col("_h")), F.lit(False))
+    # One line per row that goes, and per kept row that occurs more than once: as many as there are copies.
+    lines = sketched.join(heads, ["f1", "f2"], "left").groupBy(F.col("doc_id").alias("_id"), F.col("h").alias("_h")).agg(F.max(stays).alias("stays"), F.count(F.lit(1)).alias("n"))
+    marked = materialise(lines.where("not stays or n > 1").select("_id", "_h", "stays"), "marked_rows")
     keyed = docs.withColumns({"_id": F.col(id_col).cast("long"), "_h": F.xxhash64(F.col(text_col).cast("string"))})
-    named = keyed.where("_id is not null").dropDuplicates(["_id", "_h"]).join(gone.hint("merge"), ["_id", "_h"], "left_anti")
-    return named.unionByName(keyed.where("_id is null")).select(*docs.columns)
+    made = keyed.join(marked.hint("merge"), ["_id", "_h"], "left_anti")
+    twins = marked.where("stays")
+    if not twins.isEmpty():
+        made = made.unionByName(keyed.join(twins.drop("stays").hint("merge"), ["_id", "_h"], "left_semi").dropDuplicates(["_id", "_h"]))
+    return made.select(*docs.columns)

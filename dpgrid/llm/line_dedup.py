@@ -38,7 +38,7 @@ SHARD_KEYS, LEAST_SHARDS = 250_000, 16
 #: Bytes of fetched shards and number of mapped ones that a worker keeps open between probes.
 FETCHED_BYTES, MAPPED = 256 << 20, 256
 #: Text bytes whose lines are looked up together: each shard is opened once for so many.
-PROBE_BYTES = 64 << 20
+PROBE_BYTES = 16 << 20
 _SPACES = SPACES.encode()
 
 

@@ -37,6 +37,7 @@ def encoded(docs: DataFrame, tokenizer: str, end_id: int, id_col: str = "doc_id"
             starts = at + np.cumsum(sizes) - sizes
             at += int(sizes.sum())
             yield out(["part", "local", "doc_id", "n", "ids"], np.full(len(rows), part, np.int32), starts, column(piece, "doc_id"), sizes, pa.array([r.astype("<u4").tobytes() for r in rows], pa.binary()))
+        library.cache.clear()  # the worker lives on, and with it what it knows
 
     plain = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return materialise(plain.mapInArrow(encode, "part int, local long, doc_id long, n long, ids binary"), "encoded")

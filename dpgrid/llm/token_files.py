@@ -126,6 +126,7 @@ def write_token_files(docs: DataFrame, out_dir: str, tokenizer: str, end_id: int
                 held += len(rows[-1])
                 if held >= file_tokens:
                     yield close()
+        encode.cache.clear()  # the worker lives on, and with it what it knows
         if rows:
             yield close()
 
