@@ -306,6 +306,87 @@ def test_publishers_with_large_budget_find_the_points(spark, publisher):
     assert publish.range_count(leaves, box).first()["estimate"] == pytest.approx(400, rel=0.3)
 
 
+@pytest.mark.parametrize("publisher", ["contingency", "uniform", "adaptive_grid", "quadtree", "kd", "wavelet"])
+def test_publishers_follow_secret_and_neighbour_rule(spark, publisher):
+    """A secret source draws anew; a replaced record doubles the noise of the same draws."""
+    spec, runs, rows = unit(4), runs_frame(spark, [0.5]), [(0.1, 0.1), (0.9, 0.4), (0.6, 0.7)]
+    leaves = lambda **how: {r["leaf"]: r["cnt"] for r in publish.PUBLISHERS[publisher](points(spark, rows), ["x0", "x1"], spec, runs, "k", **how).collect()}
+    plain, again, secret, double = leaves(), leaves(), leaves(source="secret"), leaves(sensitivity=2)
+    assert plain == pytest.approx(again)
+    assert all(abs(plain[x] - secret.get(x, 1e9)) > 1e-9 for x in plain)
+    if publisher in ("contingency", "wavelet"):
+        clean = {r["leaf"]: r["cnt"] for r in publish.publish_contingency(points(spark, rows), ["x0", "x1"], spec, runs_frame(spark, [1e12]), "k").collect()}
+        assert all(double[x] - clean[x] == pytest.approx(2 * (plain[x] - clean[x]), abs=1e-6) for x in plain)
+    else:
+        assert any(abs(plain.get(x, 1e9) - double[x]) > 1e-9 for x in double)
+
+
+def test_synthetic_release_takes_its_options(spark):
+    spec, runs, rows = unit(8), runs_frame(spark, [0.5]), [(x / 40, (x * 7 % 40) / 40) for x in range(40)] * 5
+    band = lambda **o: {r["wcell"]: r["w"] for r in methods.release_synthetic(points(spark, rows), ["x0", "x1"], spec, 0.1, runs, "k", o=methods.Options(**o)).band.collect()}
+    plain = band()
+    assert band(source="secret") != plain and band(neighbor="replace") != plain
+    with pytest.raises(ValueError):
+        band(noise="geometric")
+
+
+def test_quadtree_is_as_fine_as_the_grid(spark):
+    leaves = publish.publish_quadtree(points(spark, [(0.5, 0.5)]), ["x0", "x1"], GridSpec((0.0, 0.0), (1.0, 1.0), (300, 2)), runs_frame(spark, [1e9]), "k")
+    assert leaves.count() == 512**2 and leaves.where("cnt > 0.5").count() == 1
+
+
+def test_adaptive_leaves_have_names_of_their_own(spark):
+    """More than a thousand parts a side in one first-level cell."""
+    leaves = publish.publish_adaptive(points(spark, [(0.05, 0.05)]), ["x0", "x1"], unit(4), runs_frame(spark, [1e8]), "k", n_hint=1.0)
+    assert leaves.count() == leaves.select("leaf").distinct().count() > 1000**2
+
+
+def test_trim_keeps_a_value_and_rounds_as_told(spark):
+    band = band_of(spark, [5, 4, 3, 2, 1, -1])
+    drop = lambda r: spark.createDataFrame([(r,)], "r long")
+    assert percentile_cut(band, 0.0, drop=drop(100)).first()["k"] == 1 and percentile_cut(band, 0.0, drop=drop(-5)).first()["k"] == 5
+    for cut in (percentile_cut, bracket_cut):
+        assert tuple(cut(band, 0.25, drop=drop(2)).select("n_pos", "k", "d").first()) == (5, 3, 3.0)
+    counts = spark.createDataFrame([(i, 100) for i in range(48)], "cell long, cnt long")  # twelve positive blocks of sixteen
+    k = [methods.release_trimmed(counts, unit(8), 0.0, runs_frame(spark, [50.0]), "k", trim_rounding=x).cut.first()["k_priv"] for x in ("floor", "round", "ceil")]
+    assert k[0] >= k[1] >= k[2] and k[0] == k[2] + 1
+
+
+def test_cuts_in_a_bracket_equal_those_of_the_whole(spark, monkeypatch):
+    """Many runs, ties, a bracket at either end; and a release that goes that way."""
+    band = spark.range(60_000).select((F.col("id") % 3).cast("int").alias("run"), F.col("id").alias("wcell"), (F.hash("id") % 5000 / F.when(F.col("id") % 3 == 0, 1.0).otherwise(1e6)).alias("w"))
+    for p in (0.0, 0.001, 0.37, 0.999):
+        whole = {r["run"]: (r["n_pos"], r["k"], r["d"]) for r in percentile_cut(band, p, ["run"]).collect()}
+        assert {r["run"]: (r["n_pos"], r["k"], r["d"]) for r in bracket_cut(band, p, ["run"]).collect()} == whole and len(whole) == 3
+    counts = spark.createDataFrame([(i, 10 * i % 37) for i in range(64)], "cell long, cnt long")
+    cut = lambda: methods.release_trimmed(counts, unit(8), 0.3, runs_frame(spark, [0.7], 3), "k").cut.orderBy("rep").collect()
+    plain = cut()
+    monkeypatch.setattr(methods, "LARGE_BAND", 1)
+    assert cut() == plain
+
+
+def test_large_grids_are_labelled_by_tiles(spark, monkeypatch):
+    from dpgrid.operators import components
+
+    cells = spark.createDataFrame([(c,) for c in (0, 19, 200, 201, 380, 399)], "wcell long")
+    got = lambda **how: {r["wcell"]: r["cluster"] for r in connected_components(cells, (20, 20), **how).collect()}
+    for periodic in (False, True):
+        for adjacency in ("face", "full"):
+            want = got(strategy="local", periodic=periodic, adjacency=adjacency)
+            assert got(strategy="tiled", tile=8, periodic=periodic, adjacency=adjacency) == want == got(strategy="tiled", periodic=periodic, adjacency=adjacency)
+    assert want[0] == want[19] == want[399] == want[380] == 0
+    monkeypatch.setattr(components, "LOCAL_CELLS", 10)
+    assert got(strategy="auto", periodic=True, adjacency="full") == want
+
+
+def test_counted_samples_equal_listed_ones(spark):
+    rows = [(0, 0, a, b) for a, b in [(1, 1)] * 5 + [(1, 2)] * 3 + [(2, 2)] * 4]
+    listed = spark.createDataFrame(rows, "eps_i int, rep int, pred_t long, pred_p long")
+    counted = listed.groupBy("eps_i", "rep", "pred_t", "pred_p").agg(F.count(F.lit(1)).alias("n"))
+    for fn in (measures.pair_disagreement, measures.class_matching_dissimilarity):
+        assert fn(listed).collect() == fn(counted, weight="n").collect()
+
+
 def test_tree_learns_separable_cells(spark):
     g = (10, 10)
     cells = [(i * 10 + j, 0 if i < 4 else (1 if j < 5 else 2)) for i in range(10) for j in range(10) if i not in (4, 5)]
