@@ -138,10 +138,10 @@ def with_owners(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
         .groupBy("digest", "size")
         .agg(F.max("page_id").alias("owner"), F.count(F.lit(1)).alias("n"))
         .where("n > 1")
-        .select("digest", "owner"),
+        .select("digest", "size", "owner"),
         "repeated_payloads",
     )
-    return plain.withColumn("digest", digest).join(repeated, "digest", "left")
+    return plain.withColumns({"digest": digest, "size": size}).join(repeated, ["digest", "size"], "left").drop("size")
 
 
 def write_bundles(pages: DataFrame, out_dir: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
