@@ -150,7 +150,7 @@ def np_cells(s: SparkSession, d: str, w: str, **o) -> DataFrame:
 
 
 def _components() -> None:
-    for w in ("w1", "w2", "w3", "w4", "w5", "w6", "w7", "w8", "w9"):
+    for w in ("w1", "w2", "w3", "w4", "w5", "w6", "w7", "w7_proj", "w8", "w9"):
         register(f"components_{w}", lambda s, d, w=w: np_cells(s, d, w).select("wcell", "cluster"), _clustered(w).select("SELECT wcell, cluster FROM lab"))
     register("components_full_w2", lambda s, d: np_cells(s, d, "w2", adjacency="full").select("wcell", "cluster"), _clustered("w2", "full").select("SELECT wcell, cluster FROM lab"))
     for strategy in ("iterate", "tiled"):

@@ -6,6 +6,7 @@ are doubles. Columns: ``point_id, x0, x1`` (``x2``), ``truth``.
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -21,6 +22,22 @@ def hex_int(text: str, digits: int, engine: str) -> str:
     return f"CAST(conv({part}, 16, 10) AS BIGINT)" if engine == "spark" else f"CAST('0x' || {part} AS BIGINT)"
 
 
+#: Elements that the random projection of embeddings reads; lacking ones count as zero.
+PROJECTED = 64
+
+
+def element(i: int, engine: str) -> str:
+    """SQL of an embedding's element, null beyond its end."""
+    return f"try_element_at(embedding, {i})" if engine == "spark" else f"embedding[{i}]"
+
+
+def projection(axis: int, engine: str) -> str:
+    """SQL of a fixed random projection: signs by the MD5 of axis and place, scaled so that unit vectors keep the spread of one element."""
+    signs = ["+" if hashlib.md5(f"projection|{axis}|{i}".encode()).digest()[0] < 128 else "-" for i in range(1, PROJECTED + 1)]
+    total = " ".join(f"{sign} coalesce(CAST({element(i, engine)} AS DOUBLE), 0e0)" for i, sign in enumerate(signs, 1))
+    return f"((0e0 {total}) / {PROJECTED**0.5!r}e0)"
+
+
 _LINE_ID = "concat_ws('|', CAST(l_orderkey AS STRING), CAST(l_partkey AS STRING), CAST(l_suppkey AS STRING), CAST(l_linenumber AS STRING), CAST(CAST(round(l_extendedprice * 100e0) AS BIGINT) AS STRING))"
 _T = "((l_extendedprice - 900e0) / 104100e0)"
 _J = "((l_quantity - 1e0 + 100e0 * l_discount / 11e0) / 50e0)"
@@ -61,6 +78,7 @@ FROM (SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, l_extendedprice, l_
 _PRICE = "SELECT {line_id} AS point_id, l_extendedprice AS x0, l_quantity AS x1, CAST(NULL AS INT) AS truth FROM {lineitem}"
 _CLOCK = "SELECT event_id AS point_id, (hour(ts) * 60 + minute(ts)) / 1440e0 AS x0, ln(value + 1e0) / ln(501e0) AS x1, CAST({json_k} AS DOUBLE) / 100e0 AS x2, CAST(NULL AS INT) AS truth FROM {events}"
 _EMBED = "SELECT vec_id AS point_id, CAST({e1} AS DOUBLE) AS x0, CAST({e2} AS DOUBLE) AS x1, CAST({e3} AS DOUBLE) AS x2, label AS truth, embedding FROM {embeddings}"
+_PROJECT = "SELECT vec_id AS point_id, {r0} AS x0, {r1} AS x1, label AS truth FROM {embeddings} WHERE embedding IS NOT NULL"
 _TEXT = """
 SELECT doc_id AS point_id, ln(n_chars + 1e0) / ln(200001e0) AS x0, coalesce((length(text) - length(replace(replace(replace(replace(replace(lower(text), 'a', ''), 'e', ''), 'i', ''), 'o', ''), 'u', ''))) * 1e0 / nullif(length(text), 0), 0e0) AS x1, CAST(NULL AS INT) AS truth FROM {documents}
 """
@@ -87,7 +105,7 @@ class Workload:
         words = {
             "line_id": hex_int(_LINE_ID, 15, engine), "t": _T, "j": _J,
             "json_k": "get_json_object(props, '$.k')" if engine == "spark" else "json_extract_string(props, '$.k')",
-            **{f"e{i}": f"element_at(embedding, {i})" if engine == "spark" else f"embedding[{i}]" for i in (1, 2, 3)},
+            **{f"e{i}": element(i, engine) for i in (1, 2, 3)}, **{f"r{a}": projection(a, engine) for a in (0, 1)},
         }
         made = self.query
         for k, v in words.items():
@@ -118,6 +136,7 @@ WORKLOADS: dict[str, Workload] = {
     "w6": _w("event_clock", _CLOCK, unit(32), 0.25, "events"),
     "w7": _w("embed2", _EMBED, GridSpec((-0.5,) * 2, (0.5,) * 2, (16,) * 2), 0.25, "embeddings"),
     "w7_3d": _w("embed3", _EMBED, _CUBE3, 0.25, "embeddings"),
+    "w7_proj": _w("embed_projected", _PROJECT, GridSpec((-0.5,) * 2, (0.5,) * 2, (16,) * 2), 0.25, "embeddings"),
     "w8": _w("text_shape", _TEXT, unit(32), 0.30, "documents"),
     "w9": _w("income_expense", _INCOME, unit(20), 0.20, "customer", "orders"),
 }

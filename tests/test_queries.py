@@ -8,7 +8,7 @@ from dpgrid.sources.workloads import WORKLOADS
 from tests.conftest import SF, SF_SMALL
 from tests.oracle import same
 
-FAST = ["quantize_w1", "quantize_w3", "quantize_w4", "quantize_w6", "quantize_w9", "haar_bands_w2", "bior_w2", "db2_w2", "cut_w3", "components_w1", "components_tiled_w3", "ascii_map_w3", "geometric_cells_w2", "exp_mech_cumulative_w2", "nq_w2", "trim_w2", "trim_w4", "cut_release_w2", "syn_uniform_w2", "publish_adaptive_w2", "cube_marginals", "fmeasure_w2", "ppd_w2", "bounds_cut_w2", "range_query_boxes", "tumbling_events", "sliding_events", "session_events", "stream_cap_events"]
+FAST = ["quantize_w1", "quantize_w3", "quantize_w4", "quantize_w6", "quantize_w9", "haar_bands_w2", "bior_w2", "db2_w2", "cut_w3", "components_w1", "components_w7_proj", "components_tiled_w3", "ascii_map_w3", "geometric_cells_w2", "exp_mech_cumulative_w2", "nq_w2", "trim_w2", "trim_w4", "cut_release_w2", "syn_uniform_w2", "publish_adaptive_w2", "cube_marginals", "fmeasure_w2", "ppd_w2", "bounds_cut_w2", "range_query_boxes", "tumbling_events", "sliding_events", "session_events", "stream_cap_events"]
 
 
 @pytest.mark.parametrize("name", FAST)
