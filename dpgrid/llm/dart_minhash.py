@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from dpgrid.llm.arrow import chunks, column, out, strings
 from dpgrid.llm.embedding_dedup import forest
 from dpgrid.plans.graph import connected_components
-from dpgrid.plans.scratch import materialise
+from dpgrid.plans.scratch import drop_tables, materialise
 
 #: Words in a shingle; similarity of a link; bands of rows each (a pair at 0.8 is missed once in 17,000).
 WORDS, THRESHOLD, BANDS, ROWS = 5, 0.8, 32, 6
@@ -313,7 +313,9 @@ def _thinned(seats: DataFrame, sets: DataFrame, threshold: float, large: int, tu
         near = materialise(seen.where(F.col("sim") < threshold).groupBy("bucket").agg(F.max("sim").alias("near")), "nearest")
         rest = materialise(seen.join(near, "bucket").where((F.col("sim") < threshold) | (F.col("sim") <= F.col("near") + (1 - threshold) + 1e-9)).select("bucket", "member").distinct(), "rest_seats")
         sizes = materialise(rest.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "rest_sizes")
-        seats = materialise(seats.where(F.col("n") <= large).unionByName(rest.join(sizes, "bucket").select("bucket", "member", "n")), "seats")
+        left = materialise(seats.where(F.col("n") <= large).unionByName(rest.join(sizes, "bucket").select("bucket", "member", "n")), "seats")
+        drop_tables(seats.sparkSession, seats, wide, heads, held, seen, near, rest, sizes)
+        seats = left
     return seats, known
 
 
@@ -353,7 +355,10 @@ def links(reps: DataFrame, classes: DataFrame, plain: DataFrame, threshold: floa
     found = _dealt(seats, sets).join(sets, "member").groupBy("pack", "small", "first", "second").applyInArrow(lambda group: _compare(group, threshold), "a long, b long")
     for k in known:
         found = found.union(k)
-    return found
+    made = materialise(found, "near_links")
+    # All that ``found`` reads was written here; the sets of windows take more room than the texts.
+    drop_tables(made.sparkSession, buckets, found)
+    return made
 
 
 def _resolved(plain: DataFrame, threshold: float, bands: int, rows: int, words: int) -> tuple[DataFrame, DataFrame]:
@@ -366,12 +371,15 @@ def _resolved(plain: DataFrame, threshold: float, bands: int, rows: int, words:
     classes = materialise(sketched.groupBy("f1", "f2").agg(first).select("f1", "f2", F.col("first.doc_id").alias("copy_of"), F.col("first.h").alias("copy_h"), F.monotonically_increasing_id().alias("v")), "text_classes")
     heads = classes.select("f1", "f2", F.col("copy_of").alias("doc_id"), F.col("copy_h").alias("h"), F.col("v").alias("member"))
     reps = sketched.join(heads, ["doc_id", "h", "f1", "f2"]).select("member", "bands")
-    joined = connected_components(links(reps, classes, plain, threshold, words), "a", "b").withColumnRenamed("vertex", "v")
+    near = links(reps, classes, plain, threshold, words)
+    joined = connected_components(near, "a", "b").withColumnRenamed("vertex", "v")
     # Written, so that the join below meets two plain shuffles, and a component of many classes can be split.
     chiefs = materialise(joined.join(classes.select("v", "copy_of"), "v").groupBy("component").agg(F.min(F.struct("copy_of", "v")).alias("c")), "component_chiefs")
     linked = joined.join(chiefs, "component").select("v", F.col("c.copy_of").alias("component_id"), (F.col("v") == F.col("c.v")).alias("chief"))
     facts = classes.join(linked, "v", "left").select("f1", "f2", "copy_of", "copy_h", F.coalesce("component_id", "copy_of").alias("component_id"), F.coalesce("chief", F.lit(True)).alias("chief"))
-    return sketched.select("doc_id", "h", "f1", "f2"), materialise(facts, "class_facts")
+    made = materialise(facts, "class_facts")
+    drop_tables(made.sparkSession, near, chiefs, joined, classes)
+    return sketched.select("doc_id", "h", "f1", "f2"), made
 
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from dpgrid.llm.arrow import column, out
 from dpgrid.plans.graph import connected_components
-from dpgrid.plans.scratch import materialise
+from dpgrid.plans.scratch import drop_tables, materialise
 
 THRESHOLD, MISS = 0.98, 1e-5
 #: Classes in a block of a bucket, and classes that a bucket would hold on average if all had one label.
@@ -174,6 +174,7 @@ def embedding_components(vectors: DataFrame, threshold: float = THRESHOLD, id_co
         .select("label", "h", "v", (F.col("n") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("component", "rep").alias("component_id")),
         "vector_facts",
     )
+    drop_tables(facts.sparkSession, classes, coded, buckets, seats, found, joined)
     # Members find their class by equal label, hash and components; the hash alone would do but for collisions.
     own = good.join(facts, ["label", "h", "v"]).select("vec_id", "n_links", "component_id")
     rest = plain.where(~F.coalesce(sound & F.col("vec_id").isNotNull(), F.lit(False))).select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
