@@ -484,6 +484,34 @@ def test_audit_accepts_equal_and_rejects_far_distributions(spark):
     assert cost["rows"] == 50 and cost["jobs"] >= 1
 
 
+def test_run_cost_outlives_the_status_store(tmp_path):
+    """Run apart, as the store's size is fixed when a session starts: it drops skipped stages first, then old ones."""
+    import os
+    import subprocess
+    import sys
+
+    code = """
+from pyspark.sql import SparkSession
+from dpgrid.operators.audit import run_cost
+import sys
+kept, src = sys.argv[1:]
+s = SparkSession.builder.master("local[2]").config("spark.ui.enabled", "false").config("spark.ui.retainedStages", kept).config("spark.sql.shuffle.partitions", "2").config("spark.sql.autoBroadcastJoinThreshold", "-1").getOrCreate()
+s.range(100).write.parquet(src)
+t = s.read.parquet(src)
+for i in range(12):
+    t.groupBy("id").count().groupBy("count").count().collect()
+made = run_cost(s, "q", lambda: t.groupBy("id").count().join(t, "id").groupBy("count").count()).first()
+print("COST", made["rows"], made["scanned"], made["jobs"] > 1, made["stages"] > made["jobs"])
+"""
+    said = {}
+    for kept in ("10", "2"):
+        run = subprocess.run([sys.executable, "-c", code, kept, str(tmp_path / kept)], capture_output=True, text=True, timeout=180, cwd=os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
+        assert "COST" in run.stdout, run.stderr[-2000:]
+        said[kept] = run.stdout.split("COST")[1].split()
+    assert said["10"] == ["1", "200", "True", "True"]
+    assert said["2"][:2] == ["1", "None"]
+
+
 def test_audit_judges_outcomes_that_one_side_lacks(spark):
     from dpgrid.operators import audit
 
