@@ -543,3 +543,44 @@ def test_experiments_average_over_all_repetitions(spark, monkeypatch, name):
     with pytest.raises(Drawn) as seen:
         catalog.QUERIES[name](spark, SF_SMALL)
     assert seen.value.args == (catalog.SWEEP_REPS,)
+
+
+def test_batch_draws_equal_column_draws(spark):
+    import pyarrow as pa
+
+    from dpgrid.functions.batch import uniforms
+
+    places, numbers = ["0|1|7", "é" * 30, ""], [0, 9, 10, 123456, 10**12]
+    rows = [(i, p, n) for i, p in enumerate(places) for n in numbers]
+    df = spark.createDataFrame(rows, "i int, place string, n long")
+    for source in ("keyed", "secret"):
+        want = {(r["i"], r["n"]): r["u"] for r in df.select("i", "n", keyed_uniform("k", "p", "place", "n", source=source).alias("u")).collect()}
+        for some in (places, places[:1]):  # the second lies within one block
+            mine = [(i, n) for i, _, n in rows if i < len(some)]
+            got = uniforms("k", "p", pa.array(some), np.array([i for i, _ in mine]), np.array([n for _, n in mine]), source)
+            assert got.tolist() == [want[x] for x in mine]
+
+
+def test_counts_of_synthetic_points_draw_only_across_borders(spark, monkeypatch):
+    spec = GridSpec((0.0, 0.0), (1.0, 1.0), (10, 10))
+    boxes = [(0.0, 0.1, 0.0, 0.1, 40.0), (0.1, 0.3, 0.1, 0.2, 50.2), (0.05, 0.25, 0.45, 0.65, 60.0), (0.9, 1.0, 0.9, 1.0, 7.0), (0.2, 0.3, 0.2, 0.3, -4.0), (-0.5, 0.0, 1.0, 1.5, 3.0), (0.3, 0.30000000000000004, 0.6, 0.7, 9.0)]
+    leaves = spark.createDataFrame([(0, r, f"{i}.0", *b) for i, b in enumerate(boxes) for r in (0, 1)], "eps_i int, rep int, leaf string, lo0 double, hi0 double, lo1 double, hi1 double, cnt double")
+    rows = lambda df: sorted(map(tuple, df.select("eps_i", "rep", "cell", "cnt").collect()))
+    want = rows(quantize(publish.sample_boxes(leaves, "k"), ["x0", "x1"], spec, ["eps_i", "rep"]))
+    for most in (publish.DRAWS, 7):  # large boxes are cut into shares
+        monkeypatch.setattr(publish, "DRAWS", most)
+        assert rows(publish.drawn_counts(leaves, "k", spec)) == want
+    huge = spark.createDataFrame([(0, 0, "0.0", 0.2, 0.21, 0.2, 0.21, 1e12)], leaves.schema)  # would be 10^12 points
+    assert rows(publish.drawn_counts(huge, "k", spec))[0][3] == 10**12
+
+
+def test_equal_points_are_published_as_one_row(spark):
+    spec = GridSpec((0.0, 0.0), (1.0, 1.0), (10, 10))
+    pts = spark.createDataFrame([(0.31, 0.31)] * 500 + [(0.77, 0.5), (None, 0.5), (float("nan"), 0.2)], "x0 double, x1 double")
+    made = publish.compact_points(pts, ["x0", "x1"], spec)
+    assert sorted(map(tuple, made.collect())) == [(0.31, 0.31, 500), (0.77, 0.5, 1)]
+    runs = runs_frame(spark, [1.0], 2)
+    one = publish.publish_adaptive(pts, ["x0", "x1"], spec, runs, "k")
+    two = publish.publish_adaptive(made, ["x0", "x1"], spec, runs, "k", compact=True)
+    assert sorted(map(tuple, one.collect())) == sorted(map(tuple, two.collect()))
+    assert publish.publish_adaptive(pts.limit(0), ["x0", "x1"], spec, runs, "k").where("cnt is null").count() == 0
