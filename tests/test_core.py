@@ -17,6 +17,7 @@ from dpgrid.operators.privacy import Ledger, exponential_cut, private_haar, priv
 from dpgrid.operators.quantize import bounds_from_data, densify, quantize, quantize_vec
 from dpgrid.operators.threshold import bracket_cut, count_signs, percentile_cut, rank_intervals, significant_cells, top_count
 from dpgrid.operators.wavelet import REGISTRY, Wavelet, influence, register_wavelet, sensitivity_rank, sensitivity_z, wavelet_transform
+from tests.conftest import SF_SMALL
 
 
 def points(spark, rows, names="x0 double, x1 double"):
@@ -163,7 +164,7 @@ def brute_components(cells, g, full):
 
 
 def test_one_record_bridges_clusters(spark):
-    got = {r["data"]: (r["k"], r["clusters"]) for r in bridge_record(spark).collect()}
+    got = {r["data"]: (r["k"], r["clusters"]) for r in bridge_record(spark, SF_SMALL).collect()}
     assert got == {"without": (9, 2), "with": (10, 1)}
 
 
@@ -584,3 +585,20 @@ def test_equal_points_are_published_as_one_row(spark):
     two = publish.publish_adaptive(made, ["x0", "x1"], spec, runs, "k", compact=True)
     assert sorted(map(tuple, one.collect())) == sorted(map(tuple, two.collect()))
     assert publish.publish_adaptive(pts.limit(0), ["x0", "x1"], spec, runs, "k").where("cnt is null").count() == 0
+
+
+@pytest.mark.parametrize("name, table", [("exp_bridge_record", "orders"), ("ledger_all", "events"), ("sensitivity_wavelets", "events"), ("udtf_boxes", "orders")])
+def test_small_studies_read_their_table(spark, tmp_path, monkeypatch, name, table):
+    from dpgrid import registry
+    from tests.oracle import same
+
+    assert same(spark, registry.queries()[name], registry.oracle_sql()[name], SF_SMALL)
+    with pytest.raises(Exception, match=f"{table}.parquet"):  # there is no such table
+        registry.queries()[name](spark, str(tmp_path)).collect()
+
+
+def test_sensitivities_of_records_are_those_of_the_taps(spark):
+    from dpgrid import registry
+
+    for r in registry.queries()["sensitivity_wavelets"](spark, SF_SMALL).collect():
+        assert (r["s_z"], r["s_rank"]) == (sensitivity_z(r["wavelet"], r["n"]), sensitivity_rank(r["wavelet"], r["n"]))
