@@ -602,3 +602,50 @@ def test_sensitivities_of_records_are_those_of_the_taps(spark):
 
     for r in registry.queries()["sensitivity_wavelets"](spark, SF_SMALL).collect():
         assert (r["s_z"], r["s_rank"]) == (sensitivity_z(r["wavelet"], r["n"]), sensitivity_rank(r["wavelet"], r["n"]))
+
+
+def test_fused_adaptive_counts_equal_drawn_leaves(spark, monkeypatch):
+    """Cells counted where the leaves' noise is drawn are those of the published leaves: in two and three dimensions, with large leaves, dense and sparse tallies."""
+    from dpgrid.operators import publish
+
+    def same(pts, cols, spec, runs):
+        want = publish.drawn_counts(publish.publish_adaptive(pts, cols, spec, runs, "k"), "k", spec)
+        assert sorted(map(tuple, publish.adaptive_counts(pts, cols, spec, runs, "k").collect())) == sorted(map(tuple, want.collect()))
+
+    runs = runs_frame(spark, [0.5, 2.0], 2)
+    pts = spark.range(4000).select((F.col("id") * 0.618 % 1).alias("x0"), F.pow(F.col("id") * 0.377 % 1, 2).alias("x1"), (F.col("id") * 0.211 % 1).alias("x2"))
+    same(pts, ["x0", "x1"], unit(7), runs)
+    same(pts, ["x0", "x1", "x2"], unit(5, 3), runs_frame(spark, [1.0]))
+    same(pts.limit(0), ["x0", "x1"], unit(7), runs)
+    monkeypatch.setattr(publish, "DRAWS", 3)  # leaves across a border are dealt in shares
+    monkeypatch.setattr(publish, "TALLIED", 60)  # and the tally lets go of what it holds
+    monkeypatch.setattr(publish, "HELD", 50)
+    same(pts, ["x0", "x1"], unit(7), runs)
+
+
+def test_batch_draws_of_long_texts_and_numbers():
+    """Digests by array equal hashlib's for every length of text up to and beyond a block, and for numbers beyond the table of digits."""
+    import hashlib
+
+    import numpy as np
+    import pyarrow as pa
+
+    from dpgrid.functions import batch
+
+    places, rng = ["x" * n for n in range(70)], np.random.default_rng(1)
+    for some in (places[:20], places[20:36], places, ["é|1", "2"]):
+        for top in (9, 10_001, 10**9):
+            rows, k = rng.integers(0, len(some), 300), rng.integers(0, top, 300)
+            want = [(int(hashlib.md5(f"key|p|{some[r]}|{n}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52 for r, n in zip(rows, k, strict=True)]
+            assert batch.uniforms("key", "p", pa.array(some), rows, k).tolist() == want
+
+
+def test_points_are_read_once_for_all_methods(spark, tmp_path):
+    """Counts from compact points equal those of the points, null and NaN coordinates left out, with or without a column beside them."""
+    from dpgrid.operators import publish
+    from dpgrid.operators.quantize import quantize
+
+    pts = points(spark, [(0.1, 0.1), (0.1, 0.1), (0.9, 0.2), (float("nan"), 0.5), (None, 0.5)]).withColumn("train", F.lit(True))
+    want = sorted(map(tuple, quantize(pts, ["x0", "x1"], unit(6)).collect()))
+    for by in ([], ["train"]):
+        assert sorted(map(tuple, publish.compact_counts(publish.compact_points(pts, ["x0", "x1"], unit(4), by), ["x0", "x1"], unit(6)).collect())) == want
