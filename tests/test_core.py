@@ -649,3 +649,42 @@ def test_points_are_read_once_for_all_methods(spark, tmp_path):
     want = sorted(map(tuple, quantize(pts, ["x0", "x1"], unit(6)).collect()))
     for by in ([], ["train"]):
         assert sorted(map(tuple, publish.compact_counts(publish.compact_points(pts, ["x0", "x1"], unit(4), by), ["x0", "x1"], unit(6)).collect())) == want
+
+
+def test_formulas_of_points_are_worked_out_once(spark, monkeypatch):
+    """A compact table's plan holds the sines and cosines of the view as often as the view itself, however often later steps name the coordinates."""
+    from dpgrid.sources.workloads import WORKLOADS
+
+    monkeypatch.setattr(publish, "materialise", lambda df, label: df)
+    wl = WORKLOADS["w3"]
+    pts = wl.points(spark, SF_SMALL)
+    waves = lambda df: sum(df._jdf.queryExecution().optimizedPlan().toString().count(f) for f in ("SIN(", "COS("))
+    assert waves(publish.compact_points(pts, wl.cols, wl.spec)) == waves(pts.select(*wl.cols)) > 0
+
+
+def test_noisy_tops_equal_column_draws(spark):
+    """Top cells' noise by batch, for budgets of different repetitions, cells without points and numbers of any length."""
+    lines = {0: [0, 3], 2: [1]}
+    rows = [(e, eps, 500, t, c) for e, eps in ((0, 0.25), (2, 2.0)) for t, c in ((0, None), (7, 900), (9_999, 0), (10_000, 41), (249_999, 7_000_000))]
+    df = spark.createDataFrame(rows, "eps_i int, eps double, m int, top long, c long")
+    runs = spark.createDataFrame([(e, x) for e, some in lines.items() for x in some], "eps_i int, rep int")
+    for source in ("keyed", "secret"):
+        v = F.coalesce("c", F.lit(0)) + laplace(keyed_uniform("k", "agrid1", "eps_i", "rep", "top", source=source), 2 / (F.col("eps") * 0.5))
+        want = {(r["eps_i"], r["top"], r["rep"]): r["v"] for r in df.join(runs, "eps_i").select("eps_i", "top", "rep", v.alias("v")).collect()}
+        made = df.mapInArrow(publish._noisy_tops("k", source, 2, lines), "eps_i int, eps double, m int, top long, m2 int, reps binary").collect()
+        assert len({(r["eps_i"], r["top"], r["m2"]) for r in made}) == len(made)
+        got = {(r["eps_i"], r["top"], int(x["rep"])): (float(x["v"]), r["m2"], r["eps"]) for r in made for x in np.frombuffer(bytes(r["reps"]), publish.REPS_OF)}
+        assert got.keys() == want.keys()
+        for at, (v, m2, eps) in got.items():
+            assert v == pytest.approx(want[at], rel=1e-12) and m2 == max(1, math.ceil(math.sqrt(max(v, 0) * eps * 0.5 / 5)))
+
+
+def test_draws_below_a_share_by_their_digits(spark):
+    from dpgrid.functions.keyed import keyed_below
+
+    ids = spark.range(500)
+    for source in ("keyed", "secret"):
+        for share in (0.0, 2.0**-53, 1e-3, 1 / 6.4, 0.5, 0.9, 1.0 - 2.0**-53, 1.0, 1.5):
+            assert ids.where(keyed_below(share, "k", "p", "id", source=source) != (keyed_uniform("k", "p", "id", source=source) < share)).count() == 0
+    u = ids.select(keyed_uniform("k", "p", "id").alias("u")).first()["u"]  # the draw of id 0 itself, and what follows it
+    assert ids.where("id = 0").select(keyed_below(u, "k", "p", "id"), keyed_below(math.nextafter(u, 1), "k", "p", "id")).first()[:] == (False, True)
