@@ -688,3 +688,18 @@ def test_draws_below_a_share_by_their_digits(spark):
             assert ids.where(keyed_below(share, "k", "p", "id", source=source) != (keyed_uniform("k", "p", "id", source=source) < share)).count() == 0
     u = ids.select(keyed_uniform("k", "p", "id").alias("u")).first()["u"]  # the draw of id 0 itself, and what follows it
     assert ids.where("id = 0").select(keyed_below(u, "k", "p", "id"), keyed_below(math.nextafter(u, 1), "k", "p", "id")).first()[:] == (False, True)
+
+
+def test_top_cells_are_dealt_by_tile(spark, monkeypatch):
+    """Leaves are the same however top cells are dealt, for points on every border of tiles and top cells; neither top cells nor leaf counts are written."""
+    written, write = [], publish.materialise
+    monkeypatch.setattr(publish, "materialise", lambda df, label: (written.append(label), write(df, label))[1])
+    runs, spec = runs_frame(spark, [0.5, 4.0], 2), GridSpec((0.0, -1.0), (1.0, 1.0), (7, 5))
+    places = [(i / 40, j / 20 - 1.1) for i in range(41) for j in range(45)] + [(0.5, 0.0)] * 300
+    pts = spark.createDataFrame(places, "x0 double, x1 double").coalesce(1)
+    rows = lambda: sorted(map(tuple, publish.publish_adaptive(pts, ["x0", "x1"], spec, runs, "k").collect()))
+    want = rows()
+    monkeypatch.setattr(publish, "TILE_DRAWS", 60)
+    monkeypatch.setattr(publish, "HELD", 100)
+    assert rows() == want
+    assert written == ["agrid_points"] * 2
