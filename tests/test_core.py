@@ -703,3 +703,18 @@ def test_top_cells_are_dealt_by_tile(spark, monkeypatch):
     monkeypatch.setattr(publish, "HELD", 100)
     assert rows() == want
     assert written == ["agrid_points"] * 2
+
+
+def test_compact_points_are_dealt_from_whole_files(spark, monkeypatch):
+    """Files stand for a table only where they hold just its rows, and the leaves are the same as those of the rows."""
+    pts = spark.range(3000).select((F.col("id") * 0.618 % 1).alias("x0"), F.pow(F.col("id") * 0.377 % 1, 2).alias("x1"), (F.col("id") % 3 == 0).alias("train"))
+    cols, spec, runs = ["x0", "x1"], unit(7), runs_frame(spark, [0.5, 2.0], 2)
+    table = publish.compact_points(pts, cols, spec, ["train"])
+    some = table.where("train").select(*cols, "weight")
+    assert publish._whole_files(table, cols) is not None
+    assert publish._whole_files(some, cols) is None and publish._whole_files(pts, cols) is None and publish._whole_files(table.limit(5), cols) is None
+    rows = lambda df: sorted(map(tuple, publish.adaptive_counts(df, cols, spec, runs, "k", compact=True).collect()))
+    whole = publish.materialise(some, "train_points")
+    assert publish._whole_files(whole, cols) is not None and rows(whole) == rows(some)
+    monkeypatch.setattr(publish, "MOST_BYTES", 10)
+    assert publish._whole_files(whole, cols) is None
